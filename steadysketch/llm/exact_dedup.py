@@ -25,12 +25,14 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..runtime import scratch_path
-from .common import map_batches, texts
+from ..runtime import materialise, scratch_path
+from .common import SPACE, map_batches, texts
 
 #: Records of a bucket before it splits, and bits of a key that a directory may use.
 CAPACITY = 25_000
 MOST_BITS = 24
+#: Keys that are broadcast; more are joined by a shuffle.
+BROADCAST_KEYS = 500_000
 
 LOCAL = "record long, key binary, text binary, doc_ids array<long>, least long, n long"
 
@@ -214,3 +216,21 @@ def duplicates(docs: DataFrame, capacity: int = CAPACITY, key_bits: int = 256) -
     rows = rows.select("record", "text_sha256", "chain", "keep_id", "group_size", "first", F.posexplode("doc_ids").alias("at", "doc_id"), F.array_position("doc_ids", F.col("keep_id")).alias("home"))
     stays = (F.col("record") == F.col("first")) & (F.col("at") == F.when(F.col("keep_id").isNull(), 0).otherwise(F.col("home") - 1))
     return rows.select("doc_id", "keep_id", "group_size", F.coalesce(stays, F.lit(False)).alias("kept"), "text_sha256", "chain")
+
+
+def keep_first(docs: DataFrame) -> DataFrame:
+    """All columns of the rows that stay: one for each distinct normalised text.
+
+    Rows are told apart by id and digest. What goes is joined, not what stays, so documents without
+    copies are never shuffled while the list of what goes can be broadcast.
+    """
+    found = materialise(duplicates(docs).select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_digest"), "kept"), "kept")
+    rows = found.groupBy("_id", "_digest").agg(F.max("kept").alias("stays"), F.count("*").alias("n")).where("not stays or n > 1")
+    rows = materialise(rows, "gone")
+    rows = F.broadcast(rows) if rows.count() <= BROADCAST_KEYS else rows
+    text = F.regexp_replace(F.coalesce("text", F.lit("")), SPACE, " ")
+    marked = docs.withColumn("_digest_here", F.sha2(text, 256))
+    same = docs["doc_id"].eqNullSafe(F.col("_id")) & (F.col("_digest_here") == F.col("_digest"))
+    rest = marked.join(rows, same, "left_anti")
+    again = marked.join(rows.where("stays"), same, "left_semi").dropDuplicates(["doc_id", "_digest_here"])
+    return rest.unionAll(again).select(docs.columns)

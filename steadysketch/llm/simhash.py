@@ -42,6 +42,8 @@ GENERATOR = 0b110001110101
 ERRORS = 2
 #: Most distinct fingerprints of a key whose pairs are compared one by one.
 BUCKET = 64
+#: Most rows to drop that are broadcast; more are joined by a shuffle.
+BROADCAST_ROWS = 2_000_000
 
 _TO_LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
@@ -65,14 +67,14 @@ def fingerprint(text: str | None, size: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
-    """(doc_id, fp) with the fingerprint as a signed 64-bit number."""
+    """(doc_id, fp, text_key) with the fingerprint as a signed 64-bit number; the key tells rows of one id apart."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = np.array([fingerprint(t, size) for t in batch.column("text").to_pylist()], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(found, pa.int64())], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(found, pa.int64()), batch.column("text_key")], ["doc_id", "fp", "text_key"])
 
-    return map_batches(texts(docs), run, "doc_id long, fp long")
+    return map_batches(texts(docs).withColumn("text_key", F.xxhash64("text")), run, "doc_id long, fp long, text_key long")
 
 
 # -- Golay code -----------------------------------------------------------------------------------
@@ -156,7 +158,7 @@ def links(fps: DataFrame, bucket: int = BUCKET) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, size: int = 3, bucket: int = BUCKET) -> DataFrame:
-    """One row per document: doc_id, fingerprint (16 hex digits) and component_id (smallest doc_id reachable)."""
+    """One row per document: doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable) and text_key."""
     rows = materialise(fingerprints(docs, size), "fingerprints")
     fps = rows.groupBy("fp").agg(F.min("doc_id").alias("least"))
     roots = components(links(fps, bucket))
@@ -166,4 +168,15 @@ def near_duplicates(docs: DataFrame, size: int = 3, bucket: int = BUCKET) -> Dat
     smallest = members.groupBy("root").agg(F.min("least").alias("component_id"))
     moved = members.join(smallest, "root").select("fp", "component_id")
     labels = fps.join(moved, "fp", "left").select("fp", F.coalesce("component_id", "least").alias("component_id"))
-    return rows.join(labels, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    return rows.join(labels, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "text_key")
+
+
+def keep_one(docs: DataFrame, size: int = 3) -> DataFrame:
+    """All columns of one document for each component: the one with the smallest id. Rows without an id stay."""
+    found = materialise(near_duplicates(docs, size).where("component_id is not null").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "component_id"), "near")
+    first = found.where("_id = component_id").groupBy("component_id").agg(F.min("_key").alias("_first"))
+    gone = found.join(first, "component_id").where("_id <> component_id or _key <> _first").select("_id", "_key").distinct()
+    gone = materialise(gone, "gone")
+    gone = F.broadcast(gone) if gone.count() <= BROADCAST_ROWS else gone
+    marked = docs.withColumn("_key_here", F.xxhash64("text"))
+    return marked.join(gone, (docs["doc_id"] == F.col("_id")) & (F.col("_key_here") == F.col("_key")), "left_anti").select(docs.columns)
