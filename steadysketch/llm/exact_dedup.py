@@ -31,7 +31,7 @@ from .common import SPACE, map_batches, texts
 #: Records of a bucket before it splits, and bits of a key that a directory may use.
 CAPACITY = 25_000
 MOST_BITS = 24
-#: Keys that are broadcast; more are joined by a shuffle.
+#: Keys with several records that are broadcast; more are joined by a shuffle.
 BROADCAST_KEYS = 500_000
 
 LOCAL = "record long, key binary, text binary, doc_ids array<long>, least long, n long"
@@ -210,10 +210,20 @@ def duplicates(docs: DataFrame, capacity: int = CAPACITY, key_bits: int = 256) -
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256 (of the normalised text) and chain."""
     source = texts(docs)
     stored, directory = build_index(local_records(source, key_bits), capacity, source.count())
-    owners = _dealt(stored.select("bucket", "record", "key", "text", "least", "n"), directory.buckets()).sortWithinPartitions("key", "record")
+    digest = F.lower(F.hex("key")) if key_bits == 256 else F.sha2("text", 256)
+    stored = stored.withColumn("text_sha256", digest)
+    # Keys with one record are settled; only records of the others, few beside them, go to their owners.
+    shared_keys = materialise(stored.groupBy("key").agg(F.count("*").alias("records")).where("records > 1").select("key"), "keys")
+    if shared_keys.count() <= BROADCAST_KEYS:
+        shared_keys = F.broadcast(shared_keys)
+    alone = stored.join(shared_keys, "key", "left_anti")
+    shared = stored.join(shared_keys, "key", "left_semi")
+    owners = _dealt(shared.select("bucket", "record", "key", "text", "least", "n"), directory.buckets()).sortWithinPartitions("key", "record")
     owned = map_batches(owners.select("record", "key", "text", "least", "n"), _owner, OWNED, rows=500)
-    rows = stored.select("record", F.sha2("text", 256).alias("text_sha256"), "doc_ids").join(owned, "record")
-    rows = rows.select("record", "text_sha256", "chain", "keep_id", "group_size", "first", F.posexplode("doc_ids").alias("at", "doc_id"), F.array_position("doc_ids", F.col("keep_id")).alias("home"))
+    columns = ["record", "text_sha256", "doc_ids", "chain", "keep_id", "group_size", "first"]
+    rows = shared.select("record", "text_sha256", "doc_ids").join(owned, "record").select(columns)
+    rows = rows.unionAll(alone.select("record", "text_sha256", "doc_ids", F.lit(0).alias("chain"), F.col("least").alias("keep_id"), F.col("n").alias("group_size"), F.col("record").alias("first")))
+    rows = rows.select(*columns[:2], *columns[3:], F.array_position("doc_ids", F.col("keep_id")).alias("home"), F.posexplode("doc_ids").alias("at", "doc_id"))
     stays = (F.col("record") == F.col("first")) & (F.col("at") == F.when(F.col("keep_id").isNull(), 0).otherwise(F.col("home") - 1))
     return rows.select("doc_id", "keep_id", "group_size", F.coalesce(stays, F.lit(False)).alias("kept"), "text_sha256", "chain")
 
