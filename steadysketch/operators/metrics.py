@@ -123,6 +123,19 @@ def fit_rounds(reached: DataFrame) -> DataFrame:
     return log.groupBy("target").agg(F.avg("factor").alias("factor"), F.regr_slope("y", "x").alias("slope"))
 
 
+def fit_growth(curves: DataFrame) -> DataFrame:
+    """(rows, factor, runs, slope) from whole curves (seed, rows, round, bnr).
+
+    The square of the ratio grows in proportion to the rounds; its rate, fitted through the origin in each
+    run, gives rounds = factor x bnr^2 x rows, and the slope of log rounds on log rows at equal ratio.
+    """
+    square = F.col("bnr") * F.col("bnr")
+    rates = curves.groupBy("rows", "seed").agg((F.sum(F.col("round") * square) / F.sum(F.col("round") * F.col("round"))).alias("rate"))
+    by_rows = rates.groupBy("rows").agg(F.avg("rate").alias("rate"), F.count("*").alias("runs"))
+    slope = by_rows.agg(F.regr_slope(-F.log("rate"), F.log("rows")).alias("slope"))
+    return by_rows.crossJoin(F.broadcast(slope)).select("rows", (1 / (F.col("rate") * F.col("rows"))).alias("factor"), "runs", "slope")
+
+
 def band(curve: DataFrame, by: list[str], value: str) -> DataFrame:
     return curve.groupBy(*by).agg(F.avg(value).alias("mean"), F.min(value).alias("least"), F.max(value).alias("most"))
 

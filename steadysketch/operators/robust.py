@@ -78,6 +78,20 @@ class RobustReporter:
         """Report one query: (key, sign, count, weight) of the keys that pass in serial order."""
         return self.replay(query_id, self.candidates(est), self.level)
 
+    def run(self, est: DataFrame) -> dict[int, list[tuple[int, int, int, int | None]]]:
+        """Report a whole sequence that is fixed in advance, in order of query_id: one distributed pass, one replay.
+
+        Retiring only lowers counts, so what passes anywhere in the sequence passes with the buckets active
+        now: the candidates of all queries come from one job.
+        """
+        passing = self.asked(est).where("pos_pass or neg_pass").select("query_id", "key")
+        held = self.active(est).join(passing, ["query_id", "key"], "left_semi")
+        rows = held.groupBy("query_id", "key").agg(F.collect_list(F.struct("row", "bucket", "est")).alias("b")).orderBy("query_id", "key")
+        by_query: dict[int, list] = {}
+        for r in rows.toLocalIterator():
+            by_query.setdefault(r["query_id"], []).append((r["key"], [(b["row"], b["bucket"], b["est"]) for b in r["b"]]))
+        return {q: self.replay(q, found, self.level) for q, found in by_query.items()}
+
     def replay(self, query_id: int, candidates: Iterable[tuple[int, list]], level: float) -> list[tuple[int, int, int, int | None]]:
         out = []
         for key, buckets in candidates:

@@ -97,14 +97,13 @@ _HOUR_KEYS = [
 def retired_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Accesses over the first hours, and which buckets a limit of eight would have retired by then."""
     reporter, vec, est = _hourly(spark, sf_dir, OPEN, _HOURS)
-    for hour in range(_HOURS):
-        reporter.step(hour, est.where(F.col("query_id") == hour))
+    reporter.run(est)
     return reporter.state(spark).select("row", "bucket", "accesses", (F.col("accesses") < _RETIRE).alias("active"))
 
 
 def _hourly(spark: SparkSession, sf_dir: str, gate: Gate, hours: int) -> tuple[RobustReporter, DataFrame, DataFrame]:
     vec = V.hourly_users(spark, sf_dir).where(F.col("query_id") < hours)
-    est = S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS, hours).persist()
+    est = S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS, hours)
     return RobustReporter(USERS, gate), vec, est
 
 
@@ -112,7 +111,7 @@ def _hourly(spark: SparkSession, sf_dir: str, gate: Gate, hours: int) -> tuple[R
 def robust_threshold_sequence(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Robust reports of the first hours through one gate whose buckets retire."""
     reporter, _, est = _hourly(spark, sf_dir, GATE, 10)
-    return report_frame(spark, {hour: reporter.step(hour, est.where(F.col("query_id") == hour)) for hour in range(10)})
+    return report_frame(spark, reporter.run(est))
 
 
 @query()
@@ -120,8 +119,7 @@ def bucket_health(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of each user's buckets that a sequence of reports has retired."""
     gate = Gate(GATE.eps, GATE.delta, 4, GATE.seed, "scaled", GATE.factor)
     reporter, vec, est = _hourly(spark, sf_dir, gate, 6)
-    for hour in range(6):
-        reporter.step(hour, est.where(F.col("query_id") == hour))
+    reporter.run(est)
     return reporter.retired_share(vec)
 
 
