@@ -82,18 +82,13 @@ def hysteresis_step(previous: DataFrame, agreed: DataFrame, tau_a: float, tau_b:
 def exact_heavy(vec: DataFrame, k: int, norm: str = "tail") -> DataFrame:
     """Keys with v^2 above 1/k of the squared norm: of all but the k largest entries, or of all.
 
-    Only the k largest of a query matter beside its total, so no query is sorted as a whole: a top-k
-    per task comes before the shuffle.
+    Up to 2 k keys of a query can pass. No query is sorted as a whole: a top-k per task comes before the
+    shuffle, and the norms, one row for each query, are joined back to the entries.
     """
     summed = vec.groupBy(*PER_KEY).agg(F.sum("value").alias("value")).where("value <> 0")
     square = F.col("value") * F.col("value")
-    totals = summed.groupBy("query_id").agg(F.sum(square).alias("all2"))
-    order = Window.partitionBy("query_id").orderBy(F.abs("value").desc(), "key")
-    top = summed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
-    within = Window.partitionBy("query_id")
-    top = top.withColumn("top2", F.sum(square).over(within)).join(totals, "query_id")
-    base = F.col("all2") - F.col("top2") if norm == "tail" else F.col("all2")
-    return top.withColumn("norm2", base).where(square * k > F.col("norm2")).select(*PER_KEY, "value", "norm2")
+    norms = tail_norm2(summed, k if norm == "tail" else 0).withColumnRenamed("tail2", "norm2")
+    return summed.join(norms, "query_id").where(square * k > F.col("norm2")).select(*PER_KEY, "value", "norm2")
 
 
 def exact_topk(vec: DataFrame, k: int) -> DataFrame:
@@ -108,7 +103,8 @@ def tail_norm2(vec: DataFrame, k: int) -> DataFrame:
     order = Window.partitionBy("query_id").orderBy(F.abs("value").desc(), "key")
     square = F.col("value") * F.col("value")
     top = summed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).groupBy("query_id").agg(F.sum(square).alias("top2"))
-    return summed.groupBy("query_id").agg(F.sum(square).alias("all2")).join(top, "query_id").select("query_id", (F.col("all2") - F.col("top2")).alias("tail2"))
+    whole = summed.groupBy("query_id").agg(F.sum(square).alias("all2")).join(top, "query_id", "left")
+    return whole.select("query_id", (F.col("all2") - F.coalesce("top2", F.lit(0))).alias("tail2"))
 
 
 def true_agreement(vec: DataFrame, keys: DataFrame, width: int, spread: int) -> DataFrame:

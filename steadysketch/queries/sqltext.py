@@ -47,13 +47,13 @@ def top(values: str, k: int) -> str:
 
 
 def heavy(vec: str, k: int, norm: str = "tail") -> str:
-    base = "a.all2 - a.top2" if norm == "tail" else "a.all2"
     ranked = f"SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY abs(value) DESC, key) AS rank FROM {vec}"
-    return f"SELECT r.query_id, r.key, r.value, CAST({base} AS BIGINT) AS norm2 FROM ({ranked}) r JOIN (SELECT query_id, sum(value * value) AS all2, sum(value * value) FILTER (rank <= {k}) AS top2 FROM ({ranked}) GROUP BY ALL) a ON r.query_id = a.query_id WHERE r.rank <= {k} AND r.value * r.value * {k} > {base}"
+    base = f"FILTER (rank > {k})" if norm == "tail" else ""
+    return f"SELECT r.query_id, r.key, r.value, a.norm2 FROM {vec} r JOIN (SELECT query_id, CAST(coalesce(sum(value * value) {base}, 0) AS BIGINT) AS norm2 FROM ({ranked}) GROUP BY ALL) a ON r.query_id = a.query_id WHERE r.value * r.value * {k} > a.norm2"
 
 
 def tail2(vec: str, k: int) -> str:
-    return f"SELECT query_id, CAST(sum(value * value) FILTER (rank > {k}) AS BIGINT) AS tail2 FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY abs(value) DESC, key) AS rank FROM {vec}) GROUP BY ALL"
+    return f"SELECT query_id, CAST(coalesce(sum(value * value) FILTER (rank > {k}), 0) AS BIGINT) AS tail2 FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY abs(value) DESC, key) AS rank FROM {vec}) GROUP BY ALL"
 
 
 def uniform(seed: int, *parts: str) -> str:
