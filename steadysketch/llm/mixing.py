@@ -65,7 +65,7 @@ def targets(sources: DataFrame, share: float = SHARE, weights: Sequence[int] = W
 def apportion(parties: DataFrame, group: list[str], order: str, votes: str, seats: str, out: str) -> DataFrame:
     """Adds ``out``: the party's seats out of its group's ``seats`` by highest quotients, ties to the smaller ``order``."""
     whole = Window.partitionBy(*group)
-    share = F.col(votes) / F.sum(votes).over(whole)
+    share = F.try_divide(F.col(votes), F.sum(votes).over(whole))
     sized = parties.withColumns({"_share": F.coalesce(share, F.lit(0.0)), "_n": F.count("*").over(whole)})
     quota = F.floor(F.col("_share") * F.col(seats))
     slack = (F.ceil(1.5 * F.col("_n") * F.col("_share")) + 2).cast("long")
