@@ -11,9 +11,9 @@ counted once to four times. Totals of each context are joined to its n-grams, an
 order k is joined to that of order k - 1 by the n-gram's suffix, each join being sharded by the hash of
 its key. Order 0 is uniform.
 
-Application: a finished table of at most SHARD entries (a checked size, and the usual case, as bytes
-have few distinct n-grams of this order) is broadcast and one narrow pass scores the documents. A larger
-one stays sharded: the distinct n-grams of each document are joined to it order by order.
+Application: the finished tables are cut into shards of a bounded size by the token before the last of
+an n-gram, which all lookups of one place in a text share, and broadcast. Bytes have few distinct n-grams
+of this order, so one shard is the usual case; with more, a task takes them in turn.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ from .common import map_batches
 
 ORDER = 5
 BEGIN = 255
-#: Bytes of text folded at a time; most entries of the tables that are broadcast.
+#: Bytes of text folded at a time; most entries of a broadcast shard.
 FOLD, SHARD = 4_000_000, 3_000_000
 MULTIPLIER = 0x9E3779B97F4A7C15
 
@@ -230,91 +230,112 @@ class Scorer:
         return out
 
 
-def collect_parts(model: Model) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """The tables of a model whose size has been checked, as arrays: 12 bytes an entry."""
-    arrow = model.table.select("k", "gram", F.col("value").cast("float").alias("value")).toArrow()
+Parts = dict[int, tuple[np.ndarray, np.ndarray]]
+
+
+def collect_parts(model: Model, where: Column | None = None) -> Parts:
+    """The tables of a model, or of a shard of one, as arrays: 12 bytes an entry."""
+    rows = model.table if where is None else model.table.where(where)
+    arrow = rows.select("k", "gram", F.col("value").cast("float").alias("value")).toArrow()
     k, gram, value = (arrow.column(c).to_numpy() for c in ("k", "gram", "value"))
     return {int(o): (gram[k == o], value[k == o]) for o in np.unique(k)}
 
 
-def losses(docs: DataFrame, models: dict[str, Model], keep: list[str]) -> DataFrame:
+def _before_last() -> Column:
+    """The token before the last of an n-gram, the last of a context: all lookups of a place in a text share it."""
+    return F.when(F.col("k") > 0, F.shiftright("gram", 8)).otherwise(F.col("gram")).bitwiseAND(F.lit(255))
+
+
+def shards(models: dict[str, Model], most: int = SHARD) -> list[tuple[list[int], dict[str, Parts]]]:
+    """Shards of all models together: (tokens, parts), each with the entries of some tokens before the last.
+
+    Tokens are packed into shards of at most ``most`` entries; a token with more has a shard of its own.
+    What holds no such token, the unigrams and the weight of the empty context, is in every shard.
+    """
+    sizes: dict[int, int] = {}
+    for model in models.values():
+        for token, n in model.table.where("k not in (1, -1)").groupBy(_before_last().alias("t")).count().collect():
+            sizes[token] = sizes.get(token, 0) + n
+    bins: list[tuple[int, list[int]]] = []
+    for token, n in sorted(sizes.items(), key=lambda x: (-x[1], x[0])):
+        spot = next((i for i, (held, _) in enumerate(bins) if held + n <= most), None)
+        if spot is None:
+            bins.append((n, [token]))
+        else:
+            bins[spot] = (bins[spot][0] + n, [*bins[spot][1], token])
+    if len(bins) < 2:
+        return [(list(range(256)), {name: collect_parts(m) for name, m in models.items()})]
+    rest = sorted(set(range(256)) - set(sizes))
+    bins[0][1].extend(rest)
+    return [(tokens, {name: collect_parts(m, F.col("k").isin(1, -1) | _before_last().isin(tokens)) for name, m in models.items()}) for _, tokens in bins]
+
+
+def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int = SHARD) -> DataFrame:
     """The kept columns of each document, n_tokens, and for each named model the sum of -ln p over its tokens.
 
-    A null or empty text has no tokens and losses of 0.
+    One narrow pass. A task takes its texts in groups of a bounded size and, with each shard of the tables
+    in turn, scores the places that the shard is for. A null or empty text has no tokens and losses of 0.
     """
-    order = {m.order for m in models.values()}
-    sizes = {name: m.size() for name, m in models.items()}
-    if sum(sizes.values()) > SHARD or len(order) > 1:
-        return sharded_losses(docs, models, keep)
-    parts = docs.sparkSession.sparkContext.broadcast({name: collect_parts(m) for name, m in models.items()})
-    width, names = order.pop(), list(models)
+    (width,) = {m.order for m in models.values()}
+    names = list(models)
+    spark = docs.sparkSession
+    held = [(np.isin(np.arange(256), tokens), spark.sparkContext.broadcast(parts)) for tokens, parts in shards(models, most)]
     fields = [docs.schema[c] for c in keep]
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["n_tokens long"] + [f"loss_{m} double" for m in names])
 
+    def score(grams: list[np.ndarray]) -> np.ndarray:
+        size = np.array([len(g) for g in grams], np.int64)
+        sums = np.zeros((len(names), len(grams)))
+        flat = np.concatenate(grams) if grams else np.empty(0, np.int64)
+        owner = np.repeat(np.arange(len(grams)), size)
+        for mine, shared in held:
+            for a in range(0, len(flat), 1 << 18):
+                part, of = flat[a : a + (1 << 18)], owner[a : a + (1 << 18)]
+                if len(held) > 1:
+                    here = mine[part >> 8 & 255]
+                    part, of = part[here], of[here]
+                for j, m in enumerate(names):
+                    sums[j] -= np.bincount(of, _scorer(shared, m, width).log_probabilities(part), len(grams))
+        return sums
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorers = [_scorer(parts, m, width) for m in names]
-        for batch in batches:
-            grams = [packed(t.encode("utf-8", "surrogatepass"), width) if t else np.empty(0, np.int64) for t in batch.column("text").to_pylist()]
-            size = np.array([len(g) for g in grams], np.int64)
-            sums = np.zeros((len(names), len(grams)))
+        # Several shards are loaded for each group, so groups are larger then.
+        group_size, group, waiting = (1_000_000 if len(held) == 1 else 16_000_000), 0, []
+
+        def emit() -> Iterator[pa.RecordBatch]:
+            sums = score([g for _, grams in waiting for g in grams])
             at = 0
-            while at < len(grams):
-                to, held = at, 0
-                while to < len(grams) and (held == 0 or held + size[to] <= 1_000_000):
-                    held += size[to]
-                    to += 1
-                flat = np.concatenate(grams[at:to])
-                owner = np.repeat(np.arange(at, to), size[at:to])
-                for j, scorer in enumerate(scorers):
-                    for a in range(0, len(flat), 1 << 18):
-                        sums[j] -= np.bincount(owner[a : a + (1 << 18)], scorer.log_probabilities(flat[a : a + (1 << 18)]), len(grams))
+            for batch, grams in waiting:
+                to = at + len(grams)
+                columns = [batch.column(c) for c in keep] + [pa.array([len(g) for g in grams], pa.int64())] + [pa.array(s[at:to]) for s in sums]
+                yield pa.RecordBatch.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]])
                 at = to
-            columns = [batch.column(c) for c in keep] + [pa.array(size)] + [pa.array(s) for s in sums]
-            yield pa.RecordBatch.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]])
+            waiting.clear()
+
+        for whole in batches:
+            for a in range(0, whole.num_rows, 100):
+                batch = whole.slice(a, 100)
+                grams = [packed(t.encode("utf-8", "surrogatepass"), width) if t else np.empty(0, np.int64) for t in batch.column("text").to_pylist()]
+                waiting.append((batch, grams))
+                group += sum(map(len, grams))
+                if group > group_size:
+                    yield from emit()
+                    group = 0
+        if waiting:
+            yield from emit()
 
-    return map_batches(docs.select(*keep, "text") if "text" not in keep else docs.select(*keep), run, schema, rows=500)
+    return map_batches(docs.select(*keep, *([] if "text" in keep else ["text"])), run, schema, rows=500)
 
 
 _SCORERS: dict = {}
 
 
 def _scorer(shared, name: str, order: int) -> Scorer:
-    key = (shared.id if hasattr(shared, "id") else id(shared), name)
+    """The tables of one model of a broadcast shard; those of the last few shards are kept from group to group."""
     value = shared.value
+    key = (id(value), name)
     if key not in _SCORERS or _SCORERS[key][0] is not value:
+        if len(_SCORERS) >= 4:
+            _SCORERS.clear()
         _SCORERS[key] = (value, Scorer(value[name], order))
     return _SCORERS[key][1]
-
-
-def sharded_losses(docs: DataFrame, models: dict[str, Model], keep: list[str]) -> DataFrame:
-    """As :func:`losses`, by joins: for tables beyond a broadcast shard.
-
-    A task counts the distinct n-grams of each document; they meet the table in a join sharded by
-    n-gram, order by order from the highest, and sums by document bring the losses together.
-    """
-    rows = materialise(docs.withColumn("_row", F.monotonically_increasing_id()).select("_row", *keep, *([] if "text" in keep else ["text"])), "rows")
-    out = rows.select("_row", *keep, F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_tokens"))
-    for name, model in models.items():
-        order = model.order
-
-        def run(batches: Iterator[pa.RecordBatch], order: int = order) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for row, text in zip(batch.column("_row").to_pylist(), batch.column("text").to_pylist()):
-                    if text:
-                        grams, n = distinct(packed(text.encode("utf-8", "surrogatepass"), order))
-                        yield pa.RecordBatch.from_arrays([pa.array([row] * len(grams), pa.int64()), pa.array(grams), pa.array(n)], ["_row", "gram", "n"])
-
-        todo = map_batches(rows.select("_row", "text"), run, "_row long, gram long, n long", rows=100).withColumn("weight", F.lit(0.0))
-        done = None
-        for k in range(order, 0, -1):
-            cut = todo.select("_row", "n", "weight", F.col("gram").bitwiseAND(F.lit((1 << 8 * k) - 1)).alias("gram"))
-            p = model.table.where(F.col("k") == k).select("gram", F.col("value").cast("float").cast("double").alias("p"))
-            met = cut.join(p, "gram", "left")
-            own = met.where("p is not null").select("_row", (-F.col("n") * (F.col("weight") + F.log("p"))).alias("loss"))
-            done = own if done is None else done.unionAll(own)
-            back = model.table.where(F.col("k") == -k).select(F.col("gram").alias("context"), F.col("value").cast("float").cast("double").alias("backoff"))
-            todo = met.where("p is null").withColumn("context", _context()).join(back, "context", "left").select("_row", "n", "gram", (F.col("weight") + F.coalesce(F.log("backoff"), F.lit(0.0))).alias("weight"))
-        done = done.unionAll(todo.select("_row", (-F.col("n") * (F.col("weight") + math.log(1 / 256))).alias("loss")))
-        sums = done.groupBy("_row").agg(F.sum("loss").alias(f"loss_{name}"))
-        out = out.join(sums, "_row", "left").withColumn(f"loss_{name}", F.coalesce(f"loss_{name}", F.lit(0.0)))
-    return out.drop("_row")

@@ -78,7 +78,7 @@ def score(docs: DataFrame, labels: DataFrame, keep: list[str], quantile: float =
     return joined.select(*keep, *[c for c in ("n_tokens", "perplexity", "threshold")], F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(False)).alias("kept"))
 
 
-def cross_entropy_difference(docs: DataFrame, labels: DataFrame, order: int = 6) -> DataFrame:
+def cross_entropy_difference(docs: DataFrame, labels: DataFrame, order: int = ORDER) -> DataFrame:
     """doc_id, n_tokens, loss_target, loss_background and score (their difference per token) of every document."""
     ids = trusted_ids(labels)
     source = docs.select("doc_id", "text")
