@@ -151,8 +151,11 @@ def tails(spark: SparkSession, sf_dir: str, m: int, count: int, seed: int = 5, k
 
 
 def sql_tails(m: int, count: int, seed: int = 5) -> str:
-    """The tails over the order keys themselves (no replicas), for universes that have enough."""
-    return f"SELECT CAST(floor(o_orderkey / {m}) AS BIGINT) AS tail_id, CAST(o_orderkey AS BIGINT) AS key, {sql_gaussian('CAST(o_orderkey AS BIGINT)', seed)} AS value FROM orders WHERE o_orderkey < {m * count} AND ({sql_gaussian('CAST(o_orderkey AS BIGINT)', seed)}) <> 0"
+    """The same tails as SQL."""
+    copies = f"(SELECT CAST(ceil({m * count} / count(*)) AS BIGINT) FROM orders)"
+    keys = f"SELECT CAST(o_orderkey * {copies} + r AS BIGINT) AS key FROM orders, (SELECT unnest(range(0, {copies})) AS r)"
+    valued = f"SELECT key // {m} AS tail_id, key, {sql_gaussian('key', seed)} AS value FROM ({keys}) WHERE key < {m * count}"
+    return f"SELECT tail_id, key, value FROM ({valued}) WHERE value <> 0"
 
 
 # -- SQL of the vectors ---------------------------------------------------------------------------
