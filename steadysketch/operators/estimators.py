@@ -7,6 +7,8 @@ from math import ceil
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.physical import sized_broadcast
+
 PER_KEY = ["query_id", "key"]
 
 
@@ -79,31 +81,35 @@ def hysteresis_step(previous: DataFrame, agreed: DataFrame, tau_a: float, tau_b:
 
 
 # -- ground truth ---------------------------------------------------------------------------------
-def exact_heavy(vec: DataFrame, k: int, norm: str = "tail") -> DataFrame:
+def _sums(vec: DataFrame, summed: bool) -> DataFrame:
+    return vec if summed else vec.groupBy(*PER_KEY).agg(F.sum("value").alias("value")).where("value <> 0")
+
+
+def exact_heavy(vec: DataFrame, k: int, norm: str = "tail", summed: bool = False, queries: int | None = None) -> DataFrame:
     """Keys with v^2 above 1/k of the squared norm: of all but the k largest entries, or of all.
 
-    Up to 2 k keys of a query can pass. No query is sorted as a whole: a top-k per task comes before the
-    shuffle, and the norms, one row for each query, are joined back to the entries.
+    Up to 2 k keys of a query can pass. ``summed`` says that each key has one row already, which saves a
+    shuffle; ``queries`` bounds the number of vectors, whose norms are then broadcast, one row each.
     """
-    summed = vec.groupBy(*PER_KEY).agg(F.sum("value").alias("value")).where("value <> 0")
+    summed_rows = _sums(vec, summed)
     square = F.col("value") * F.col("value")
-    norms = tail_norm2(summed, k if norm == "tail" else 0).withColumnRenamed("tail2", "norm2")
-    return summed.join(norms, "query_id").where(square * k > F.col("norm2")).select(*PER_KEY, "value", "norm2")
+    norms = tail_norm2(summed_rows, k if norm == "tail" else 0, True, queries).withColumnRenamed("tail2", "norm2")
+    joined = summed_rows.join(sized_broadcast(norms, queries), "query_id")
+    return joined.where(square * k > F.col("norm2")).select(*PER_KEY, "value", "norm2")
 
 
-def exact_topk(vec: DataFrame, k: int) -> DataFrame:
-    summed = vec.groupBy(*PER_KEY).agg(F.sum("value").alias("value"))
+def exact_topk(vec: DataFrame, k: int, summed: bool = False) -> DataFrame:
     order = Window.partitionBy("query_id").orderBy(F.abs("value").desc(), "key")
-    return summed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    return _sums(vec, summed).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
 
 
-def tail_norm2(vec: DataFrame, k: int) -> DataFrame:
-    """(query_id, tail2): squared norm without the k largest entries."""
-    summed = vec.groupBy(*PER_KEY).agg(F.sum("value").alias("value"))
+def tail_norm2(vec: DataFrame, k: int, summed: bool = False, queries: int | None = None) -> DataFrame:
+    """(query_id, tail2): squared norm without the k largest entries; a top-k of each task comes before any shuffle."""
+    rows = _sums(vec, summed)
     order = Window.partitionBy("query_id").orderBy(F.abs("value").desc(), "key")
     square = F.col("value") * F.col("value")
-    top = summed.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).groupBy("query_id").agg(F.sum(square).alias("top2"))
-    whole = summed.groupBy("query_id").agg(F.sum(square).alias("all2")).join(top, "query_id", "left")
+    top = rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).groupBy("query_id").agg(F.sum(square).alias("top2"))
+    whole = rows.groupBy("query_id").agg(F.sum(square).alias("all2")).join(sized_broadcast(top, queries), "query_id", "left")
     return whole.select("query_id", (F.col("all2") - F.coalesce("top2", F.lit(0))).alias("tail2"))
 
 

@@ -312,7 +312,7 @@ def report_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.embedding_rows(spark, sf_dir)
     est = S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS)
     report = E.threshold_report(E.agreement(E.votes(est), USERS.per_key), MID)
-    out = M.report_quality(report, E.exact_heavy(vec, 10), vec)
+    out = M.report_quality(report, E.exact_heavy(vec, 10, summed=True), vec)
     return out.withColumns({c: F.round(c, 6) for c in ("recall", "precision")})
 
 
@@ -326,13 +326,13 @@ def report_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 def linf_l2_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.embedding_rows(spark, sf_dir)
     med = E.median_estimate(S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS))
-    return M.linf_l2_error(med, vec, E.tail_norm2(vec, 10), 10).withColumn("alpha", F.round("alpha", 6))
+    return M.linf_l2_error(med, vec, E.tail_norm2(vec, 10, summed=True), 10).withColumn("alpha", F.round("alpha", 6))
 
 
 @query()
 def value_correctness(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.skewed_parts(spark, sf_dir)
-    return M.value_correct(E.median_report(estimated(vec, PARTS), 12), vec, E.tail_norm2(vec, 4), 1.0, 4)
+    return M.value_correct(E.median_report(estimated(vec, PARTS), 12), vec, E.tail_norm2(vec, 4, summed=True, queries=1), 1.0, 4)
 
 
 @query()
@@ -370,7 +370,7 @@ def pairs_with_margin(spark: SparkSession, sf_dir: str) -> DataFrame:
 def oblivious_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall and size of the median and the sign-agreement report by sketch rows, inputs fixed in advance."""
     vec = V.skewed_parts(spark, sf_dir)
-    heavy = E.exact_heavy(vec, 4)
+    heavy = E.exact_heavy(vec, 4, summed=True, queries=1)
     out = None
     for rows in (17, 65, 129):
         est = estimated(vec, RowHashed(rows, 64, 90 + rows))

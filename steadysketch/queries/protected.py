@@ -158,7 +158,7 @@ def weight_scan_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.skewed_parts(spark, sf_dir)
     reporter = RobustReporter(PARTS, OPEN, weights_up_to=2_000_000)
     found = report_frame(spark, {0: reporter.step(0, estimated(vec, PARTS))})
-    joined = found.join(vec, ["query_id", "key"]).join(E.tail_norm2(vec, 4), "query_id")
+    joined = found.join(vec, ["query_id", "key"]).join(E.tail_norm2(vec, 4, summed=True, queries=1), "query_id")
     return joined.select("query_id", "key", "weight", "value", F.sqrt(F.col("tail2") / 4).alias("promised"), (F.abs(F.col("weight") - F.col("value")) <= F.sqrt(F.col("tail2") / 4)).alias("within"))
 
 
@@ -171,7 +171,7 @@ def weight_scan_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
 def weight_certificate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Of each heavy key's buckets: how many lie within the promised error, below it and above it."""
     vec = V.skewed_parts(spark, sf_dir)
-    est = estimated(vec, PARTS).join(E.exact_heavy(vec, 10).select("query_id", "key", "value"), ["query_id", "key"]).join(E.tail_norm2(vec, 4), "query_id")
+    est = estimated(vec, PARTS).join(E.exact_heavy(vec, 10, summed=True, queries=1).select("query_id", "key", "value"), ["query_id", "key"]).join(E.tail_norm2(vec, 4, summed=True, queries=1), "query_id")
     near = F.sqrt(F.col("tail2") / 4)
     count = lambda cond: F.count(F.when(cond, 1))
     off = F.col("est") - F.col("value")
@@ -199,7 +199,7 @@ def candidate_pruned_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The robust report with only the candidates tested."""
     vec = V.skewed_parts(spark, sf_dir)
     wanted = SIEVE.query(SIEVE.build(vec), vec)
-    est = S.estimates(wanted, S.build(vec, PARTS), PARTS, 1)
+    est = S.estimates(wanted, S.build(vec, PARTS, sum_keys=False), PARTS, 1)
     return report_frame(spark, {0: RobustReporter(PARTS, OPEN).step(0, est)}).drop("weight")
 
 

@@ -31,22 +31,22 @@ def agreed_sql(vector: str, layout, per_key: float | None) -> list[tuple[str, st
 # -- ground truth ---------------------------------------------------------------------------------
 @query(T.with_(("vec", T.vector("doc_tokens")), then=T.heavy("vec", 10)))
 def exact_heavy_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return E.exact_heavy(V.doc_tokens(spark, sf_dir), 10)
+    return E.exact_heavy(V.doc_tokens(spark, sf_dir), 10, summed=True, queries=1)
 
 
 @query(T.with_(("vec", T.vector("skewed_parts")), then=T.heavy("vec", 10)))
 def exact_heavy_skewed_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return E.exact_heavy(V.skewed_parts(spark, sf_dir), 10)
+    return E.exact_heavy(V.skewed_parts(spark, sf_dir), 10, summed=True, queries=1)
 
 
 @query(T.with_(("vec", T.vector("skewed_parts")), then=T.heavy("vec", 30, "full")))
 def exact_heavy_full_norm(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return E.exact_heavy(V.skewed_parts(spark, sf_dir), 30, "full")
+    return E.exact_heavy(V.skewed_parts(spark, sf_dir), 30, "full", summed=True, queries=1)
 
 
 @query(T.with_(("vec", "SELECT query_id, key, value, value AS v_hat FROM (" + T.vector("doc_tokens") + ")"), then=f"SELECT query_id, key, value, rank FROM ({T.top('vec', 20)})"))
 def exact_topk_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return E.exact_topk(V.doc_tokens(spark, sf_dir), 20)
+    return E.exact_topk(V.doc_tokens(spark, sf_dir), 20, summed=True)
 
 
 @query(T.with_(("vec", T.vector("skewed_parts")), then=" UNION ALL ".join(f"SELECT {k} AS k, tail2 FROM ({T.tail2('vec', k)})" for k in (1, 4, 10, 30))))
@@ -54,25 +54,25 @@ def tail_norm_by_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.skewed_parts(spark, sf_dir)
     out = None
     for k in (1, 4, 10, 30):
-        part = E.tail_norm2(vec, k).select(F.lit(k).alias("k"), "tail2")
+        part = E.tail_norm2(vec, k, summed=True, queries=1).select(F.lit(k).alias("k"), "tail2")
         out = part if out is None else out.unionAll(part)
     return out
 
 
 @query(T.with_(("vec", T.vector("hourly_users")), then=T.heavy("vec", 4)))
 def exact_heavy_per_hour(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return E.exact_heavy(V.hourly_users(spark, sf_dir), 4)
+    return E.exact_heavy(V.hourly_users(spark, sf_dir), 4, summed=True)
 
 
 # -- cells ----------------------------------------------------------------------------------------
 @query(T.with_(("vec", T.vector("part_quantities")), then=T.cells("vec", FLAT)))
 def row_hash_cells_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.build(V.part_quantities(spark, sf_dir), FLAT)
+    return S.build(V.part_quantities(spark, sf_dir), FLAT, sum_keys=False)
 
 
 @query(T.with_(("vec", T.vector("skewed_parts")), then=T.cells("vec", BUCKETS)))
 def independent_cells_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.build(V.skewed_parts(spark, sf_dir), BUCKETS)
+    return S.build(V.skewed_parts(spark, sf_dir), BUCKETS, sum_keys=False)
 
 
 @query()
@@ -99,7 +99,7 @@ def incremental_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Half of the rows sketched, the other half applied as an update."""
     rows = V.read_table(spark, sf_dir, "lineitem", ["l_orderkey", "l_partkey", "l_quantity"])
     half = lambda cond: V.vector_from(rows.where(cond), F.col("l_partkey"), F.col("l_quantity").cast("bigint"))
-    return S.update(S.build(half("l_orderkey % 2 = 0"), FLAT), half("l_orderkey % 2 <> 0"), FLAT)
+    return S.update(S.build(half("l_orderkey % 2 = 0"), FLAT, sum_keys=False), half("l_orderkey % 2 <> 0"), FLAT)
 
 
 @query(
@@ -108,7 +108,7 @@ def incremental_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 )
 def scaled_difference_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
-    a, b = S.build(V.user_values(spark, sf_dir), USERS), S.build(V.net_users(spark, sf_dir), USERS)
+    a, b = S.build(V.user_values(spark, sf_dir), USERS, sum_keys=False), S.build(V.net_users(spark, sf_dir), USERS, sum_keys=False)
     return S.merge(S.scale(a, 3), S.scale(b, -1))
 
 
@@ -154,20 +154,20 @@ def rolled_up_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 )
 def sketch_inner_product(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.inner_product(S.build(V.user_values(spark, sf_dir), USERS), S.build(V.net_users(spark, sf_dir), USERS))
+    return S.inner_product(S.build(V.user_values(spark, sf_dir), USERS, sum_keys=False), S.build(V.net_users(spark, sf_dir), USERS, sum_keys=False))
 
 
 @query(
     T.with_(("vec", T.vector("skewed_parts")), ("cells", T.cells("vec", USERS)), ("by_row", "SELECT query_id, row, sum(c * c) AS p FROM cells GROUP BY ALL"), then="SELECT query_id, CAST(median(CAST(p AS BIGINT)) AS DOUBLE) AS norm2 FROM by_row GROUP BY ALL")
 )
 def sketch_norm2(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return S.norm2(S.build(V.skewed_parts(spark, sf_dir), USERS))
+    return S.norm2(S.build(V.skewed_parts(spark, sf_dir), USERS, sum_keys=False))
 
 
 @query(T.with_(("vec", T.vector("url_hosts")), ("cells", T.cells("vec", FLAT)), then=T.estimates("vec", "cells", FLAT)))
 def bucket_estimates_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.url_hosts(spark, sf_dir)
-    return S.estimates(keys(vec), S.build(vec, FLAT), FLAT, 1)
+    return S.estimates(keys(vec), S.build(vec, FLAT, sum_keys=False), FLAT, 1)
 
 
 @query(
@@ -178,7 +178,7 @@ def bucket_estimates_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def embedded_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sketches as dense features, one row for each feature."""
-    dense = S.embed(S.build(V.class_sums(spark, sf_dir), SMALL), SMALL)
+    dense = S.embed(S.build(V.class_sums(spark, sf_dir), SMALL, sum_keys=False), SMALL)
     return dense.select("query_id", F.posexplode("features").alias("spot", "feature"))
 
 
@@ -273,7 +273,7 @@ def no_heavy_empty_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     counts = [
         E.median_report(est, 10).agg(F.count("*").alias("forced")),
         E.threshold_report(E.agreement(E.votes(est), PARTS.per_key), MID).agg(F.count("*").alias("reported")),
-        E.exact_heavy(vec, 10).agg(F.count("*").alias("heavy")),
+        E.exact_heavy(vec, 10, summed=True, queries=1).agg(F.count("*").alias("heavy")),
     ]
     return counts[0].crossJoin(counts[1]).crossJoin(counts[2])
 
