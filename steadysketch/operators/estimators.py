@@ -15,7 +15,10 @@ PER_KEY = ["query_id", "key"]
 # -- medians --------------------------------------------------------------------------------------
 def median_estimate(est: DataFrame) -> DataFrame:
     """Exact median of the bucket estimates of every key; keys without buckets are absent."""
-    return est.groupBy(*PER_KEY).agg(F.median("est").alias("v_hat"))
+    ordered = F.sort_array(F.collect_list("est"))
+    held = est.groupBy(*PER_KEY).agg(ordered.alias("e"))
+    at = lambda shift: F.element_at("e", F.floor((F.size("e") + shift) / 2).cast("int"))
+    return held.select(*PER_KEY, ((at(1) + at(2)) / 2).cast("double").alias("v_hat"))
 
 
 def quantile_estimate(est: DataFrame, q: float) -> DataFrame:
