@@ -14,6 +14,12 @@ def sized_broadcast(df: DataFrame, rows: int | None) -> DataFrame:
     return F.broadcast(df) if rows is not None and rows <= BROADCAST_ROWS else df
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """Deal rows out over all cores where the scan has fewer partitions than cores; larger scans stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def prune_keys(vec: DataFrame, keys: DataFrame, rows: int | None = None) -> DataFrame:
     """Keep the rows of the wanted keys, below any expansion into buckets."""
     return vec.join(sized_broadcast(keys.select("key").distinct(), rows), "key", "left_semi")

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, coefficients, key_from_string, poly_hash, sql_key, sql_poly
+from ..plans.physical import spread
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None, where: str | None = None) -> DataFrame:
@@ -30,7 +31,7 @@ def vector_from(df: DataFrame, key: Column, value: Column, query: Column | None
 
 def tokens_of(df: DataFrame, text: str = "text") -> DataFrame:
     """Adds a row per lower-cased token between spaces and line ends."""
-    return df.withColumn("token", F.explode(F.split(F.regexp_replace(F.lower(F.col(text)), "\n", " "), " "))).where("token <> ''")
+    return spread(df).withColumn("token", F.explode(F.split(F.regexp_replace(F.lower(F.col(text)), "\n", " "), " "))).where("token <> ''")
 
 
 def doc_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
