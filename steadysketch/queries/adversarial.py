@@ -179,7 +179,7 @@ def rounds_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def width_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The ratio after a fixed number of rounds for several widths and numbers of very heavy keys: no dependence."""
+    """The ratio after a fixed number of rounds for several widths and numbers of very heavy keys."""
     out = None
     for width, k_out in ((10, 3), (10, 2), (30, 2), (30, 5)):
         curves = simulate(spark, sf_dir, [RowHashed(25, width, 60 + width + k_out, 4)], k_out, 5 * width + 10, 150)
@@ -214,7 +214,7 @@ def attack_median_final(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def attack_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Agreement of a weightless key with the tails collected from each rule, and the queries spent: plain rules fall, repeated asks are needed against the robust one."""
+    """Bias-to-noise ratio that the tails collected from each rule give, and the queries spent."""
     tails = _tails(spark, sf_dir)
     rows = []
     for name, probe, collected, queries in (
