@@ -25,6 +25,8 @@ from pyspark.sql import functions as F
 from ..runtime import materialise
 from .ngram_lm import ORDER, Model, counts, estimate, losses
 
+#: Order of the two models whose losses are compared.
+SELECTION_ORDER = 6
 QUANTILE, MARGIN = 0.999, 1.1
 MIN_CALIBRATION = 50
 STEPS = 1000
@@ -78,7 +80,7 @@ def score(docs: DataFrame, labels: DataFrame, keep: list[str], quantile: float =
     return joined.select(*keep, *[c for c in ("n_tokens", "perplexity", "threshold")], F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(False)).alias("kept"))
 
 
-def cross_entropy_difference(docs: DataFrame, labels: DataFrame, order: int = ORDER) -> DataFrame:
+def cross_entropy_difference(docs: DataFrame, labels: DataFrame, order: int = SELECTION_ORDER) -> DataFrame:
     """doc_id, n_tokens, loss_target, loss_background and score (their difference per token) of every document."""
     ids = trusted_ids(labels)
     source = docs.select("doc_id", "text")
