@@ -246,8 +246,8 @@ def _before_last() -> Column:
     return F.when(F.col("k") > 0, F.shiftright("gram", 8)).otherwise(F.col("gram")).bitwiseAND(F.lit(255))
 
 
-def shards(models: dict[str, Model], most: int = SHARD) -> list[tuple[list[int], dict[str, Parts]]]:
-    """Shards of all models together: (tokens, parts), each with the entries of some tokens before the last.
+def shards(models: dict[str, Model], most: int = SHARD) -> Iterator[tuple[list[int], dict[str, Parts]]]:
+    """Shards of all models together, one at a time: (tokens, parts), with the entries of some tokens before the last.
 
     Tokens are packed into shards of at most ``most`` entries; a token with more has a shard of its own.
     What holds no such token, the unigrams and the weight of the empty context, is in every shard.
@@ -264,17 +264,20 @@ def shards(models: dict[str, Model], most: int = SHARD) -> list[tuple[list[int],
         else:
             bins[spot] = (bins[spot][0] + n, [*bins[spot][1], token])
     if len(bins) < 2:
-        return [(list(range(256)), {name: collect_parts(m) for name, m in models.items()})]
+        yield list(range(256)), {name: collect_parts(m) for name, m in models.items()}
+        return
     rest = sorted(set(range(256)) - set(sizes))
     bins[0][1].extend(rest)
-    return [(tokens, {name: collect_parts(m, F.col("k").isin(1, -1) | _before_last().isin(tokens)) for name, m in models.items()}) for _, tokens in bins]
+    for _, tokens in bins:
+        yield tokens, {name: collect_parts(m, F.col("k").isin(1, -1) | _before_last().isin(tokens)) for name, m in models.items()}
 
 
 def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int = SHARD) -> DataFrame:
     """The kept columns of each document, n_tokens, and for each named model the sum of -ln p over its tokens.
 
     One narrow pass. A task takes its texts in groups of a bounded size and, with each shard of the tables
-    in turn, scores the places that the shard is for. A null or empty text has no tokens and losses of 0.
+    in turn, scores the places that the shard is for; it holds the bytes of the group, the n-grams of a
+    piece of it and one shard at a time. A null or empty text has no tokens and losses of 0.
     """
     (width,) = {m.order for m in models.values()}
     names = list(models)
@@ -283,19 +286,16 @@ def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int
     fields = [docs.schema[c] for c in keep]
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["n_tokens long"] + [f"loss_{m} double" for m in names])
 
-    def score(grams: list[np.ndarray]) -> np.ndarray:
-        size = np.array([len(g) for g in grams], np.int64)
-        sums = np.zeros((len(names), len(grams)))
-        flat = np.concatenate(grams) if grams else np.empty(0, np.int64)
-        owner = np.repeat(np.arange(len(grams)), size)
+    def score(raws: list[bytes]) -> np.ndarray:
+        sums = np.zeros((len(names), len(raws)))
         for mine, shared in held:
-            for a in range(0, len(flat), 1 << 18):
-                part, of = flat[a : a + (1 << 18)], owner[a : a + (1 << 18)]
+            scorers = _scorers(shared, names, width)
+            for grams, owner in _pieces(raws, width):
                 if len(held) > 1:
-                    here = mine[part >> 8 & 255]
-                    part, of = part[here], of[here]
-                for j, m in enumerate(names):
-                    sums[j] -= np.bincount(of, _scorer(shared, m, width).log_probabilities(part), len(grams))
+                    here = mine[grams >> 8 & 255]
+                    grams, owner = grams[here], owner[here]
+                for j, scorer in enumerate(scorers):
+                    sums[j] -= np.bincount(owner, scorer.log_probabilities(grams), len(raws))
         return sums
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -303,11 +303,11 @@ def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int
         group_size, group, waiting = (1_000_000 if len(held) == 1 else 16_000_000), 0, []
 
         def emit() -> Iterator[pa.RecordBatch]:
-            sums = score([g for _, grams in waiting for g in grams])
+            sums = score([r for _, raws in waiting for r in raws])
             at = 0
-            for batch, grams in waiting:
-                to = at + len(grams)
-                columns = [batch.column(c) for c in keep] + [pa.array([len(g) for g in grams], pa.int64())] + [pa.array(s[at:to]) for s in sums]
+            for batch, raws in waiting:
+                to = at + len(raws)
+                columns = [batch.column(c) for c in keep] + [pa.array(list(map(len, raws)), pa.int64())] + [pa.array(s[at:to]) for s in sums]
                 yield pa.RecordBatch.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]])
                 at = to
             waiting.clear()
@@ -315,9 +315,9 @@ def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int
         for whole in batches:
             for a in range(0, whole.num_rows, 100):
                 batch = whole.slice(a, 100)
-                grams = [packed(t.encode("utf-8", "surrogatepass"), width) if t else np.empty(0, np.int64) for t in batch.column("text").to_pylist()]
-                waiting.append((batch, grams))
-                group += sum(map(len, grams))
+                raws = [t.encode("utf-8", "surrogatepass") if t else b"" for t in batch.column("text").to_pylist()]
+                waiting.append((batch.select(keep), raws))
+                group += sum(map(len, raws))
                 if group > group_size:
                     yield from emit()
                     group = 0
@@ -327,15 +327,31 @@ def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int
     return map_batches(docs.select(*keep, *([] if "text" in keep else ["text"])), run, schema, rows=500)
 
 
-_SCORERS: dict = {}
-
-
-def _scorer(shared, name: str, order: int) -> Scorer:
-    """The tables of one model of a broadcast shard; those of the last few shards are kept from group to group."""
-    value = shared.value
-    key = (id(value), name)
-    if key not in _SCORERS or _SCORERS[key][0] is not value:
-        if len(_SCORERS) >= 4:
-            _SCORERS.clear()
-        _SCORERS[key] = (value, Scorer(value[name], order))
-    return _SCORERS[key][1]
+def _pieces(raws: list[bytes], order: int, most: int = 1 << 18) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """The n-grams of texts with the position of their text, at most ``most`` at a time."""
+    at = 0
+    while at < len(raws):
+        to, size = at + 1, len(raws[at])
+        while to < len(raws) and size + len(raws[to]) <= most:
+            size += len(raws[to])
+            to += 1
+        grams = np.concatenate([packed(r, order) for r in raws[at:to]])
+        owner = np.repeat(np.arange(at, to), [len(r) for r in raws[at:to]])
+        for a in range(0, size, most):
+            yield grams[a : a + most], owner[a : a + most]
+        at = to
+
+
+_LOADED: list = [None, []]
+
+
+def _scorers(shared, names: list[str], order: int) -> list[Scorer]:
+    """Scorers of the models of a broadcast shard. Those of the shard before are let go first, and so is the
+    value that the broadcast keeps, which is read again from its file if the shard comes round again."""
+    if _LOADED[0] is not shared:
+        _LOADED[:] = None, []
+        parts = shared.value
+        _LOADED[:] = shared, [Scorer(parts[m], order) for m in names]
+        if getattr(shared, "_path", None):
+            shared.__dict__.pop("_value", None)
+    return _LOADED[1]
