@@ -2,7 +2,8 @@
 
 Trusted text is that of documents labelled with quality 1. Four fifths of it, by a hash of the id, train
 the model; the rest tells what perplexity clean text of a language has when the model has not seen it. A
-document is kept if its perplexity is at most ``margin`` times its language's ``quantile`` there. A
+document is kept if its perplexity is at most ``margin`` times its language's ``quantile`` there. The
+quantile is one that fifty documents can estimate and that a few odd ones among them do not move. A
 language with fewer than MIN_CALIBRATION such documents (a null language is one of its own) has the
 quantile of all of them. Quantiles are taken over perplexities in steps of a thousandth of their logarithm,
 so they are exact, mergeable counts and the same in every run.
@@ -27,7 +28,7 @@ from .ngram_lm import ORDER, Model, counts, estimate, losses
 
 #: Order of the two models whose losses are compared.
 SELECTION_ORDER = 6
-QUANTILE, MARGIN = 0.999, 1.1
+QUANTILE, MARGIN = 0.9, 1.15
 MIN_CALIBRATION = 50
 STEPS = 1000
 #: Most labelled ids that are broadcast; more are joined by a shuffle.

@@ -219,6 +219,20 @@ def test_quality_rejects_noise_and_keeps_trusted_text(spark):
     assert sum(good) / len(good) > 0.99 and sum(bad) / len(bad) < 0.15
 
 
+def test_quality_rejects_junk_of_larger_tables(spark):
+    docs, known = spark.read.parquet("/root/testdata/sf0.1/documents.parquet"), spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
+    rows = quality.score(docs, known, ["doc_id"]).join(known, "doc_id").select("quality", "toxic", "kept").collect()
+    share = lambda q, t: np.mean([r.kept for r in rows if r.quality == q and r.toxic in t])
+    # Perplexity cannot see insults: clean texts with them stay.
+    assert share(0, (0, 1)) < 0.1 and share(1, (0,)) > 0.98 and share(1, (1,)) > 0.98
+
+
+def test_one_odd_calibration_document_does_not_set_the_limit(spark):
+    rows = [("en", 4.0 + i / 100) for i in range(59)] + [("en", 90.0)]
+    limits, overall = quality.thresholds(spark.createDataFrame(rows, "lang string, perplexity double"))
+    assert limits.first().threshold < 6 and overall < 6
+
+
 def test_quality_and_difference_of_odd_rows(spark):
     rows = {(r.doc_id, r.n_tokens): r for r in quality.score(odd(spark), labels(spark), ["doc_id"]).collect()}
     assert rows[None, 0].perplexity is None and rows[None, 0].kept is False
