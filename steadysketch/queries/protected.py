@@ -101,24 +101,29 @@ def retired_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reporter.state(spark).select("row", "bucket", "accesses", (F.col("accesses") < _RETIRE).alias("active"))
 
 
-def _hourly(spark: SparkSession, sf_dir: str, gate: Gate, hours: int) -> tuple[RobustReporter, DataFrame, DataFrame]:
-    vec = V.hourly_users(spark, sf_dir).where(F.col("query_id") < hours)
+def _hourly(spark: SparkSession, sf_dir: str, gate: Gate, hours: int | None = None) -> tuple[RobustReporter, DataFrame, DataFrame]:
+    """A reporter, the vectors of the first hours or of all, and their estimates."""
+    vec = V.hourly_users(spark, sf_dir)
+    if hours is None:
+        hours = vec.select("query_id").distinct().count()
+    else:
+        vec = vec.where(F.col("query_id") < hours)
     est = S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS, hours)
     return RobustReporter(USERS, gate), vec, est
 
 
 @query()
 def robust_threshold_sequence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Robust reports of the first hours through one gate whose buckets retire."""
-    reporter, _, est = _hourly(spark, sf_dir, GATE, 10)
+    """Robust reports of all hours in turn through one gate whose buckets retire."""
+    reporter, _, est = _hourly(spark, sf_dir, GATE)
     return report_frame(spark, reporter.run(est))
 
 
 @query()
 def bucket_health(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Share of each user's buckets that a sequence of reports has retired."""
+    """Share of each user's buckets that the reports of all hours have retired."""
     gate = Gate(GATE.eps, GATE.delta, 4, GATE.seed, "scaled", GATE.factor)
-    reporter, vec, est = _hourly(spark, sf_dir, gate, 6)
+    reporter, vec, est = _hourly(spark, sf_dir, gate)
     reporter.run(est)
     return reporter.retired_share(vec)
 

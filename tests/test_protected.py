@@ -1,6 +1,7 @@
 import numpy as np
 from pyspark.sql import functions as F
 
+from steadysketch.catalog import QUERIES
 from steadysketch.operators import baselines as B
 from steadysketch.operators import estimators as E
 from steadysketch.operators import sketch as S
@@ -9,6 +10,7 @@ from steadysketch.operators.gate import AT_LEAST, AT_MOST, Accesses, Gate, survi
 from steadysketch.operators.layouts import RowHashed
 from steadysketch.operators.robust import ContinuousReporter, RobustReporter, serial_report
 from steadysketch.operators.weights import private_median, scan, scan_naive
+from steadysketch.sources import vectors as V
 
 LAYOUT = RowHashed(33, 16, seed=5)
 OPEN = Gate(0.1, 1e-6, 1000, 7, "scaled", 1e-4)
@@ -145,3 +147,11 @@ def test_frequent_counters_bound_the_counts(spark):
     low = {r["item"]: r.low for r in B.l1_frequent(items, "x", 3).collect()}
     assert all(true[i] - 3000 / 3 * 2 <= n <= true[i] for i, n in low.items())
     assert 1 in low
+
+
+def test_sequences_go_through_all_hours(spark):
+    data = "/root/testdata/sf0.001"
+    vec = V.hourly_users(spark, data)
+    assert QUERIES["bucket_health"](spark, data).count() == vec.select("key").distinct().count()
+    hours = {r.query_id for r in QUERIES["robust_threshold_sequence"](spark, data).collect()}
+    assert max(hours) >= 10
