@@ -128,14 +128,20 @@ def bucket_health(spark: SparkSession, sf_dir: str) -> DataFrame:
     return reporter.retired_share(vec)
 
 
-def continuous(spark: SparkSession, sf_dir: str, steps: int, weights: int | None) -> tuple[ContinuousReporter, list[tuple]]:
+def weight_bound(rows: DataFrame) -> int:
+    """The sum of absolute values: no key's weight and no bucket's estimate is beyond it at any time."""
+    return int(rows.agg(F.sum(F.abs("value"))).first()[0] or 0)
+
+
+def continuous(spark: SparkSession, sf_dir: str, steps: int, weights: bool) -> tuple[ContinuousReporter, list[tuple]]:
     """The continuous report over steps of ten days' events, each step adding its changes to the vector."""
     events = V.read_table(spark, sf_dir, "events", ["event_id", "user_id", "value"])
     bound = events.agg(F.max("event_id")).first()[0] + 1
     rows = events.select((F.floor(F.col("event_id") * steps / F.lit(bound))).cast("bigint").alias("step"), F.pow(F.col("user_id") % 32, 2).cast("bigint").alias("key"), V.cents("value").alias("value")).where("value is not null")
     rows = rows.groupBy("step", "key").agg(F.sum("value").alias("value")).persist()
     gate = Gate(GATE.eps, GATE.delta, 256, GATE.seed, "scaled", GATE.factor)
-    reporter, out = ContinuousReporter(PARTS, gate, weights_up_to=weights), []
+    scaled = rows.withColumn("value", F.col("value") * F.when(F.col("key") < 4, 40).otherwise(1))
+    reporter, out = ContinuousReporter(PARTS, gate, weights_up_to=weight_bound(scaled) if weights else None), []
     for step in range(steps):
         upto = rows.where(F.col("step") <= step).groupBy("key").agg(F.sum("value").alias("value")).select(F.lit(0).cast("bigint").alias("query_id"), "key", "value")
         # Users of ids near zero get most of the weight: the change of a key is multiplied by its rarity.
@@ -149,19 +155,19 @@ def continuous(spark: SparkSession, sf_dir: str, steps: int, weights: int | None
 
 @query()
 def robust_hysteresis_events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(continuous(spark, sf_dir, 8, None)[1], REPORT).drop("count", "weight")
+    return spark.createDataFrame(continuous(spark, sf_dir, 8, False)[1], REPORT).drop("count", "weight")
 
 
 @query()
 def tracked_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame(continuous(spark, sf_dir, 6, 50_000_000)[1], REPORT).drop("count")
+    return spark.createDataFrame(continuous(spark, sf_dir, 6, True)[1], REPORT).drop("count")
 
 
 @query()
 def weight_scan_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Weights of the robustly reported keys, beside their true values and the promised error."""
     vec = V.skewed_parts(spark, sf_dir)
-    reporter = RobustReporter(PARTS, OPEN, weights_up_to=2_000_000)
+    reporter = RobustReporter(PARTS, OPEN, weights_up_to=weight_bound(vec))
     found = report_frame(spark, {0: reporter.step(0, estimated(vec, PARTS))})
     joined = found.join(vec, ["query_id", "key"]).join(E.tail_norm2(vec, 4, summed=True, queries=1), "query_id")
     return joined.select("query_id", "key", "weight", "value", F.sqrt(F.col("tail2") / 4).alias("promised"), (F.abs(F.col("weight") - F.col("value")) <= F.sqrt(F.col("tail2") / 4)).alias("within"))

@@ -155,3 +155,9 @@ def test_sequences_go_through_all_hours(spark):
     assert QUERIES["bucket_health"](spark, data).count() == vec.select("key").distinct().count()
     hours = {r.query_id for r in QUERIES["robust_threshold_sequence"](spark, data).collect()}
     assert max(hours) >= 10
+
+
+def test_weights_are_not_clipped_on_larger_tables(spark):
+    rows = QUERIES["weight_scan_parts"](spark, "/root/testdata/sf0.1").collect()
+    heaviest = max(rows, key=lambda r: r.value)
+    assert heaviest.value > 2_000_000 and heaviest.weight != 2_000_000 and heaviest.within
