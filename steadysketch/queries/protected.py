@@ -134,20 +134,24 @@ def weight_bound(rows: DataFrame) -> int:
 
 
 def continuous(spark: SparkSession, sf_dir: str, steps: int, weights: bool) -> tuple[ContinuousReporter, list[tuple]]:
-    """The continuous report over steps of ten days' events, each step adding its changes to the vector."""
-    events = V.read_table(spark, sf_dir, "events", ["event_id", "user_id", "value"])
-    bound = events.agg(F.max("event_id")).first()[0] + 1
-    rows = events.select((F.floor(F.col("event_id") * steps / F.lit(bound))).cast("bigint").alias("step"), F.pow(F.col("user_id") % 32, 2).cast("bigint").alias("key"), V.cents("value").alias("value")).where("value is not null")
+    """The continuous report of users over steps of equal time, each adding its events to the vector."""
+    events = V.read_table(spark, sf_dir, "events", ["ts", "user_id", "value"]).select(F.unix_timestamp("ts").alias("at"), F.col("user_id").alias("key"), V.cents("value").alias("value"))
+    events = events.where("at is not null and key is not null and value is not null")
+    first, last = events.agg(F.min("at"), F.max("at")).first()
+    if first is None:
+        return ContinuousReporter(PARTS, GATE), []
+    step_of = F.floor((F.col("at") - first) * steps / F.lit(last - first + 1)).cast("bigint")
+    # Users of ids near zero get most of the weight.
+    rows = events.select(step_of.alias("step"), "key", (F.col("value") * F.when(F.col("key") < 4, 40).otherwise(1)).alias("value"))
     rows = rows.groupBy("step", "key").agg(F.sum("value").alias("value")).persist()
     gate = Gate(GATE.eps, GATE.delta, 256, GATE.seed, "scaled", GATE.factor)
-    scaled = rows.withColumn("value", F.col("value") * F.when(F.col("key") < 4, 40).otherwise(1))
-    reporter, out = ContinuousReporter(PARTS, gate, weights_up_to=weight_bound(scaled) if weights else None), []
+    reporter, out = ContinuousReporter(PARTS, gate, weights_up_to=weight_bound(rows) if weights else None), []
     for step in range(steps):
         upto = rows.where(F.col("step") <= step).groupBy("key").agg(F.sum("value").alias("value")).select(F.lit(0).cast("bigint").alias("query_id"), "key", "value")
-        # Users of ids near zero get most of the weight: the change of a key is multiplied by its rarity.
-        heavy = upto.withColumn("value", F.col("value") * F.when(F.col("key") < 4, 40).otherwise(1))
-        changes = {k: v for k, v in rows.where(F.col("step") == step).select("key", F.col("value") * F.when(F.col("key") < 4, 40).otherwise(1)).collect()}
-        for key, (sign, weight) in reporter.advance(step, estimated(heavy, PARTS), changes).items():
+        # Only keys inside have a weight to follow.
+        held = spark.createDataFrame([(k,) for k in reporter.inside], "key bigint")
+        changes = {k: v for k, v in rows.where(F.col("step") == step).join(F.broadcast(held), "key", "left_semi").select("key", "value").collect()}
+        for key, (sign, weight) in reporter.advance(step, estimated(upto, PARTS), changes).items():
             out.append((step, key, sign, 0, weight))
     rows.unpersist()
     return reporter, out

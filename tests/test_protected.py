@@ -161,3 +161,10 @@ def test_weights_are_not_clipped_on_larger_tables(spark):
     rows = QUERIES["weight_scan_parts"](spark, "/root/testdata/sf0.1").collect()
     heaviest = max(rows, key=lambda r: r.value)
     assert heaviest.value > 2_000_000 and heaviest.weight != 2_000_000 and heaviest.within
+
+
+def test_continuous_report_is_of_users(spark):
+    data = "/root/testdata/sf0.001"
+    users = {r.key for r in V.user_values(spark, data).select("key").distinct().collect()}
+    found = {r.key for r in QUERIES["robust_hysteresis_events"](spark, data).collect()}
+    assert found and found <= users and found - {(u % 32) ** 2 for u in users}
