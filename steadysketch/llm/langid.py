@@ -80,7 +80,7 @@ def training_counts(docs: DataFrame, per_language: int = PROFILE_DOCS) -> DataFr
     sizes = rows.groupBy("lang").agg(F.count("*").alias("rows_of_lang"))
     share = F.lit(float(per_language)) / F.col("rows_of_lang")
     place = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) / float(1 << 30)
-    chosen = rows.join(F.broadcast(sizes.limit(MAX_LANGUAGES)), "lang").where(place < share).select("lang", "text")
+    chosen = rows.join(F.broadcast(sizes.limit(MAX_LANGUAGES + 1)), "lang").where(place < share).select("lang", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, list[np.ndarray]] = {}

@@ -129,6 +129,12 @@ def test_language_distance_equals_brute_force():
         assert np.where(place < 0, 3, np.abs(place - np.arange(len(own))[:, None])).sum(axis=0)[k] == want
 
 
+def test_too_many_languages_are_refused(spark, monkeypatch):
+    monkeypatch.setattr(langid, "MAX_LANGUAGES", 1)
+    with pytest.raises(ValueError):
+        langid.learn_profiles(documents(spark))
+
+
 def test_language_of_odd_texts(spark):
     docs = frame(spark, ODD)
     profiles = langid.learn_profiles(documents(spark))
