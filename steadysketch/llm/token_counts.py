@@ -9,12 +9,16 @@ pieces and is remembered. States and transitions are compiled when first needed
 table. Between two characters that no piece holds side by side nothing ever merges, so the machine is
 back at its start there.
 
-A chunk of text has a state map: what precedes its first such boundary acts on the entry state, the
-rest is a constant count and exit state. Maps compose associatively, and a prefix scan in doubling
-steps over the chunks of a text gives the count at the end of every chunk.
+Every text of more than one chunk is counted by state maps. The map of a chunk is a table from entry
+states to exit state and count. Its first row is for the state that the end of the chunk before leads to
+when read from the start, which is nearly always the true one; other rows are added when a composition
+asks for them, each once. Behind the first boundary of a chunk all entries go on alike, so only what
+precedes it is read again. Maps compose associatively: a reduction in a balanced tree gives a text's
+count, a prefix scan in doubling steps the count at the end of every chunk. States are kept by value, so
+maps outlive the compiled table, and what is held is a table row for each chunk, whatever the text.
 
 Defined results: null counts as empty text, which has no tokens; n_bytes is the length in UTF-8;
-columns besides doc_id and text are ignored.
+columns besides doc_id and text are ignored; of repeated rows each is counted.
 """
 
 from __future__ import annotations
@@ -29,11 +33,15 @@ from pyspark.sql import DataFrame
 from .common import map_batches, texts
 
 MARK = "▁"
-START = 0
+#: A state: (suffix, piece that ends before it, count there less the count here) for each suffix that can grow.
+State = tuple[tuple[str, str, int], ...]
+START: State = (("", "", 0),)
 #: Transitions a worker compiles, and segments it remembers, before it starts anew; results never depend on it.
-COMPILED, REMEMBER = 800_000, 500_000
-#: Characters of a chunk.
-CHUNK = 1 << 16
+COMPILED, REMEMBER = 400_000, 200_000
+#: Longest segment that is remembered, in characters.
+SHORT = 64
+#: Characters of a chunk, and of the end of the chunk before that tell its likely entry state.
+CHUNK, OVERLAP = 1 << 12, 64
 
 SCHEMA = "doc_id long, n_bytes long, n_tokens long, over_limit boolean"
 
@@ -59,14 +67,16 @@ def read_model(path: str) -> Vocabulary:
     return Vocabulary({p.piece: p.score for p in proto.pieces if p.type == 1}, rules.add_dummy_prefix)
 
 
-@dataclass(frozen=True)
 class StateMap:
-    """Effect of a chunk: ``head`` acts on the entry state; a closed map then adds ``count`` and leaves in ``exit``."""
+    """Exit state and count by entry state, of a chunk or of two maps one after the other."""
+
+    __slots__ = ("first", "head", "rest", "rows", "then")
 
-    head: str
-    count: int = 0
-    exit: int = START
-    closed: bool = False
+    def __init__(self, head: str = "", rest: tuple[State, int] | None = None, first: StateMap | None = None, then: StateMap | None = None):
+        self.rows: dict[State, tuple[State, int]] = {}
+        #: Of a chunk: the text before its first boundary, and exit state and count of what follows it.
+        self.head, self.rest = head, rest
+        self.first, self.then = first, then
 
 
 class Transducer:
@@ -87,11 +97,20 @@ class Transducer:
         self._restart()
 
     def _restart(self) -> None:
-        #: A state is a tuple of (suffix, piece that ends before it, count there less the count here).
-        self.states: list[tuple[tuple[str, str, int], ...]] = [(("", "", 0),)]
-        self.numbers = {self.states[0]: START}
-        self.moves: list[dict[str, tuple[int, int]]] = [{}]
+        self.states: list[State] = []
+        self.numbers: dict[State, int] = {}
+        self.moves: list[dict[str, tuple[int, int]]] = []
         self.made = 0
+        self.beside.clear()
+        self.whole.clear()
+        self.start = self._number(START)
+
+    def _number(self, state: State) -> int:
+        number = self.numbers.setdefault(state, len(self.states))
+        if number == len(self.states):
+            self.states.append(state)
+            self.moves.append({})
+        return number
 
     # -- compilation ------------------------------------------------------------------------------
     def merges(self, text: str) -> list[str]:
@@ -121,44 +140,62 @@ class Transducer:
         held = self.states[state]
         before = held[-1][1]
         if before and before[-1] + char not in self.side_by_side:
-            held = self.states[START]
+            held = START
         if char not in self.scores:
-            move = (START, len(char.encode("utf-8", "surrogatepass")))
+            move = (self.start, len(char.encode("utf-8", "surrogatepass")))
         else:
             grown = [(suffix + char, left, at) for suffix, left, at in held]
             piece, delta = next((s, at + 1) for s, left, at in grown if s in self.scores and self._stays(left, s))
             new = tuple((s, left, at - delta) for s, left, at in grown if s in self.growing) + (("", piece, 0),)
-            number = self.numbers.setdefault(new, len(self.states))
-            if number == len(self.states):
-                self.states.append(new)
-                self.moves.append({})
-            move = (number, delta)
+            move = (self._number(new), delta)
         self.moves[state][char] = move
         self.made += 1
         return move
 
-    def run(self, state: int, text: str) -> tuple[int, int]:
+    def run(self, state: State, text: str) -> tuple[State, int]:
         """Exit state and count after reading ``text`` from ``state``."""
-        total, moves = 0, self.moves
+        if self.made > COMPILED:
+            self._restart()
+        total, moves, at = 0, self.moves, self._number(state)
         for char in text:
-            move = moves[state].get(char) or self._compile(state, char)
-            state = move[0]
+            move = moves[at].get(char) or self._compile(at, char)
+            at = move[0]
             total += move[1]
-        return state, total
+        return self.states[at], total
 
     # -- chunks -----------------------------------------------------------------------------------
-    def chunk_map(self, chunk: str) -> StateMap:
+    def chunk_map(self, chunk: str, before: str = "") -> StateMap:
+        """Map of a chunk, with the row of the state that ``before``, the end of the text before it, leads to."""
         parts = self.segments(chunk)
         if len(parts) < 2:
-            return StateMap(chunk)
-        state, total = self.run(START, parts[-1])
-        return StateMap(parts[0], total + self._sum(parts[1:-1]), state, True)
+            out = StateMap(chunk)
+        else:
+            state, total = self.run(START, parts[-1])
+            out = StateMap(parts[0], (state, total + self._sum(parts[1:-1])))
+        self.effect(out, self.run(START, before)[0])
+        return out
+
+    def effect(self, held: StateMap, entry: State) -> tuple[State, int]:
+        """The row of an entry state, compiled if it is the first time that it is asked for."""
+        row = held.rows.get(entry)
+        if row is None:
+            if held.first is not None:
+                middle, count = self.effect(held.first, entry)
+                state, more = self.effect(held.then, middle)
+                row = state, count + more
+            else:
+                state, count = self.run(entry, held.head)
+                row = (held.rest[0], count + held.rest[1]) if held.rest else (state, count)
+            held.rows[entry] = row
+        return row
 
     def compose(self, first: StateMap, then: StateMap) -> StateMap:
-        if not first.closed:
-            return StateMap(first.head + then.head, then.count, then.exit, then.closed)
-        state, total = self.run(first.exit, then.head)
-        return StateMap(first.head, first.count + total + then.count, then.exit if then.closed else state, True)
+        """The map of one text after the other, with a row for each row of the first."""
+        out = StateMap(first=first, then=then)
+        for entry, (middle, count) in list(first.rows.items()):
+            state, more = self.effect(then, middle)
+            out.rows[entry] = state, count + more
+        return out
 
     def prefix_scan(self, maps: list[StateMap]) -> list[StateMap]:
         """Map of every run of chunks from the first, in ceil(log2(n)) steps whose compositions are independent."""
@@ -168,40 +205,51 @@ class Transducer:
             reach *= 2
         return maps
 
+    def reduction(self, maps: list[StateMap]) -> StateMap:
+        """Map of all chunks together, neighbours composed in ceil(log2(n)) steps."""
+        while len(maps) > 1:
+            maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
+        return maps[0]
+
     def apply(self, done: StateMap) -> int:
-        return self.run(START, done.head)[1] + done.count
+        return self.effect(done, START)[1]
 
     def _sum(self, parts: list[str]) -> int:
-        """Counts of segments that each begin at the start state; those met before are remembered."""
+        """Counts of segments that each begin at the start state; short ones met before are remembered."""
         memory = self.memory
         try:
             return sum(map(memory.__getitem__, parts))
         except KeyError:
-            for part in set(parts).difference(memory):
-                memory[part] = self.run(START, part)[1]
-            return sum(map(memory.__getitem__, parts))
+            pass
+        total = 0
+        for part in parts:
+            n = memory.get(part)
+            if n is None:
+                n = self.run(START, part)[1]
+                if len(part) <= SHORT:
+                    memory[part] = n
+            total += n
+        return total
 
     def prepared(self, text: str) -> str:
         return (MARK if self.add_prefix else "") + text.replace(" ", MARK) if text else ""
 
+    def maps(self, ready: str, size: int) -> list[StateMap]:
+        return [self.chunk_map(ready[i : i + size], ready[max(0, i - OVERLAP) : i]) for i in range(0, len(ready), size)]
+
     def count(self, text: str | None) -> int:
         if not text:
             return 0
-        if self.made > COMPILED:
-            self._restart()
         if len(self.memory) > REMEMBER:
             self.memory.clear()
         ready = self.prepared(text)
         if len(ready) <= CHUNK:
             return self._sum(self.segments(ready))
-        maps = [self.chunk_map(ready[i : i + CHUNK]) for i in range(0, len(ready), CHUNK)]
-        return self.apply(self.prefix_scan(maps)[-1])
+        return self.apply(self.reduction(self.maps(ready, CHUNK)))
 
     def counts_by_chunk(self, text: str, size: int = CHUNK) -> list[int]:
         """Tokens of the text's prefixes that end with each chunk of ``size`` characters (of the prepared text)."""
-        ready = self.prepared(text)
-        maps = [self.chunk_map(ready[i : i + size]) for i in range(0, len(ready), size)]
-        return [self.apply(m) for m in self.prefix_scan(maps)]
+        return [self.apply(m) for m in self.prefix_scan(self.maps(self.prepared(text), size))]
 
 
 _MACHINES: dict[int, Transducer] = {}

@@ -100,7 +100,7 @@ def test_chunk_maps_compose_to_whole_counts():
     maps = [machine.chunk_map(c) for c in ("▁he", "llo▁wo", "rld", "▁x\n", "yz")]
     left = machine.compose(machine.compose(maps[0], maps[1]), maps[2])
     right = machine.compose(maps[0], machine.compose(maps[1], maps[2]))
-    assert machine.apply(left) == machine.apply(right) == machine.run(0, "▁hello▁world")[1]
+    assert machine.apply(left) == machine.apply(right) == machine.run(token_counts.START, "▁hello▁world")[1]
 
 
 # -- language -------------------------------------------------------------------------------------
