@@ -2,13 +2,14 @@
 
 A vector is approximated by the sum of one entry from each of several codebooks of full dimension. The
 codebooks start as those of repeated k-means on residuals over a bounded sample and are then refitted
-together by least squares to the codes that beam search gives the sample. Every row is encoded by beam
-search and stored with its code, the norm of its approximation and the vector itself.
+together by least squares to the codes that beam search gives the sample. The index has a row for each
+distinct vector: its smallest ids, the vector, its code by beam search and the norm of its approximation.
 
-Search runs in blocks of queries against all rows: a lookup table holds each query's product with each
-codebook entry, so the approximate distance of a row is a sum of looked-up values and its stored norm;
-in each batch the best approximate candidates are measured exactly and a task hands on its ``k`` nearest
-per query. Equal vectors of a batch are searched once and stand for their smallest ids.
+Search runs in blocks of distinct query vectors against the whole index: a lookup table holds each query's
+product with each codebook entry, so the approximate distance of a row is a sum of looked-up values and
+its stored norm. A query has one budget for the whole table: a task hands on its ``rerank`` best by codes,
+the best ``rerank`` of all tasks are joined to their vectors and measured exactly, and nothing else is.
+So neither batches nor partitions change what is found.
 
 Defined results: vectors that are null, zero, or hold nulls or non-finite components take no part, nor
 do rows with a null id or with a dimension other than the commonest; a query is never its own candidate
@@ -26,14 +27,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..runtime import materialise
+from ..runtime import discard, materialise
 from .common import map_batches
 
-BOOKS, ENTRIES, BEAM = 12, 256, 4
+BOOKS, ENTRIES, BEAM = 16, 256, 4
 #: Rows that the codebooks are fitted on, at most about this many, taken by a hash of the id.
 SAMPLE = 12_000
-#: Rows of a batch, exact measurements per query and batch, queries of a block.
-BATCH, RERANK, BLOCK = 4_096, 256, 4_096
+#: Rows of a batch, exact measurements per query in the whole table, distinct query vectors of a block.
+BATCH, RERANK, BLOCK = 4_096, 1_024, 2_048
 
 
 @dataclass
@@ -66,12 +67,15 @@ def _means(x: np.ndarray, k: int, rng: np.random.Generator, rounds: int = 8) ->
     for _ in range(rounds):
         near = ((centres**2).sum(1) - 2 * x @ centres.T).argmin(1)
         size = np.bincount(near, minlength=k)
-        total = np.zeros_like(centres)
-        np.add.at(total, near, x)
-        centres[size > 0] = total[size > 0] / size[size > 0, None]
+        centres[size > 0] = _sums(x, near, k)[size > 0] / size[size > 0, None]
     return centres
 
 
+def _sums(x: np.ndarray, group: np.ndarray, groups: int) -> np.ndarray:
+    """Sums of the rows of x by group."""
+    return np.stack([np.bincount(group, column, groups) for column in x.T], axis=1)
+
+
 def fit(x: np.ndarray, books: int = BOOKS, entries: int = ENTRIES, rounds: int = 2, seed: int = 7) -> Quantiser:
     rng = np.random.default_rng(seed)
     x = x.astype(np.float32)
@@ -87,9 +91,7 @@ def fit(x: np.ndarray, books: int = BOOKS, entries: int = ENTRIES, rounds: int =
         spots = np.concatenate(parts).astype(np.int64) + np.arange(books) * entries
         size = books * entries
         together = sum(np.bincount((spots[:, [i]] * size + spots[:, [j]]).ravel(), minlength=size * size) for i in range(books) for j in range(books)).reshape(size, size)
-        right = np.zeros((size, x.shape[1]))
-        for i in range(books):
-            np.add.at(right, spots[:, i], x)
+        right = sum(_sums(x, spots[:, i], size) for i in range(books))
         solved = np.linalg.solve(together + 0.1 * np.eye(size), right + 0.1 * quantiser.books.reshape(size, -1))
         quantiser = Quantiser(solved.astype(np.float32).reshape(quantiser.books.shape))
     return quantiser
@@ -110,15 +112,44 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return values.reshape(len(column), -1) if len(column) else values.reshape(0, 0)
 
 
-def build_index(rows: DataFrame, sample: int = SAMPLE) -> tuple[DataFrame, Quantiser] | None:
-    """The index table (vec_id, embedding, codes, norm) over every row, and its quantiser; None without rows."""
-    n = rows.count()
+def distinct(rows: DataFrame, most: int) -> DataFrame:
+    """(vec_id, ids, embedding): each distinct vector with its smallest id and its ``most`` smallest ids.
+
+    A task keeps that many ids of a vector before anything is shuffled, so a vector that a third of all
+    rows have costs a row for each task.
+    """
+    kind = rows.schema["embedding"].dataType.simpleString()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            ids = batch.column("vec_id").to_numpy()
+            order = np.argsort(ids, kind="stable")
+            x = _matrix(batch.column("embedding"))[order] + 0.0  # one zero
+            _, first, member = np.unique(np.ascontiguousarray(x).view([("", np.void, x.shape[1] * 8)]).ravel(), return_index=True, return_inverse=True)
+            by_kind = np.argsort(member, kind="stable")
+            cuts = np.searchsorted(member[by_kind], np.arange(len(first) + 1))
+            found = [ids[order[by_kind[a : min(b, a + most)]]] for a, b in zip(cuts, cuts[1:])]
+            yield pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.int64())), batch.column("embedding").take(pa.array(order[first]))], ["ids", "embedding"])
+
+    # As map entries are never compared, a zero of either sign is one key only after this.
+    plain = F.transform("embedding", lambda v: v + F.lit(0).cast(kind[6:-1])).alias("embedding")
+    local = map_batches(rows.select("vec_id", "embedding"), run, f"ids array<long>, embedding {kind}", rows=BATCH).select("ids", plain)
+    least = F.slice(F.array_sort(F.flatten(F.collect_list("ids"))), 1, most)
+    return local.groupBy("embedding").agg(least.alias("ids")).select(F.element_at("ids", 1).alias("vec_id"), "ids", "embedding")
+
+
+def build_index(rows: DataFrame, k: int = 10, sample: int = SAMPLE) -> tuple[DataFrame, Quantiser] | None:
+    """The index table (vec_id, ids, embedding, codes, norm) over every distinct vector, and its quantiser; None without rows."""
+    kinds = materialise(distinct(rows, k + 1), "distinct")
+    n = kinds.count()
     if not n:
         return None
     place = F.pmod(F.xxhash64("vec_id", F.lit("fit")), F.lit(1 << 30)) / float(1 << 30)
-    taken = rows.where(place < sample / n).limit(2 * sample).toArrow()
+    taken = kinds.where(place < sample / n).select("vec_id", "embedding").limit(2 * sample).toArrow()
     if not taken.num_rows:
-        taken = rows.limit(256).toArrow()
+        taken = kinds.select("vec_id", "embedding").limit(256).toArrow()
     taken = taken.sort_by("vec_id")
     quantiser = fit(_matrix(taken.column("embedding").combine_chunks()))
     shared = rows.sparkSession.sparkContext.broadcast(quantiser)
@@ -127,89 +158,110 @@ def build_index(rows: DataFrame, sample: int = SAMPLE) -> tuple[DataFrame, Quant
         for batch in batches:
             if batch.num_rows:
                 codes, near = shared.value.encode(_matrix(batch.column("embedding")))
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column("vec_id"), batch.column("embedding"), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array((near**2).sum(1))],
-                    ["vec_id", "embedding", "codes", "norm"],
-                )
+                found = [batch.column(c) for c in ("vec_id", "ids", "embedding")] + [pa.array([c.tobytes() for c in codes], pa.binary()), pa.array((near**2).sum(1))]
+                yield pa.RecordBatch.from_arrays(found, ["vec_id", "ids", "embedding", "codes", "norm"])
 
     kind = rows.schema["embedding"].dataType.simpleString()
-    return materialise(map_batches(rows, run, f"vec_id long, embedding {kind}, codes binary, norm double", rows=BATCH), "vectors"), quantiser
+    index = materialise(map_batches(kinds, run, f"vec_id long, ids array<long>, embedding {kind}, codes binary, norm double", rows=BATCH), "vectors")
+    discard(kinds)
+    return index, quantiser
+
 
+def by_codes(index: DataFrame, queries: DataFrame, quantiser: Quantiser, rerank: int) -> DataFrame:
+    """(query, vec_id, near): for each query vector (vec_id, embedding) the ``rerank`` nearest index rows by their codes.
 
-def _distinct(ids: np.ndarray, x: np.ndarray, k: int) -> tuple[np.ndarray, list[np.ndarray]]:
-    """First rows of the distinct vectors, and the k + 1 smallest ids of each."""
-    order = np.argsort(ids, kind="stable")
-    kinds = np.ascontiguousarray(x[order]).view([("", np.void, x.shape[1] * 8)]).ravel()
-    _, first, member = np.unique(kinds, return_index=True, return_inverse=True)
-    by_kind = np.argsort(member, kind="stable")
-    cuts = np.searchsorted(member[by_kind], np.arange(len(first) + 1))
-    return order[first], [ids[order[by_kind[a : min(b, a + k + 1)]]] for a, b in zip(cuts, cuts[1:])]
+    ``queries`` are at most a block; they and the codebooks are all that is broadcast.
+    """
+    table = queries.select("vec_id", "embedding").toArrow()
+    shared = index.sparkSession.sparkContext.broadcast((table.column("vec_id").to_numpy(), _matrix(table.column("embedding").combine_chunks()), quantiser))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, q, coder = shared.value
+        if not len(q):
+            return
+        products = np.einsum("qd,mkd->qmk", q, coder.books.astype(np.float64)).astype(np.float32)
+        near, ids = np.empty((len(q), 0), np.float32), np.empty((len(q), 0), np.int64)
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            codes = np.frombuffer(b"".join(batch.column("codes").to_pylist()), np.uint8).reshape(batch.num_rows, -1)
+            norm, own = batch.column("norm").to_numpy().astype(np.float32), batch.column("vec_id").to_numpy()
+            room = min(rerank, near.shape[1] + len(own))
+            next_near, next_ids = np.empty((len(q), room), np.float32), np.empty((len(q), room), np.int64)
+            for a in range(0, len(q), 64):
+                part = slice(a, min(a + 64, len(q)))
+                here = np.broadcast_to(norm, (part.stop - a, len(own))).copy()
+                for m in range(codes.shape[1]):
+                    here -= 2 * products[part, m][:, codes[:, m]]
+                here = np.concatenate((near[part], here), axis=1)
+                names_here = np.concatenate((ids[part], np.broadcast_to(own, (part.stop - a, len(own)))), axis=1)
+                chosen = _smallest(here, names_here, room)
+                next_near[part], next_ids[part] = np.take_along_axis(here, chosen, 1), np.take_along_axis(names_here, chosen, 1)
+            near, ids = next_near, next_ids
+        for i in range(len(q)):
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(ids.shape[1], names[i])), pa.array(ids[i]), pa.array(near[i])], ["query", "vec_id", "near"])
+
+    found = map_batches(index.select("vec_id", "codes", "norm"), run, "query long, vec_id long, near float", rows=BATCH)
+    place = F.row_number().over(Window.partitionBy("query").orderBy("near", "vec_id"))
+    return found.withColumn("place", place).where(F.col("place") <= rerank).drop("place")
+
+
+def _smallest(values: np.ndarray, names: np.ndarray, room: int) -> np.ndarray:
+    """Positions of the ``room`` smallest values of each row; where several equal the largest of them, of the smallest names."""
+    if room == values.shape[1]:
+        return np.broadcast_to(np.arange(room), (len(values), room))
+    chosen = np.argpartition(values, room - 1, axis=1)[:, :room]
+    last = np.take_along_axis(values, chosen, 1).max(axis=1)
+    tied = (values == last[:, None]).sum(axis=1) > (np.take_along_axis(values, chosen, 1) == last[:, None]).sum(axis=1)
+    for i in np.nonzero(tied)[0]:
+        chosen[i] = np.lexsort((names[i], values[i]))[:room]
+    return chosen
 
 
 def search(index: DataFrame, quantiser: Quantiser, queries: DataFrame, k: int = 10, rerank: int = RERANK, block: int = BLOCK) -> DataFrame:
-    """query_id, rank, vec_id and score (Euclidean distance) of the k nearest found for each query."""
-    spark = index.sparkSession
-    queries = queries.dropDuplicates(["vec_id"])
-    blocks = max(1, -(-queries.count() // block))
+    """query_id, rank, vec_id and score (Euclidean distance) of the k nearest found for each query row (vec_id, embedding) of the indexed table."""
+    kinds = index.select(F.col("vec_id").alias("query"), "embedding")
+    # Equal query vectors are searched once.
+    asked = materialise(queries.select(F.col("vec_id").alias("query_id"), F.transform("embedding", lambda v: v + 0).cast(index.schema["embedding"].dataType).alias("embedding")).distinct().join(kinds, "embedding").select("query_id", "query"), "asked")
+    searched = materialise(asked.select("query").distinct().join(kinds, "query").select(F.col("query").alias("vec_id"), "embedding"), "searched")
+    blocks = max(1, -(-searched.count() // block))
     results = None
     for b in range(blocks):
-        table = queries.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toArrow()
-        held = (table.column("vec_id").to_numpy(), _matrix(table.column("embedding").combine_chunks()))
-        found = _search_block(index, spark.sparkContext.broadcast((*held, quantiser)), k, rerank)
-        found = materialise(found, "nearest") if blocks > 1 else found
-        results = found if results is None else results.unionAll(found)
-    place = F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))
-    return results.withColumn("rank", place).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+        part = searched.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b)
+        best = _measured(by_codes(index, part, quantiser, rerank), index, part, k)
+        answers = asked.join(F.broadcast(best), "query").select("query_id", F.explode(F.filter("best", lambda c: c["vec_id"] != F.col("query_id"))).alias("c")).select("query_id", "c.*")
+        place = F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))
+        answers = answers.withColumn("rank", place).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+        answers = materialise(answers, "nearest") if blocks > 1 else answers
+        results = answers if results is None else results.unionAll(answers)
+    return results
 
 
-def _search_block(index: DataFrame, shared, k: int, rerank: int) -> DataFrame:
+def _measured(chosen: DataFrame, index: DataFrame, queries: DataFrame, k: int) -> DataFrame:
+    """(query, best): exact distances of the chosen rows, the k + 1 nearest ids of each query vector in order, in one array.
+
+    One more than k, as the query's own id may be among them. Its size is that of a block of queries.
+    """
+    pairs = chosen.join(index.select("vec_id", "ids", "embedding"), "vec_id").join(F.broadcast(queries.select(F.col("vec_id").alias("query"), F.col("embedding").alias("asked"))), "query")
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        query_ids, q, quantiser = shared.value
-        products = np.einsum("qd,mkd->qmk", q, quantiser.books.astype(np.float64)).astype(np.float32) if len(q) else q
-        nearest = [(np.empty(0), np.empty(0, np.int64))] * len(q)
         for batch in batches:
-            if not batch.num_rows or not len(q):
-                continue
-            ids, x = batch.column("vec_id").to_numpy(), _matrix(batch.column("embedding"))
-            first, owners = _distinct(ids, x, k)
-            codes = np.frombuffer(b"".join(batch.column("codes").to_pylist()), np.uint8).reshape(len(ids), -1)[first]
-            norm = batch.column("norm").to_numpy()[first].astype(np.float32)
-            x, room = x[first], min(rerank, len(first))
-            for a in range(0, len(q), 64):
-                part = slice(a, min(a + 64, len(q)))
-                if room < len(first):
-                    near = np.broadcast_to(norm, (part.stop - a, len(first))).copy()
-                    for m in range(codes.shape[1]):
-                        near -= 2 * products[part, m][:, codes[:, m]]
-                    chosen = np.argpartition(near, room - 1, axis=1)[:, :room]
-                else:
-                    chosen = np.broadcast_to(np.arange(room), (part.stop - a, room))
-                exact = np.sqrt(((x[chosen] - q[part, None, :]) ** 2).sum(-1))
-                for i, row in enumerate(range(a, part.stop)):
-                    nearest[row] = _merged(nearest[row], exact[i], [owners[c] for c in chosen[i]], query_ids[row], k)
-        for query_id, (score, ids) in zip(query_ids, nearest):
-            if len(ids):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(ids), query_id)), pa.array(ids), pa.array(score)], ["query_id", "vec_id", "score"])
-
-    return map_batches(index.select("vec_id", "embedding", "codes", "norm"), run, "query_id long, vec_id long, score double", rows=BATCH)
-
-
-def _merged(held: tuple[np.ndarray, np.ndarray], exact: np.ndarray, owners: list[np.ndarray], own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """The k nearest, by distance and id, of those held and the ids of measured vectors, without the query's own."""
-    last = min(k, len(exact) - 1)  # one more than k vectors, as the query's own may be among them
-    close = np.nonzero(exact <= np.partition(exact, last)[last])[0]
-    ids = np.concatenate([held[1], *[owners[c] for c in close]])
-    score = np.concatenate([held[0], np.repeat(exact[close], [len(owners[c]) for c in close])])
-    score, ids = score[ids != own], ids[ids != own]
-    order = np.lexsort((ids, score))[:k]
-    return score[order], ids[order]
-
-
-def nearest(vectors: DataFrame, every: int = 100, k: int = 10) -> DataFrame:
+            if batch.num_rows:
+                apart = np.sqrt(((_matrix(batch.column("embedding")) - _matrix(batch.column("asked"))) ** 2).sum(-1))
+                yield pa.RecordBatch.from_arrays([batch.column("query"), batch.column("ids"), pa.array(apart)], ["query", "ids", "score"])
+
+    measured = map_batches(pairs.select("query", "ids", "embedding", "asked"), run, "query long, ids array<long>, score double", rows=BATCH)
+    place = F.row_number().over(Window.partitionBy("query").orderBy("score", F.element_at("ids", 1)))
+    nearest = measured.withColumn("place", place).where(F.col("place") <= k + 1)
+    each = nearest.select("query", F.explode("ids").alias("vec_id"), "score").groupBy("query").agg(F.array_sort(F.collect_list(F.struct("score", "vec_id"))).alias("best"))
+    return each.select("query", F.slice("best", 1, k + 1).alias("best"))
+
+
+def nearest(vectors: DataFrame, every: int = 100, k: int = 10, rerank: int = RERANK) -> DataFrame:
     """The k nearest rows of each row whose id is divisible by ``every``."""
     rows = valid(vectors)
-    built = build_index(rows)
+    built = build_index(rows, k)
     if built is None:
         return rows.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     index, quantiser = built
-    return search(index, quantiser, index.where(F.col("vec_id") % every == 0).select("vec_id", "embedding"), k)
+    return search(index, quantiser, rows.where(F.col("vec_id") % every == 0), k, rerank)
