@@ -11,29 +11,37 @@ counted once to four times. Totals of each context are joined to its n-grams, an
 order k is joined to that of order k - 1 by the n-gram's suffix, each join being sharded by the hash of
 its key. Order 0 is uniform.
 
-Application: the finished tables are cut into shards of a bounded size by the token before the last of
-an n-gram, which all lookups of one place in a text share, and broadcast. Bytes have few distinct n-grams
-of this order, so one shard is the usual case; with more, a task takes them in turn.
+Application: a task reads its documents in groups of a bounded size and hands on the distinct n-grams of
+each group. All distinct n-grams asked for are joined, by the n-gram and then by ever shorter ones of its
+suffixes and contexts, with the sharded tables of all models, which gives each its -ln p; that is joined
+back to the groups, and every group adds up the losses of its documents. No table passes through the
+driver or is broadcast, but for the two lowest orders, which cannot have more than 65 792 n-grams.
 """
 
 from __future__ import annotations
 
+import gc
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..runtime import materialise
-from .common import map_batches
+from ..runtime import bounded_batches, discard, materialise, ship
+from .common import give_back, map_batches
 
 ORDER = 5
 BEGIN = 255
-#: Bytes of text folded at a time; most entries of a broadcast shard.
-FOLD, SHARD = 4_000_000, 3_000_000
+#: Bytes of text folded at a time, of the documents of a group, and of a piece of a text.
+FOLD, GROUP, PIECE = 4_000_000, 8_000_000, 1 << 20
+#: Orders whose tables are bounded by the 256 tokens (256 + 256^2 n-grams) and so may be broadcast.
+BOUNDED_ORDERS = 2
+#: Least weight of a lower order when a loss is taken: small training texts can have no discount at all.
+FLOOR = 1e-12
 MULTIPLIER = 0x9E3779B97F4A7C15
 
 
@@ -48,6 +56,23 @@ def packed(raw: bytes, order: int) -> np.ndarray:
     return out
 
 
+def pieces(raws: list[bytes], order: int, most: int = PIECE) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """The n-grams of texts with the position of their text, about ``most`` at a time: short texts together, long ones cut."""
+    grams, owners, held = [], [], 0
+    for at, raw in enumerate(raws):
+        for a in range(0, len(raw), most):
+            before = raw[max(0, a - order + 1) : a]
+            part = packed(before + raw[a : a + most], order)[len(before) :]
+            grams.append(part)
+            owners.append((at, len(part)))
+            held += len(part)
+            if held >= most:
+                yield np.concatenate(grams), np.repeat(*map(np.array, zip(*owners)))
+                grams, owners, held = [], [], 0
+    if grams:
+        yield np.concatenate(grams), np.repeat(*map(np.array, zip(*owners)))
+
+
 def distinct(grams: np.ndarray, weights: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Distinct n-grams, ascending, with counts or sums of weights."""
     if weights is None:
@@ -75,12 +100,11 @@ def counts(docs: DataFrame, order: int = ORDER, text: str = "text") -> DataFrame
             size = 0
 
         for batch in batches:
-            for value in batch.column("text").to_pylist():
-                if value:
-                    held.append(packed(value.encode("utf-8", "surrogatepass"), order))
-                    size += len(held[-1])
-                    if size > FOLD:
-                        fold()
+            for part, _ in pieces([value.encode("utf-8", "surrogatepass") for value in batch.column("text").to_pylist() if value], order):
+                held.append(part)
+                size += len(part)
+                if size > FOLD:
+                    fold()
         if held:
             fold()
         for at in range(0, len(grams), 100_000):
@@ -162,196 +186,176 @@ def estimate(grams: DataFrame, order: int = ORDER) -> Model:
     out = tables[0]
     for more in tables[1:]:
         out = out.unionAll(more)
-    return Model(materialise(out, "model"), order)
+    for frame in by_order.values():
+        discard(frame)
+    return Model(out, order)
 
 
 # -- application ----------------------------------------------------------------------------------
-class Table:
-    """Open-addressing table from int64 keys to float32 values, looked up for whole arrays."""
+class Places:
+    """Open-addressing table from distinct int64 keys to their places, looked up for whole arrays."""
 
-    def __init__(self, keys: np.ndarray, values: np.ndarray):
+    def __init__(self, keys: np.ndarray):
         self.bits = max(4, (2 * len(keys)).bit_length())
         self.mask = (1 << self.bits) - 1
         self.keys = np.full(1 << self.bits, -1, np.int64)
-        self.values = np.full(1 << self.bits, np.nan, np.float32)
-        slots = self._slots(keys)
-        order = np.argsort(slots, kind="stable")
-        keys, values, slots = keys[order], values[order], slots[order]
-        while len(keys):
+        self.places = np.full(1 << self.bits, -1, np.int32)
+        todo, slots = np.arange(len(keys)), self._slots(keys)
+        while len(todo):
             _, first = np.unique(slots, return_index=True)
-            free = self.keys[slots[first]] == -1
-            first = first[free]
-            self.keys[slots[first]], self.values[slots[first]] = keys[first], values[first]
-            left = np.ones(len(keys), bool)
+            first = first[self.keys[slots[first]] == -1]
+            self.keys[slots[first]], self.places[slots[first]] = keys[todo[first]], todo[first]
+            left = np.ones(len(todo), bool)
             left[first] = False
-            keys, values, slots = keys[left], values[left], slots[left] + 1 & self.mask
+            todo, slots = todo[left], slots[left] + 1 & self.mask
 
     def _slots(self, keys: np.ndarray) -> np.ndarray:
         return (keys.view(np.uint64) * np.uint64(MULTIPLIER) >> np.uint64(64 - self.bits)).view(np.int64)
 
-    def get(self, keys: np.ndarray) -> np.ndarray:
-        """Values of keys, NaN for those that are not there."""
+    def of(self, keys: np.ndarray) -> np.ndarray:
+        """Places of keys, -1 for those that are not there."""
         slots = self._slots(keys)
         found = self.keys[slots]
-        out = np.where(found == keys, self.values[slots], np.float32(np.nan))
+        out = np.where(found == keys, self.places[slots], -1)
         todo = np.nonzero((found != keys) & (found != -1))[0]
         while len(todo):
             slots[todo] = slots[todo] + 1 & self.mask
             found = self.keys[slots[todo]]
             hit = found == keys[todo]
-            out[todo[hit]] = self.values[slots[todo[hit]]]
+            out[todo[hit]] = self.places[slots[todo[hit]]]
             todo = todo[(found != keys[todo]) & (found != -1)]
         return out
 
 
-class Scorer:
-    """Looks up n-grams in the tables of one model, from the highest order down to the one that has them."""
-
-    def __init__(self, parts: dict[int, tuple[np.ndarray, np.ndarray]], order: int):
-        none = (np.empty(0, np.int64), np.empty(0, np.float32))
-        self.order = order
-        self.tables = {k: Table(*parts.get(k, none)) for k in range(-order, order + 1) if k}
-
-    def log_probabilities(self, grams: np.ndarray) -> np.ndarray:
-        """Natural logarithms for n-grams of the highest order."""
-        out = np.zeros(len(grams), np.float64)
-        rest = np.arange(len(grams))
-        for k in range(self.order, 0, -1):
-            keys = grams[rest] & ((1 << 8 * k) - 1)
-            p = self.tables[k].get(keys)
-            seen = ~np.isnan(p)
-            out[rest[seen]] += np.log(p[seen])
-            rest, keys = rest[~seen], keys[~seen]
-            if not len(rest):
-                return out
-            weight = self.tables[-k].get(keys >> 8)
-            out[rest] += np.log(np.where(np.isnan(weight), 1.0, weight), dtype=np.float64)
-        out[rest] += math.log(1 / 256)
-        return out
+def groups(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[int, list[pa.RecordBatch], list[bytes]]]:
+    """Consecutive documents whose texts have ``size`` bytes together: a name that their texts give, rows and texts.
+
+    Where batches end makes no difference.
+    """
+    rows: list[pa.RecordBatch] = []
+    raws: list[bytes] = []
+    held, name = 0, xxhash.xxh3_64()
+    for batch in batches:
+        first = 0
+        for at, text in enumerate(batch.column("text").to_pylist()):
+            raw = text.encode("utf-8", "surrogatepass") if text else b""
+            raws.append(raw)
+            held += len(raw)
+            name.update(len(raw).to_bytes(8))
+            name.update(raw)
+            if held >= size:
+                yield name.intdigest() >> 1, [*rows, batch.slice(first, at + 1 - first)], raws
+                rows, raws, first, held, name = [], [], at + 1, 0, xxhash.xxh3_64()
+        if first < batch.num_rows:
+            rows.append(batch.slice(first))
+    if raws:
+        yield name.intdigest() >> 1, rows, raws
+
+
+def asked(docs: DataFrame, order: int, size: int = GROUP) -> DataFrame:
+    """(grp, gram): the distinct n-grams of each group of documents."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for name, _, raws in groups(batches, size):
+            found = [np.unique(part) for part, _ in pieces(raws, order)]
+            grams = np.unique(np.concatenate(found)) if found else np.empty(0, np.int64)
+            for at in range(0, len(grams), 100_000):
+                part = pa.array(grams[at : at + 100_000])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), name)), part], ["grp", "gram"])
 
-Parts = dict[int, tuple[np.ndarray, np.ndarray]]
+    return map_batches(docs, run, "grp long, gram long", rows=500)
 
 
-def collect_parts(model: Model, where: Column | None = None) -> Parts:
-    """The tables of a model, or of a shard of one, as arrays: 12 bytes an entry."""
-    rows = model.table if where is None else model.table.where(where)
-    arrow = rows.select("k", "gram", F.col("value").cast("float").alias("value")).toArrow()
-    k, gram, value = (arrow.column(c).to_numpy() for c in ("k", "gram", "value"))
-    return {int(o): (gram[k == o], value[k == o]) for o in np.unique(k)}
+def bundled(docs: DataFrame, keep: list[str], size: int = GROUP) -> DataFrame:
+    """(grp, rows): the documents of each group, compressed."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for name, rows, _ in groups(batches, size):
+            sink = pa.BufferOutputStream()
+            whole = pa.Table.from_batches(rows).combine_chunks()
+            with pa.ipc.new_stream(sink, whole.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+                out.write_table(whole)
+            yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["grp", "rows"])
 
-def _before_last() -> Column:
-    """The token before the last of an n-gram, the last of a context: all lookups of a place in a text share it."""
-    return F.when(F.col("k") > 0, F.shiftright("gram", 8)).otherwise(F.col("gram")).bitwiseAND(F.lit(255))
+    return map_batches(docs, run, "grp long, rows binary", rows=500)
 
 
-def shards(models: dict[str, Model], most: int = SHARD) -> Iterator[tuple[list[int], dict[str, Parts]]]:
-    """Shards of all models together, one at a time: (tokens, parts), with the entries of some tokens before the last.
+def gram_losses(grams: DataFrame, models: dict[str, Model]) -> DataFrame:
+    """(gram, loss_<name>...): -ln p of distinct n-grams of the highest order, by joins with the tables of all models.
 
-    Tokens are packed into shards of at most ``most`` entries; a token with more has a shard of its own.
-    What holds no such token, the unigrams and the weight of the empty context, is in every shard.
+    Each level joins what is still open in some model with the n-grams of order k and the weights of their
+    contexts, so only n-grams that no table has so far go on to the next. The keys of a side are distinct,
+    so no key is hot.
     """
-    sizes: dict[int, int] = {}
-    for model in models.values():
-        for token, n in model.table.where("k not in (1, -1)").groupBy(_before_last().alias("t")).count().collect():
-            sizes[token] = sizes.get(token, 0) + n
-    bins: list[tuple[int, list[int]]] = []
-    for token, n in sorted(sizes.items(), key=lambda x: (-x[1], x[0])):
-        spot = next((i for i, (held, _) in enumerate(bins) if held + n <= most), None)
-        if spot is None:
-            bins.append((n, [token]))
-        else:
-            bins[spot] = (bins[spot][0] + n, [*bins[spot][1], token])
-    if len(bins) < 2:
-        yield list(range(256)), {name: collect_parts(m) for name, m in models.items()}
-        return
-    rest = sorted(set(range(256)) - set(sizes))
-    bins[0][1].extend(rest)
-    for _, tokens in bins:
-        yield tokens, {name: collect_parts(m, F.col("k").isin(1, -1) | _before_last().isin(tokens)) for name, m in models.items()}
+    (order,) = {m.order for m in models.values()}
+    stacked = None
+    for i, model in enumerate(models.values()):
+        part = model.table.withColumn("m", F.lit(i))
+        stacked = part if stacked is None else stacked.unionAll(part)
+    wide = materialise(stacked.groupBy("k", "gram").agg(*[F.max(F.when(F.col("m") == i, F.col("value"))).alias(f"v{i}") for i in range(len(models))]), "tables")
+    each = range(len(models))
+    rows = grams.select("gram", *[F.lit(0.0).alias(f"l{i}") for i in each], *[F.lit(True).alias(f"open{i}") for i in each])
+    settled: list[DataFrame] = []
+    names = ["gram", *[f"l{i}" for i in each]]
+
+    def side(k: int, key: str, prefix: str) -> DataFrame:
+        out = wide.where(F.col("k") == k).select(F.col("gram").alias(key), *[F.col(f"v{i}").alias(f"{prefix}{i}") for i in each])
+        return F.broadcast(out) if abs(k) <= BOUNDED_ORDERS else out
+
+    for k in range(order, 0, -1):
+        own = F.col("gram").bitwiseAND(F.lit((1 << 8 * k) - 1))
+        found = rows.withColumns({"own": own, "context": F.shiftright(own, 8)}).join(side(k, "own", "p"), "own", "left").join(side(-k, "context", "b"), "context", "left")
+        here = lambda i: F.when(~F.col(f"open{i}"), 0.0).otherwise(-F.log(F.greatest(F.coalesce(f"p{i}", f"b{i}", F.lit(1.0)), F.lit(FLOOR))))
+        rows = found.select("gram", *[(F.col(f"l{i}") + here(i)).alias(f"l{i}") for i in each], *[(F.col(f"open{i}") & F.col(f"p{i}").isNull()).alias(f"open{i}") for i in each])
+        still = F.greatest(*[F.col(f"open{i}") for i in each], F.lit(False))
+        if k > BOUNDED_ORDERS:
+            rows = materialise(rows, "level")
+            settled.append(rows.where(~still).select(names))
+            rows = rows.where(still)
+    last = F.log(F.lit(256.0))
+    settled.append(rows.select("gram", *[(F.col(f"l{i}") + F.when(F.col(f"open{i}"), last).otherwise(0.0)).alias(f"l{i}") for i in each]))
+    out = settled[0]
+    for more in settled[1:]:
+        out = out.unionAll(more)
+    return out.select("gram", *[F.col(f"l{i}").alias(f"loss_{name}") for i, name in enumerate(models)])
 
 
-def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], most: int = SHARD) -> DataFrame:
+def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], size: int = GROUP) -> DataFrame:
     """The kept columns of each document, n_tokens, and for each named model the sum of -ln p over its tokens.
 
-    One narrow pass. A task takes its texts in groups of a bounded size and, with each shard of the tables
-    in turn, scores the places that the shard is for; it holds the bytes of the group, the n-grams of a
-    piece of it and one shard at a time. A null or empty text has no tokens and losses of 0.
+    ``docs`` gives the same rows whenever it is read, as files do; a group whose n-grams are not those that
+    were asked for stops the job. What a task holds is a group of documents and its distinct n-grams. A null
+    or empty text has no tokens and losses of 0.
     """
-    (width,) = {m.order for m in models.values()}
-    names = list(models)
-    spark = docs.sparkSession
-    held = [(np.isin(np.arange(256), tokens), spark.sparkContext.broadcast(parts)) for tokens, parts in shards(models, most)]
+    (order,) = {m.order for m in models.values()}
+    spark, names = docs.sparkSession, list(models)
+    wanted = docs.select(*keep, *([] if "text" in keep else ["text"]))
     fields = [docs.schema[c] for c in keep]
     schema = ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in fields] + ["n_tokens long"] + [f"loss_{m} double" for m in names])
-
-    def score(raws: list[bytes]) -> np.ndarray:
-        sums = np.zeros((len(names), len(raws)))
-        for mine, shared in held:
-            scorers = _scorers(shared, names, width)
-            for grams, owner in _pieces(raws, width):
-                if len(held) > 1:
-                    here = mine[grams >> 8 & 255]
-                    grams, owner = grams[here], owner[here]
-                for j, scorer in enumerate(scorers):
-                    sums[j] -= np.bincount(owner, scorer.log_probabilities(grams), len(raws))
-        return sums
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        # Several shards are loaded for each group, so groups are larger then.
-        group_size, group, waiting = (1_000_000 if len(held) == 1 else 16_000_000), 0, []
-
-        def emit() -> Iterator[pa.RecordBatch]:
-            sums = score([r for _, raws in waiting for r in raws])
-            at = 0
-            for batch, raws in waiting:
-                to = at + len(raws)
-                columns = [batch.column(c) for c in keep] + [pa.array(list(map(len, raws)), pa.int64())] + [pa.array(s[at:to]) for s in sums]
-                yield pa.RecordBatch.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]])
-                at = to
-            waiting.clear()
-
-        for whole in batches:
-            for a in range(0, whole.num_rows, 100):
-                batch = whole.slice(a, 100)
-                raws = [t.encode("utf-8", "surrogatepass") if t else b"" for t in batch.column("text").to_pylist()]
-                waiting.append((batch.select(keep), raws))
-                group += sum(map(len, raws))
-                if group > group_size:
-                    yield from emit()
-                    group = 0
-        if waiting:
-            yield from emit()
-
-    return map_batches(docs.select(*keep, *([] if "text" in keep else ["text"])), run, schema, rows=500)
-
-
-def _pieces(raws: list[bytes], order: int, most: int = 1 << 18) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """The n-grams of texts with the position of their text, at most ``most`` at a time."""
-    at = 0
-    while at < len(raws):
-        to, size = at + 1, len(raws[at])
-        while to < len(raws) and size + len(raws[to]) <= most:
-            size += len(raws[to])
-            to += 1
-        grams = np.concatenate([packed(r, order) for r in raws[at:to]])
-        owner = np.repeat(np.arange(at, to), [len(r) for r in raws[at:to]])
-        for a in range(0, size, most):
-            yield grams[a : a + most], owner[a : a + most]
-        at = to
-
-
-_LOADED: list = [None, []]
-
-
-def _scorers(shared, names: list[str], order: int) -> list[Scorer]:
-    """Scorers of the models of a broadcast shard. Those of the shard before are let go first, and so is the
-    value that the broadcast keeps, which is read again from its file if the shard comes round again."""
-    if _LOADED[0] is not shared:
-        _LOADED[:] = None, []
-        parts = shared.value
-        _LOADED[:] = shared, [Scorer(parts[m], order) for m in names]
-        if getattr(shared, "_path", None):
-            shared.__dict__.pop("_value", None)
-    return _LOADED[1]
+    scored = gram_losses(counts(docs, order).select("gram"), models)
+    by_group = asked(wanted, order, size).join(scored, "gram")
+
+    def of_group(left: pa.Table, right: pa.Table) -> pa.Table:
+        gc.disable()
+        places = Places(np.ascontiguousarray(right.column("gram").to_numpy()))
+        values = [right.column(f"loss_{m}").to_numpy() for m in names]
+        out = []
+        for bundle in left.column("rows"):
+            rows = pa.ipc.open_stream(bundle.as_buffer()).read_all()
+            raws = [t.encode("utf-8", "surrogatepass") if t else b"" for t in rows.column("text").to_pylist()]
+            sums = np.zeros((len(names), len(raws)))
+            for grams, owner in pieces(raws, order):
+                at = places.of(grams)
+                if (at < 0).any():
+                    raise RuntimeError("the documents are not the same at each reading; write them to files first")
+                for total, value in zip(sums, values):
+                    total += np.bincount(owner, value[at], len(raws))
+            columns = [rows.column(c) for c in keep] + [pa.array(list(map(len, raws)), pa.int64()), *map(pa.array, sums)]
+            out.append(pa.Table.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]]))
+        gc.enable()
+        give_back()
+        return pa.concat_tables(out)
+
+    ship(spark)
+    bounded_batches(spark, 500)
+    return bundled(wanted, keep, size).groupBy("grp").cogroup(by_group.groupBy("grp")).applyInArrow(of_group, schema)

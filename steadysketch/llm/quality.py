@@ -65,20 +65,39 @@ def thresholds(scored: DataFrame, quantile: float = QUANTILE, margin: float = MA
     return materialise(own.select("lang", "threshold"), "thresholds"), overall["threshold"] if overall else None
 
 
-def score(docs: DataFrame, labels: DataFrame, keep: list[str], quantile: float = QUANTILE, margin: float = MARGIN, order: int = ORDER) -> DataFrame:
-    """The kept columns, n_tokens, perplexity, threshold and kept of every document."""
+def _judged(docs: DataFrame, labels: DataFrame, keep: list[str], quantile: float, margin: float, order: int) -> DataFrame:
+    """The kept columns under names of ``_place``, beside n_tokens, perplexity, threshold and kept, with which none of the input's can clash."""
     ids = trusted_ids(labels)
-    trusted = docs.select("doc_id", "text", "lang").join(ids, "doc_id", "left_semi")
+    trusted = docs.select("doc_id", "text").join(ids, "doc_id", "left_semi")
     model = estimate(counts(trusted.where(_fifth() > 0), order), order)
-    held = losses(trusted.where(_fifth() == 0), {"trusted": model}, ["lang"]).select("lang", _perplexity().alias("perplexity"))
+    places = {"doc_id": "doc_id", "lang": "lang", "text": "text"} | _places(keep)
+    named = docs.select(*[F.col(f"`{c}`").alias(place) for c, place in places.items()])
+    scored = losses(named, {"trusted": model}, [place for c, place in places.items() if c != "text" or c in keep])
+    scored = materialise(scored.withColumn("perplexity", _perplexity()), "scored")
+    # The trusted fifth that the model has not seen sets the limits.
+    held = scored.where(_fifth() == 0).join(ids, "doc_id", "left_semi").select("lang", "perplexity")
     by_language, overall = thresholds(held, quantile, margin)
     small = by_language.count() <= BROADCAST_LANGUAGES
     limits = by_language.select(F.col("lang").alias("_lang"), F.col("threshold").alias("_own"))
-    wanted = docs.select(*{c: None for c in [*keep, "lang"]}, *([] if "text" in keep else ["text"]))
-    scored = losses(wanted, {"trusted": model}, list(dict.fromkeys([*keep, "lang"]))).withColumn("perplexity", _perplexity())
     joined = scored.join(F.broadcast(limits) if small else limits, F.col("lang").eqNullSafe(F.col("_lang")), "left")
     joined = joined.withColumn("threshold", F.coalesce("_own", F.lit(overall).cast("double"), F.lit(256.5)))
-    return joined.select(*keep, *[c for c in ("n_tokens", "perplexity", "threshold")], F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(False)).alias("kept"))
+    return joined.withColumn("kept", F.coalesce(F.col("perplexity") <= F.col("threshold"), F.lit(False)))
+
+
+def _places(keep: list[str]) -> dict[str, str]:
+    return {c: c if c in ("doc_id", "lang", "text") else f"keep_{i}" for i, c in enumerate(keep)}
+
+
+def score(docs: DataFrame, labels: DataFrame, keep: list[str], quantile: float = QUANTILE, margin: float = MARGIN, order: int = ORDER) -> DataFrame:
+    """The kept columns, n_tokens, perplexity, threshold and kept of every document."""
+    judged = _judged(docs, labels, keep, quantile, margin, order)
+    return judged.select(*[F.col(place).alias(c) for c, place in _places(keep).items()], "n_tokens", "perplexity", "threshold", "kept")
+
+
+def accepted(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, margin: float = MARGIN, order: int = ORDER) -> DataFrame:
+    """The documents that are kept, with all their columns and no others."""
+    judged = _judged(docs, labels, docs.columns, quantile, margin, order).where("kept")
+    return judged.select(*[F.col(place).alias(c) for c, place in _places(docs.columns).items()])
 
 
 def cross_entropy_difference(docs: DataFrame, labels: DataFrame, order: int = SELECTION_ORDER) -> DataFrame:

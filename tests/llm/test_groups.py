@@ -193,25 +193,93 @@ def slow_model(texts, order):
             return lower
         total = sum(own.values())
         back = sum(cut[k][min(n, 3) - 1] for n in own.values()) / total
-        first = max(own.get(word, 0) - cut[k][min(own[word], 3) - 1], 0) / total if word in own else 0.0
-        return first + back * lower
+        if word not in own:
+            return max(back, ngram_lm.FLOOR) * lower
+        return (own[word] - cut[k][min(own[word], 3) - 1]) / total + back * lower
 
     return lambda text: [p(b, tuple(([255] * (order - 1) + list(text.encode()))[i : i + order - 1])) for i, b in enumerate(text.encode())]
 
 
-@pytest.mark.parametrize("most", [3_000_000, 40])
-def test_model_equals_the_definition(spark, most):
+@pytest.mark.parametrize("size", [8_000_000, 10])
+def test_model_equals_the_definition(spark, size):
     texts = ["the cat sat", "the hat", "a cat ate the hat", "aaaa", "then that"]
     docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)] + [(9, None), (10, "")], "doc_id long, text string")
     model = ngram_lm.estimate(ngram_lm.counts(docs, 3), 3)
     slow = slow_model(texts, 3)
     asked = ["the cat", "zq", "hat that", "", None, "thé"]
-    scored = {r.doc_id: r for r in ngram_lm.losses(spark.createDataFrame(list(enumerate(asked)), "doc_id long, text string"), {"m": model}, ["doc_id"], most).collect()}
+    scored = {r.doc_id: r for r in ngram_lm.losses(spark.createDataFrame(list(enumerate(asked)), "doc_id long, text string"), {"m": model}, ["doc_id"], size).collect()}
     for i, text in enumerate(asked):
         want = -sum(map(math.log, slow(text))) if text else 0.0
         assert abs(scored[i].loss_m - want) < 1e-3 * max(1.0, want) and scored[i].n_tokens == len((text or "").encode())
 
 
+def odd_labels(spark, ids):
+    return spark.createDataFrame([(i, 1 if i % 3 else 0, 0) for i in ids] + [(None, 1, 0), (10**9, 1, 0)], "doc_id long, quality int, toxic int")
+
+
+def small_documents(spark, n=60):
+    rng = random.Random(11)
+    words = ["the", "cat", "hat", "sat", "on", "mat", "der", "hund", "lief"]
+    rows = [(i, " ".join(rng.choice(words) for _ in range(rng.randint(0, 12))) if i % 7 else None, ["en", "de", None][i % 3]) for i in range(n)]
+    rows += [(rows[3][0], rows[3][1], "en"), (None, "the cat", "de"), (n, "qzx 123 " * 20, "en")]
+    return rows, spark.createDataFrame([(*r, True, 5, "clash", 1.0) for r in rows], "doc_id long, text string, lang string, kept boolean, n_tokens int, grp string, perplexity double")
+
+
+def fifths(spark, ids):
+    frame = spark.createDataFrame([(i,) for i in ids], "doc_id long")
+    return {r.doc_id: r.f for r in frame.select("doc_id", quality._fifth().alias("f")).collect()}
+
+
+@pytest.mark.parametrize(("least", "quantile"), [(2, 0.9), (50, 0.5)])
+def test_quality_equals_brute_force(spark, monkeypatch, least, quantile):
+    monkeypatch.setattr(quality, "MIN_CALIBRATION", least)
+    rows, docs = small_documents(spark)
+    labels_ = odd_labels(spark, range(60))
+    trusted, fifth = {i for i in range(60) if i % 3}, fifths(spark, range(61))
+    model = slow_model([t for i, t, _ in rows if t and i in trusted and fifth[i] > 0], 3)
+    perplexity = lambda t: math.exp(-sum(map(math.log, model(t))) / len(t.encode())) if t else None
+    held = [(lang, math.ceil(math.log(perplexity(t)) * quality.STEPS)) for i, t, lang in rows if t and i in trusted and fifth[i] == 0]
+
+    def limit(steps):
+        steps = sorted(steps)
+        return math.exp(steps[math.ceil(quantile * len(steps)) - 1] / quality.STEPS) * 1.15
+
+    own = {lang: [s for x, s in held if x == lang] for lang in ("en", "de", None)}
+    limits = {lang: limit(s) if len(s) >= least else limit([s for _, s in held]) for lang, s in own.items()}
+    found = quality.score(docs, labels_, ["doc_id", "text", "lang"], quantile, order=3).collect()
+    assert len(found) == len(rows)
+    assert sorted((r.doc_id or -1, r.text or "") for r in found) == sorted((i or -1, t or "") for i, t, _ in rows)
+    for r in found:
+        want = perplexity(r.text)
+        assert (r.perplexity is None) == (want is None) and (want is None or abs(r.perplexity - want) < 1e-6 * want)
+        assert abs(r.threshold - limits[r.lang]) < 2e-3 * limits[r.lang]
+        assert r.kept == (want is not None and r.perplexity <= r.threshold)
+    kept = quality.accepted(docs, labels_, quantile, order=3)
+    assert kept.columns == docs.columns and kept.count() == sum(r.kept for r in found)
+
+
+def test_difference_equals_brute_force(spark):
+    rows, docs = small_documents(spark)
+    labels_ = odd_labels(spark, range(60))
+    trusted = {i for i in range(60) if i % 3}
+    target = [t for i, t, _ in rows if t and i in trusted]
+    share = sum(len(t) for t in target) / sum(len(t) for _, t, _ in rows if t)
+    place = docs.select("doc_id", "text", (F.pmod(F.xxhash64(F.lit("background"), "doc_id", F.col("text")), F.lit(1 << 40)) / float(1 << 40)).alias("at"))
+    background = [r.text for r in place.collect() if r.text and r.at < share]
+    models = slow_model(target, 4), slow_model(background, 4)
+    found = quality.cross_entropy_difference(docs, labels_, 4).collect()
+    assert len(found) == len(rows)
+    by_text = {(i, len(t or "")): t for i, t, _ in rows}
+    for r in found:
+        text = by_text[r.doc_id, r.n_tokens]
+        if text:
+            a, b = (-sum(map(math.log, m(text))) for m in models)
+            assert abs(r.loss_target - a) < 1e-6 * a and abs(r.loss_background - b) < 1e-6 * b
+            assert abs(r.score - (a - b) / len(text)) < 1e-6
+        else:
+            assert r.score is None
+
+
 def test_quality_rejects_noise_and_keeps_trusted_text(spark):
     docs, known = spark.read.parquet("/root/testdata/sf0.01/documents.parquet"), spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
     rows = quality.score(docs, known, ["doc_id"]).join(known, "doc_id").collect()
