@@ -20,7 +20,7 @@ from steadysketch.runtime import materialise
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops what the quality classifier rejects."""
-    return quality.score(docs, table(spark, sf_dir, "labels"), docs.columns).where("kept").select(docs.columns)
+    return quality.accepted(docs, table(spark, sf_dir, "labels"))
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

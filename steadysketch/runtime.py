@@ -12,6 +12,9 @@ from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Most bytes of an Arrow batch, but for a single longer row.
+BATCH_BYTES = 16 << 20
+
 PACKAGE = Path(__file__).resolve().parent
 
 
@@ -64,5 +67,6 @@ def ship(spark: SparkSession) -> None:
 
 
 def bounded_batches(spark: SparkSession, rows: int = 1000) -> None:
-    """Cap the rows of an Arrow batch, so that batches of long texts stay small in Python."""
+    """Cap the rows and bytes of an Arrow batch, so that batches of long texts stay small in Python."""
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
