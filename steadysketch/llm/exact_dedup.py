@@ -3,8 +3,8 @@
 Texts are compared after replacing each run of ASCII white space by one space. A task first chains the
 texts of its own rows by SHA-256, comparing bytes, so that one record for each distinct text of a task
 goes on: key, text, ids of its rows. The records are written to bucket files in the shared folder. A
-directory maps the leading bits of a key to a bucket; a bucket with more than ``capacity`` records is
-split by one more bit, the directory doubling when the bucket already uses all of its bits. A bucket is
+directory maps the leading bits of a key to a bucket; a bucket with more than ``capacity`` records, or with
+more than CAPACITY_BYTES of text, is split by one more bit, the directory doubling when the bucket already uses all of its bits. A bucket is
 a range of keys and has one owner task, which walks its records in key order, chains records of equal
 key and compares their bytes; only one copy of each distinct text of the key at hand is held. Rows get
 their group back by a join on record numbers, which are unique, so no group of copies meets in a task.
@@ -28,8 +28,10 @@ from pyspark.sql import functions as F
 from ..runtime import materialise, scratch_path
 from .common import SPACE, map_batches, texts
 
-#: Records of a bucket before it splits, and bits of a key that a directory may use.
-CAPACITY = 25_000
+#: Records and bytes of text of a bucket before it splits, and bits of a key that a directory may use.
+CAPACITY, CAPACITY_BYTES = 25_000, 48_000_000
+#: Bytes of texts and ids that a task holds before it hands its records on.
+HELD = 64_000_000
 MOST_BITS = 24
 #: Keys with several records that are broadcast; more are joined by a shuffle.
 BROADCAST_KEYS = 500_000
@@ -86,13 +88,14 @@ def local_records(docs: DataFrame, key_bits: int = 256) -> DataFrame:
                 for entry in chain:
                     if entry[0] == text:
                         entry[1].append(doc_id)
+                        held += 8
                         break
                 else:
                     chain.append([text, [doc_id]])
-                    held += len(text)
-            if held > 64_000_000:
-                yield from emit()
-                held = 0
+                    held += len(text) + 8
+                if held > HELD:
+                    yield from emit()
+                    held = 0
         yield from emit()
 
     return map_batches(texts(docs), run, LOCAL, rows=500)
@@ -135,7 +138,7 @@ def number(bucket: tuple[int, int]) -> int:
     return bucket[0] << 32 | bucket[1]
 
 
-def build_index(records: DataFrame, capacity: int = CAPACITY, expected: int = 0) -> tuple[DataFrame, Directory]:
+def build_index(records: DataFrame, capacity: int = CAPACITY, expected: int = 0, expected_bytes: int = 0) -> tuple[DataFrame, Directory]:
     """Write records to bucket files under the shared folder and split overfull buckets until none is left.
 
     Returns the stored records, with their bucket, and the directory. A bucket whose keys agree in all
@@ -143,14 +146,15 @@ def build_index(records: DataFrame, capacity: int = CAPACITY, expected: int = 0)
     """
     spark = records.sparkSession
     folder = scratch_path(spark, "index")
-    directory = Directory(max(0, math.ceil(math.log2(max(1, expected / capacity)))))
+    directory = Directory(min(MOST_BITS, max(0, math.ceil(math.log2(max(1, expected / capacity, expected_bytes / CAPACITY_BYTES))))))
     _write(records, directory, f"{folder}/round=0")
     rounds = 0
     while True:
         stored = spark.read.schema(LOCAL + ", round int, bucket long").parquet(folder)
         stored = stored.where(~F.col("bucket").isin([number(b) for b in directory.gone])) if directory.gone else stored
         kinds = F.count_distinct(F.substring("key", 1, MOST_BITS // 8))
-        full = stored.groupBy("bucket").agg(F.count("*").alias("n"), kinds.alias("kinds")).where((F.col("n") > capacity) & (F.col("kinds") > 1))
+        sizes = stored.groupBy("bucket").agg(F.count("*").alias("n"), F.sum(F.octet_length("text")).alias("bytes"), kinds.alias("kinds"))
+        full = sizes.where(((F.col("n") > capacity) | (F.col("bytes") > CAPACITY_BYTES)) & (F.col("kinds") > 1))
         parents = [(b >> 32, b & 0xFFFFFFFF) for (b,) in full.select("bucket").collect()]
         if not parents:
             return stored.drop("round"), directory
@@ -209,7 +213,8 @@ def _owner(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def duplicates(docs: DataFrame, capacity: int = CAPACITY, key_bits: int = 256) -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256 (of the normalised text) and chain."""
     source = texts(docs)
-    stored, directory = build_index(local_records(source, key_bits), capacity, source.count())
+    rows, size = source.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    stored, directory = build_index(local_records(source, key_bits), capacity, rows, size)
     digest = F.lower(F.hex("key")) if key_bits == 256 else F.sha2("text", 256)
     stored = stored.withColumn("text_sha256", digest)
     # Keys with one record are settled; only records of the others, few beside them, go to their owners.

@@ -87,7 +87,9 @@ def _number(text: Column) -> Column:
 def mix(docs: DataFrame, carry: Sequence[str] = (), share: float = SHARE, block: int = BLOCK, shard_docs: int = SHARD_DOCS, seed: str = SEED) -> DataFrame:
     """doc_id, size, source_size, target and taken (words the mix takes, repeats counted), and the carried columns."""
     kept = [F.col(c).alias(f"_carried_{c}") for c in carry]
-    base = docs.select("doc_id", "source", words().alias("size"), *kept)
+    # Rows without an id are told apart by their text, so that they spread over the shards too.
+    name = F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("null/"), F.md5(F.coalesce("text", F.lit("")))))
+    base = docs.select("doc_id", "source", words().alias("size"), name.alias("name"), *kept)
     if not carry:
         base = materialise(base, "sizes")
     sources = targets(base.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("docs")), share)
@@ -98,7 +100,7 @@ def mix(docs: DataFrame, carry: Sequence[str] = (), share: float = SHARE, block:
     sources = materialise(apportion(sources, [], "source_rank", "target", "seats", "source_seats"), "sources")
 
     facts = sources.select(F.col("source").alias("_source"), "source_rank", "source_size", "target", "block", "source_seats", F.ceil(F.col("docs") / shard_docs).cast("long").alias("shards"))
-    mark = F.concat(F.lit(seed + "/"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
+    mark = F.concat(F.lit(seed + "/"), F.col("name"))
     placed = base.join(facts, F.col("source").eqNullSafe(F.col("_source")))
     placed = placed.withColumn("place", F.md5(mark)).withColumn("shard", F.pmod(F.conv(F.substring("place", 25, 8), 16, 10).cast("long"), F.col("shards")))
     if carry:

@@ -42,6 +42,8 @@ GENERATOR = 0b110001110101
 ERRORS = 2
 #: Most distinct fingerprints of a key whose pairs are compared one by one.
 BUCKET = 64
+#: A fingerprint that more than one row in so many has is joined by broadcast.
+HOT_SHARE = 1_000
 #: Most rows to drop that are broadcast; more are joined by a shuffle.
 BROADCAST_ROWS = 2_000_000
 
@@ -141,14 +143,12 @@ def apart(a: str | Column, b: str | Column) -> Column:
 
 def links(fps: DataFrame, bucket: int = BUCKET) -> DataFrame:
     """(a, b): links between distinct fingerprints whose components are those of all pairs within two bits."""
-    keyed = _explode_keys(fps)
-    same = Window.partitionBy("key")
-    later = same.orderBy("fp").rowsBetween(1, bucket)
-    held = materialise(
-        keyed.withColumn("n", F.count("*").over(same)).where("n > 1").withColumn("later", F.when(F.col("n") <= bucket, F.collect_list("fp").over(later))).select("fp", "n", "later"),
-        "buckets",
-    )
-    close = held.where(F.col("n") <= bucket).select("fp", F.explode("later").alias("other")).where(apart("fp", "other") <= ERRORS)
+    # Keys are counted before anything of theirs meets, so that no task ever holds a crowded bucket.
+    sizes = _explode_keys(fps).groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    held = materialise(_explode_keys(fps).join(sizes, "key"), "buckets")
+    later = Window.partitionBy("key").orderBy("fp").rowsBetween(1, bucket)
+    paired = held.where(F.col("n") <= bucket).select("fp", F.collect_list("fp").over(later).alias("later"))
+    close = paired.select("fp", F.explode("later").alias("other")).where(apart("fp", "other") <= ERRORS)
     crowded = held.where(F.col("n") > bucket).select("fp").distinct()
     around = F.concat(F.array(F.col("fp")), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.col("fp").bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), i))))
     star = crowded.select("fp", F.explode(around).alias("key"))
@@ -160,23 +160,31 @@ def links(fps: DataFrame, bucket: int = BUCKET) -> DataFrame:
 def near_duplicates(docs: DataFrame, size: int = 3, bucket: int = BUCKET) -> DataFrame:
     """One row per document: doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable) and text_key."""
     rows = materialise(fingerprints(docs, size), "fingerprints")
-    fps = rows.groupBy("fp").agg(F.min("doc_id").alias("least"))
+    fps = materialise(rows.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("n")), "distinct")
     roots = components(links(fps, bucket))
     grouped = fps.join(roots.withColumnRenamed("node", "fp"), "fp").select("fp", "least", "root")
     own = fps.join(roots.select(F.col("root").alias("fp")).distinct(), "fp").select("fp", "least", F.col("fp").alias("root"))
     members = grouped.unionAll(own)
     smallest = members.groupBy("root").agg(F.min("least").alias("component_id"))
     moved = members.join(smallest, "root").select("fp", "component_id")
-    labels = fps.join(moved, "fp", "left").select("fp", F.coalesce("component_id", "least").alias("component_id"))
-    return rows.join(labels, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "text_key")
+    total = rows.count()
+    labels = materialise(fps.join(moved, "fp", "left").select("fp", F.coalesce("component_id", "least").alias("component_id"), (F.col("n") * HOT_SHARE > total).alias("hot")), "labels")
+    # A fingerprint of more than one in HOT_SHARE rows is broadcast: there are fewer than HOT_SHARE of them.
+    hot, cold = F.broadcast(labels.where("hot").drop("hot")), labels.where(~F.col("hot")).drop("hot")
+    named = rows.join(hot, "fp").unionByName(rows.join(hot.select("fp"), "fp", "left_anti").join(cold, "fp"))
+    return named.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id", "text_key")
 
 
 def keep_one(docs: DataFrame, size: int = 3) -> DataFrame:
-    """All columns of one document for each component: the one with the smallest id. Rows without an id stay."""
+    """All columns of one document for each component: the one with the smallest id, once if its row repeats. Rows without an id stay."""
     found = materialise(near_duplicates(docs, size).where("component_id is not null").select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "component_id"), "near")
     first = found.where("_id = component_id").groupBy("component_id").agg(F.min("_key").alias("_first"))
-    gone = found.join(first, "component_id").where("_id <> component_id or _key <> _first").select("_id", "_key").distinct()
-    gone = materialise(gone, "gone")
-    gone = F.broadcast(gone) if gone.count() <= BROADCAST_ROWS else gone
+    stays = (F.col("_id") == F.col("component_id")) & (F.col("_key") == F.col("_first"))
+    rows = found.where("_id is not null").join(first.select("component_id", "_first"), "component_id").groupBy("_id", "_key").agg(F.max(stays).alias("stays"), F.count("*").alias("n"))
+    rows = materialise(rows.where("not stays or n > 1").select("_id", "_key", "stays"), "gone")
+    rows = F.broadcast(rows) if rows.count() <= BROADCAST_ROWS else rows
     marked = docs.withColumn("_key_here", F.xxhash64("text"))
-    return marked.join(gone, (docs["doc_id"] == F.col("_id")) & (F.col("_key_here") == F.col("_key")), "left_anti").select(docs.columns)
+    same = (docs["doc_id"] == F.col("_id")) & (F.col("_key_here") == F.col("_key"))
+    rest = marked.join(rows, same, "left_anti")
+    again = marked.join(rows.where("stays"), same, "left_semi").dropDuplicates(["doc_id", "_key_here"])
+    return rest.unionAll(again).select(docs.columns)

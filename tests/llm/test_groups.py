@@ -130,7 +130,9 @@ def test_near_of_odd_rows(spark):
     assert empty == {3}
     assert simhash.near_duplicates(odd(spark).where("false")).count() == 0
     kept = simhash.keep_one(odd(spark))
-    assert kept.columns == odd(spark).columns and sorted(r.doc_id or 0 for r in kept.collect())[-3:] == [1, 3, 9] or kept.count() >= 3
+    assert kept.columns == odd(spark).columns
+    # One text "a b" in three spellings, one document without words, the long one; rows without an id stay.
+    assert sorted(r.doc_id or 0 for r in kept.collect()) == [0, 0, 0, 1, 3, 9]
 
 
 def test_components_of_chains_and_stars(spark):
@@ -356,8 +358,10 @@ def test_mix_keeps_to_targets_and_is_repeatable(spark):
         by_target = {}
         for r in rows:
             by_target.setdefault((r.source_size, r.target), []).append(r.taken)
-        for (size, target), taken in by_target.items():
-            assert abs(sum(taken) - target * len(taken) / len(taken)) <= 64 * 2 * (1 + 50 / shard_docs) or len(taken) > 50
+        for (_, target), taken in by_target.items():
+            # The quota is rounded to blocks, and the last block of each shard can be short.
+            shards = math.ceil(len(taken) / shard_docs)
+            assert abs(sum(taken) - target) <= 64 * (1 + 2 * shards)
     again = mixing.mix(docs.repartition(7)).collect()
     key = lambda rows: sorted((r.doc_id, r.taken) for r in rows)
     assert key(again) == key(mixing.mix(docs).collect())
