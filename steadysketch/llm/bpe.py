@@ -31,8 +31,11 @@ NONE = np.int32(2**31 - 1)
 WIDE = 64
 #: Leaves of the tree of a piece, by its bytes.
 WIDTHS = [4] * 5 + [1 << (n - 1).bit_length() for n in range(5, WIDE + 1)]
-#: Pieces a worker remembers; a full memory is emptied, so its size is bounded and results never change.
-REMEMBER = 500_000
+#: Bytes of the pieces and results of each of a worker's two memories. A full one takes the place of the older one,
+#: from which pieces that are met again move on; so the size is bounded, common pieces stay and results never change.
+REMEMBER = 30_000_000
+#: Bytes of the objects that hold one remembered piece and its results, besides their own characters.
+HOLDERS = 240
 
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
 
@@ -106,6 +109,8 @@ class Encoder:
         plain = own.replace(white, r"\t-\r ").replace(r"\p{L}\p{N}]", "A-Za-z0-9]").replace(r"\p{L}", "[A-Za-z]").replace(r"\p{N}", "[0-9]")
         self.find_ascii = self.find if "\\p" in plain else re.compile(plain).findall
         self.memory: dict[str, tuple[int, str, bytes]] = {}
+        self.older: dict[str, tuple[int, str, bytes]] = {}
+        self.held = 0
 
     # -- one piece, a tree of its own -------------------------------------------------------------
     def piece(self, raw: bytes) -> tuple[int, ...]:
@@ -230,14 +235,25 @@ class Encoder:
             held += len(texts_[-1])
             if held > 2_000_000 or k == len(batch) - 1:
                 split = [self.split(t) for t in texts_]
-                if len(self.memory) > REMEMBER:
-                    self.memory.clear()
-                new = [p for p in set().union(*split) if p not in self.memory]
-                for p, ids in self.encode_pieces(new):
-                    self.memory[p] = (len(ids), " ".join(map(str, ids)), self.decode(ids))
+                self._remember(set().union(*split))
                 yield split
                 texts_, held = [], 0
 
+    def _remember(self, pieces: set[str]) -> None:
+        if self.held > REMEMBER:
+            self.older, self.memory, self.held = self.memory, {}, 0
+        new = [p for p in pieces if p not in self.memory]
+        for p in new:
+            known = self.older.get(p)
+            if known is not None:
+                self._keep(p, known)
+        for p, ids in self.encode_pieces([p for p in new if p not in self.memory]):
+            self._keep(p, (len(ids), " ".join(map(str, ids)), self.decode(ids)))
+
+    def _keep(self, piece: str, found: tuple[int, str, bytes]) -> None:
+        self.memory[piece] = found
+        self.held += HOLDERS + len(found[1]) + 2 * len(found[2])
+
     def digests(self, batch: list[str | None]) -> Iterator[tuple[int, str, bytes]]:
         """Of each text: number of tokens, decimal ids joined by one space, and the bytes its ids decode to."""
         for group in self._groups(batch):

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 from collections.abc import Callable, Iterator
 
@@ -26,20 +27,33 @@ def texts(docs: DataFrame, *more: str) -> DataFrame:
 
 
 def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str, rows: int = 1000) -> DataFrame:
-    """mapInArrow with small batches, with this package sent to the workers."""
+    """mapInArrow with small batches, with this package sent to the workers.
+
+    Workers outlive their tasks, so a task hands back what it no longer needs when it ends.
+    """
     ship(df.sparkSession)
     bounded_batches(df.sparkSession, rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        gc.disable()  # the operators make millions of small objects and no cycles
+        gc.disable()  # the operators make millions of small objects and hardly any cycles
         try:
             yield from fn(batches)
         finally:
             gc.enable()
+            give_back()
 
     return df.mapInArrow(run, schema)
 
 
+def give_back() -> None:
+    """Return freed memory of this process to the system: that of the collector, of Arrow and of the C library."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
 def text_hash(text_col: str = "text") -> Column:
     """Seeded 64-bit hash of a document's id and text: orders rows the same way in every run."""
     return F.xxhash64(F.col("doc_id"), F.col(text_col))
