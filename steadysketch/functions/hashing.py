@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -53,13 +53,18 @@ def key_from_string(col: Column) -> Column:
     return F.conv(F.substring(F.md5(col), 1, 7), 16, 10).cast("bigint")
 
 
+def _cube(c: int) -> Callable[[Column], Column]:
+    return lambda s: (s * s % PRIME * s + F.lit(c)) % PRIME
+
+
 def uniform(seed: int, *parts: Column) -> Column:
     """A number strictly between 0 and 1 that is a fixed function of a secret seed and the given columns."""
     state = F.lit(mix64(seed) % PRIME).cast("bigint")
     for k, part in enumerate(parts):
         a, b, c = (mix64(seed * 31 + k * 7 + j) % PRIME for j in range(3))
         state = ((state * a + F.pmod(part.cast("bigint"), F.lit(PRIME))) % PRIME * b + c) % PRIME
-        state = (state * state % PRIME * state + F.lit(c)) % PRIME
+        # Bound to a name once: written out, a cube of a cube repeats its expression nine times.
+        state = F.element_at(F.transform(F.array(state), _cube(c)), 1)
     return (state.cast("double") + 0.5) / float(PRIME)
 
 

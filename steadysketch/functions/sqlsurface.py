@@ -43,22 +43,22 @@ def register(spark: SparkSession, layout: RowHashed) -> None:
                 yield row, value(buckets, key, row) % width, 1 - 2 * (value(signs, key, row) % 2)
 
     class Heavy:
-        """Exact L2-heavy keys of one partition's (key, value) rows; call it PARTITION BY the vector."""
+        """Exact L2-heavy keys of one partition's (query_id, key, value) rows; call it PARTITION BY query_id."""
 
         def __init__(self) -> None:
             self.sums: dict[int, int] = {}
-            self.k = 1
+            self.k, self.query_id = 1, None
 
         def eval(self, row, k: int) -> None:
-            self.k = k
+            self.k, self.query_id = k, row["query_id"]
             self.sums[row["key"]] = self.sums.get(row["key"], 0) + row["value"]
 
-        def terminate(self) -> Iterator[tuple[int, int]]:
+        def terminate(self) -> Iterator[tuple[int | None, int, int]]:
             order = sorted(self.sums.items(), key=lambda x: (-abs(x[1]), x[0]))
             tail = sum(v * v for _, v in order[self.k :])
             for key, v in order[: self.k]:
                 if v * v * self.k > tail:
-                    yield key, v
+                    yield self.query_id, key, v
 
     spark.udtf.register("participation", F.udtf(Participation, returnType="row int, bucket int, sign int"))
-    spark.udtf.register("l2_heavy", F.udtf(Heavy, returnType="key bigint, value bigint"))
+    spark.udtf.register("l2_heavy", F.udtf(Heavy, returnType="query_id bigint, key bigint, value bigint"))

@@ -146,6 +146,28 @@ def calibrate_weight(rate_at: Callable[[int], float], low: int, high: int, targe
     return high
 
 
+def search_border(ask: Callable[[int, int], bool], first: int = 1, asks: int = 9, most: int = 1 << 40) -> list[tuple[int, int]]:
+    """The search for a borderline weight by one who knows no parameters: (weight, reports out of ``asks``) of each step.
+
+    ``ask(weight, j)`` is whether the key is reported at that weight beside tail j. The weight is doubled until
+    the key is reported every time, then halved into the interval until the answers are mixed.
+    """
+    steps: list[tuple[int, int]] = []
+
+    def rate(weight: int) -> int:
+        steps.append((weight, sum(ask(weight, j) for j in range(asks))))
+        return steps[-1][1]
+
+    high = first
+    while rate(high) < asks and high < most:
+        high *= 2
+    low = high // 2
+    while high - low > 1 and not 0 < steps[-1][1] < asks:
+        middle = (low + high) // 2
+        low, high = (middle, high) if rate(middle) == 0 else (low, middle)
+    return steps
+
+
 def as_updates(tails: DataFrame, probe: Probe) -> DataFrame:
     """(seq, key, value): the attack as single-key updates, each tail put in and then taken out, 2 m updates a swap.
 
@@ -155,7 +177,12 @@ def as_updates(tails: DataFrame, probe: Probe) -> DataFrame:
     take = tails.select("tail_id", F.lit(2).alias("phase"), "key", (-F.col("value")).alias("value"))
     keep = tails.select("tail_id").distinct().select("tail_id", F.lit(1).alias("phase"), F.lit(probe.designated).cast("bigint").alias("key"), F.lit(1).cast("bigint").alias("value"))
     ordered = put.unionAll(keep).unionAll(take)
-    return ordered.select((F.row_number().over(Window.orderBy("tail_id", "phase", "key")) - 1).alias("seq"), "key", "value")
+    # Numbered within each tail and moved by what the tails before it have: no window holds all updates.
+    own = F.row_number().over(Window.partitionBy("tail_id").orderBy("phase", "key")) - 1
+    sizes = ordered.groupBy("tail_id").agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.orderBy("tail_id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = sizes.select("tail_id", before.alias("start"))
+    return ordered.withColumn("own", own).join(starts, "tail_id").select((F.col("start") + F.col("own")).alias("seq"), "key", "value")
 
 
 def feedback_tail(vec: DataFrame, labels: DataFrame) -> DataFrame:

@@ -3,28 +3,33 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
+from math import ceil, sqrt
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .estimators import agreement, threshold_report, votes
 from .gate import AT_LEAST, Gate, _uniform
-from .layouts import RowHashed
-from .sketch import build, estimates
+from .layouts import RowHashedCopies
+from .sketch import CELL
 from .weights import private_median
 
 
-def ensemble_votes(vec: DataFrame, keys: DataFrame, copies: int, rows: int, width: int, tau: float, seed: int = 500) -> DataFrame:
-    """(query_id, key, copies_for): how many of the independent copies report each key."""
-    reports = []
-    for copy in range(copies):
-        layout = RowHashed(rows, width, seed + copy)
-        report = threshold_report(agreement(votes(estimates(keys, build(vec, layout), layout)), rows), tau)
-        reports.append(report.select("query_id", "key"))
-    return reduce(DataFrame.unionAll, reports).groupBy("query_id", "key").agg(F.count("*").alias("copies_for"))
+def ensemble_size(m: int, k: int) -> int:
+    """Copies for m queries with k heavy keys each: the root of the number of private answers."""
+    return max(1, ceil(sqrt(m * k)))
+
+
+def ensemble_votes(vec: DataFrame, keys: DataFrame, copies: int, layout: RowHashedCopies, tau: float) -> DataFrame:
+    """(query_id, key, copies_for): how many of the independent copies report each key, the vector read once for all copies."""
+    each = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy")
+    cells = layout.participation(vec.select("query_id", "key", "value", each)).groupBy("copy", *CELL).agg(F.sum(F.col("sign") * F.col("value")).alias("c"))
+    asked = layout.participation(keys.select("query_id", "key", each))
+    est = asked.join(cells, ["copy", *CELL], "left").withColumn("est", F.col("sign") * F.coalesce("c", F.lit(0)))
+    share = lambda cond: F.avg(F.when(cond, 1.0).otherwise(0.0)) >= tau
+    reported = est.groupBy("copy", "query_id", "key").agg((share(F.col("est") > 0) | share(F.col("est") < 0)).alias("reported")).where("reported")
+    return reported.groupBy("query_id", "key").agg(F.count("*").alias("copies_for"))
 
 
 def private_ensemble(voted: DataFrame, copies: int, gate: Gate) -> DataFrame:
@@ -44,9 +49,12 @@ def noisy_median(est: DataFrame, eps: float, grid: list[int], seed: int) -> Data
     return est.select("query_id", "key", "est").groupBy("query_id", "key").applyInPandas(of_key, "query_id bigint, key bigint, v_hat double")
 
 
-def fresh_copy_cells(vec: DataFrame, queries: list[int], rows: int, width: int, seed: int = 900) -> dict[int, tuple[RowHashed, DataFrame]]:
-    """A sketch with randomness of its own for each query: the trivial bound of one copy per answer."""
-    return {q: (layout := RowHashed(rows, width, seed + q), build(vec.where(F.col("query_id") == q), layout)) for q in queries}
+def fresh_copy_estimates(vec: DataFrame, keys: DataFrame, layout: RowHashedCopies) -> DataFrame:
+    """Bucket estimates when every query has a sketch of its own: the trivial bound of one copy per answer."""
+    own = F.col("query_id").alias("copy")
+    cells = layout.participation(vec.select("query_id", "key", "value", own)).groupBy(*CELL).agg(F.sum(F.col("sign") * F.col("value")).alias("c"))
+    asked = layout.participation(keys.select("query_id", "key", own))
+    return asked.join(cells, CELL, "left").select("query_id", "key", "row", "bucket", (F.col("sign") * F.coalesce("c", F.lit(0))).alias("est"))
 
 
 def l1_frequent(items: DataFrame, column: str, k: int) -> DataFrame:

@@ -119,29 +119,67 @@ def tail_norm2(vec: DataFrame, k: int, summed: bool = False, queries: int | None
 def true_agreement(vec: DataFrame, keys: DataFrame, width: int, spread: int) -> DataFrame:
     """Exact p_plus and p_minus of integer vectors: the law of the other keys' signed sum in a bucket is convolved.
 
-    ``spread`` bounds the sum of magnitudes of a query's entries; meant for small vectors.
+    ``spread`` bounds the sum of magnitudes of a query's entries; meant for small vectors, each in one task.
     """
     import numpy as np
     import pandas as pd
 
-    wanted = keys.select(*PER_KEY).withColumn("wanted", F.lit(True))
+    wanted = keys.select(*PER_KEY).distinct().withColumn("wanted", F.lit(True))
     marked = vec.groupBy(*PER_KEY).agg(F.sum("value").alias("value")).join(wanted, PER_KEY, "full_outer").fillna({"value": 0})
 
     def of_query(rows: pd.DataFrame) -> pd.DataFrame:
         out = []
-        values = rows[["key", "value"]].astype("int64")
-        for key, own in rows.loc[rows.wanted.fillna(False).astype(bool), ["key", "value"]].itertuples(index=False):
+        # Keys of one value have one law, so it is convolved once for each value of the wanted keys.
+        values = rows.value.to_numpy("int64")
+        laws: dict[int, tuple[float, float]] = {}
+        for own in sorted(set(rows.value[rows.wanted.fillna(False).astype(bool)])):
+            others = list(values[values != 0])
+            if own:
+                others.remove(own)
             law = np.zeros(2 * spread + 1)
             law[spread] = 1
-            for other, v in values.itertuples(index=False):
-                if other != key and v:
-                    shift = abs(int(v))
-                    moved = np.zeros_like(law)
-                    moved[shift:] += law[:-shift]
-                    moved[:-shift] += law[shift:]
-                    law = law * (1 - 1 / width) + moved / (2 * width)
+            for v in others:
+                shift = abs(int(v))
+                moved = np.zeros_like(law)
+                moved[shift:] += law[:-shift]
+                moved[:-shift] += law[shift:]
+                law = law * (1 - 1 / width) + moved / (2 * width)
             at = np.arange(-spread, spread + 1) + int(own)
-            out.append((rows.query_id.iloc[0], key, float(law[at > 0].sum()), float(law[at < 0].sum())))
+            laws[own] = float(law[at > 0].sum()), float(law[at < 0].sum())
+        for key, own in rows.loc[rows.wanted.fillna(False).astype(bool), ["key", "value"]].itertuples(index=False):
+            out.append((rows.query_id.iloc[0], key, *laws[own]))
         return pd.DataFrame(out, columns=["query_id", "key", "p_plus", "p_minus"])
 
     return marked.groupBy("query_id").applyInPandas(of_query, "query_id bigint, key bigint, p_plus double, p_minus double")
+
+
+def normal_agreement(vec: DataFrame, width: int, queries: int | None = None) -> DataFrame:
+    """p_plus and p_minus if the other keys' sum in a bucket were normal with deviation sqrt(norm2 / width).
+
+    The normal distribution's tail by a polynomial (absolute error below 1e-7), so it stays in the plan.
+    """
+    square = F.sum(F.col("value").cast("double") * F.col("value").cast("double"))
+    norms = vec.groupBy("query_id").agg(square.alias("all2"))
+    own2 = F.col("value").cast("double") * F.col("value").cast("double")
+    z = F.col("value") / F.sqrt(F.greatest((F.col("all2") - own2) / width, F.lit(1e-300)))
+    t = 1 / (1 + 0.2316419 * F.abs(z))
+    # Coefficients of the published approximation of the normal tail.
+    series = t * (0.319381530 + t * (-0.356563782 + t * (1.781477937 + t * (-1.821255978 + t * 1.330274429))))
+    upper = F.exp(-z * z / 2) * 0.3989422804014327 * series
+    p = F.when(z >= 0, 1 - upper).otherwise(upper)
+    return vec.join(sized_broadcast(norms, queries), "query_id").select(*PER_KEY, p.alias("p_plus"), (1 - p).alias("p_minus"))
+
+
+def sampled_agreement(counted: DataFrame, per_key: float) -> DataFrame:
+    """p_plus and p_minus by sampling: the votes of a sketch with fresh randomness and very many buckets for each key."""
+    return agreement(counted, per_key, "realized").select(*PER_KEY, "p_plus", "p_minus")
+
+
+def heavy_set(truth: DataFrame, tau_b: float) -> DataFrame:
+    """Keys that every right report holds, from their true agreement."""
+    return truth.where(F.greatest("p_plus", "p_minus") >= tau_b).select(*PER_KEY)
+
+
+def suspect_set(truth: DataFrame, tau_a: float) -> DataFrame:
+    """Keys that a right report may hold."""
+    return truth.where(F.greatest("p_plus", "p_minus") >= tau_a).select(*PER_KEY)

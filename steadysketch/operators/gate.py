@@ -17,6 +17,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, mix64, uniform
+from .sizing import privacy_parameters
 
 AT_LEAST, AT_MOST = 1, -1
 
@@ -35,6 +36,15 @@ class Gate:
     noise: str = "theory"
     factor: float = 1.0
 
+    @staticmethod
+    def for_reports(limit: int, n: int, m: int, width: int, weights: bool = False, c1: float = 1.0, c2: float = 1.0, seed: int = 99, noise: str = "theory", factor: float = 1.0) -> Gate:
+        """The gate of reports over n keys and at most m queries: both privacy parameters follow from the access limit.
+
+        Weights cost one more passing test for each reported key, so with them the limit is doubled.
+        """
+        eps, delta = privacy_parameters(limit, n, m, width, c1, c2)
+        return Gate(eps, delta, 2 * limit if weights else limit, seed, noise, factor)
+
     @property
     def _factor(self) -> float:
         return {"theory": 1.0, "scaled": self.factor, "none": 0.0}[self.noise]
@@ -76,8 +86,8 @@ class Gate:
 
 
 def laplace(u: Column, scale: float) -> Column:
-    side = u - 0.5
-    return F.lit(-scale) * F.signum(side) * F.log(1 - 2 * F.abs(side))
+    drawn = F.transform(F.array(u - 0.5), lambda side: F.lit(-scale) * F.signum(side) * F.log(1 - 2 * F.abs(side)))
+    return F.element_at(drawn, 1)
 
 
 def _laplace(u: float, scale: float) -> float:
@@ -101,6 +111,9 @@ def survival(x: float, wide: float, narrow: float, cap: float) -> float:
     """
     if wide == 0:
         return float(x <= 0)
+    # So far out nothing is left of either tail, and the terms below would overflow.
+    if abs(x) > cap + 40 * (wide + narrow):
+        return float(x < 0)
 
     def tail(z: float) -> float:
         return 0.5 * exp(-z / wide) if z >= 0 else 1 - 0.5 * exp(z / wide)

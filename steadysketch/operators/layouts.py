@@ -14,7 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, coefficients, mix64, pick, poly_hash, sql_poly
@@ -28,6 +28,8 @@ class RowHashed:
     seed: int = 1
     degree: int = 2
     proven: bool = False
+    #: ``poly``: k-wise independent and portable; ``fast``: the engine's own 64-bit hash, for use without proofs.
+    family: str = "poly"
 
     @property
     def per_key(self) -> int:
@@ -40,13 +42,16 @@ class RowHashed:
 
     @property
     def fingerprint(self) -> str:
-        return f"row-{self.rows}x{self.width}-d{self.degree}-s{self.seed}"
+        return f"row-{self.rows}x{self.width}-{f'd{self.degree}' if self.family == 'poly' else self.family}-s{self.seed}"
 
     def participation(self, keyed: DataFrame) -> DataFrame:
         """Adds row, bucket and sign: ``rows`` rows for each key."""
         buckets, signs = coefficients(self.seed, 0, self.rows, self.degree), coefficients(self.seed, 1, self.rows, self.degree)
         row = F.col("row")
         spread = keyed.withColumn("row", F.explode(F.sequence(F.lit(0), F.lit(self.rows - 1))))
+        if self.family == "fast":
+            drawn = F.xxhash64(F.lit(self.seed), row, "key")
+            return spread.withColumns({"bucket": F.pmod(drawn, F.lit(self.width)).cast("int"), "sign": F.lit(1).cast("bigint") - 2 * F.shiftrightunsigned(drawn, 63)})
         bucket = poly_hash(F.col("key"), [pick(c, row) for c in buckets]) % self.width
         sign = 1 - 2 * (poly_hash(F.col("key"), [pick(c, row) for c in signs]) % 2)
         return spread.withColumns({"bucket": bucket.cast("int"), "sign": sign.cast("bigint")})
@@ -58,6 +63,46 @@ class RowHashed:
         return f"SELECT t.*, CAST(r.row AS INTEGER) AS row, CAST(({bucket}) % {self.width} AS INTEGER) AS bucket, CAST(1 - 2 * (({sign}) % 2) AS BIGINT) AS sign FROM {keyed} t, (SELECT unnest(range(0, {self.rows})) AS row) r"
 
 
+@dataclass(frozen=True)
+class RowHashedCopies:
+    """Independent copies of a row-hashed layout in one plan: copy c has the randomness of number c of its family.
+
+    Coefficients are polynomials of the copy and row, so any number of copies needs no literals.
+    """
+
+    rows: int
+    width: int
+    seed: int = 1
+
+    @property
+    def size(self) -> int:
+        return self.rows * self.width
+
+    def _coefficients(self, role: int) -> list[list[list[int]]]:
+        return [coefficients(self.seed * 100 + role * 10 + power, 7, 1, 3) for power in range(3)]
+
+    def participation(self, keyed: DataFrame) -> DataFrame:
+        """Adds row, bucket and sign to rows with a key and a copy."""
+        place = F.col("copy") * 4096 + F.col("row")
+
+        def own(role: int) -> Column:
+            drawn = [poly_hash(place, [F.lit(c[0]).cast("bigint") for c in coefs]) for coefs in self._coefficients(role)]
+            return poly_hash(F.col("key"), drawn)
+
+        spread = keyed.withColumn("row", F.explode(F.sequence(F.lit(0), F.lit(self.rows - 1))))
+        return spread.withColumns({"bucket": (own(0) % self.width).cast("int"), "sign": (1 - 2 * (own(1) % 2)).cast("bigint")})
+
+    def sql(self, keyed: str) -> str:
+        def own(role: int) -> str:
+            drawn = ["(" + sql_poly("t.copy * 4096 + r.row", coefs, "0") + ")" for coefs in self._coefficients(role)]
+            out = drawn[-1]
+            for c in reversed(drawn[:-1]):
+                out = f"(({out}) * key + {c}) % {PRIME}"
+            return out
+
+        return f"SELECT t.*, CAST(r.row AS INTEGER) AS row, CAST(({own(0)}) % {self.width} AS INTEGER) AS bucket, CAST(1 - 2 * (({own(1)}) % 2) AS BIGINT) AS sign FROM {keyed} t, (SELECT unnest(range(0, {self.rows})) AS row) r"
+
+
 @dataclass(frozen=True)
 class IndependentBuckets:
     buckets: int

@@ -9,6 +9,7 @@ serially on the driver. The result equals the serial one exactly.
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterable
 from dataclasses import dataclass, field
 
@@ -31,6 +32,10 @@ class BudgetExhausted(RuntimeError):
     """Too many buckets of a key are retired for the guarantee to hold."""
 
 
+class UnprovenLayout(UserWarning):
+    """The guarantee needs independent buckets; on other layouts the report runs without it."""
+
+
 @dataclass
 class RobustReporter:
     """The robust threshold report over a sequence of queries; holds the gate's memory between them."""
@@ -41,10 +46,20 @@ class RobustReporter:
     tau_b: float = TAU_B
     short_circuit: bool = True
     weights_up_to: int | None = None
+    #: Largest share of a tested key's buckets that may be retired; beyond it the report stops with BudgetExhausted.
+    most_retired: float | None = None
     accesses: Accesses = field(init=False)
 
     def __post_init__(self) -> None:
         self.accesses = Accesses(self.gate.limit)
+        if not self.layout.proven:
+            warnings.warn(f"{self.layout.fingerprint}: the guarantee is proven for independent buckets only", UnprovenLayout, stacklevel=3)
+
+    def _healthy(self, query_id: int, key: int, buckets: list) -> None:
+        if self.most_retired is not None and buckets:
+            gone = sum((r, b) in self.accesses.retired for r, b, _ in buckets) / len(buckets)
+            if gone > self.most_retired:
+                raise BudgetExhausted(f"query {query_id}: {gone:.0%} of the buckets of key {key} are retired")
 
     @property
     def level(self) -> float:
@@ -96,6 +111,7 @@ class RobustReporter:
         out = []
         for key, buckets in candidates:
             found = None
+            self._healthy(query_id, key, buckets)
             for sign, kind in ((1, PLUS), (-1, MINUS)):
                 agreeing = [(r, b) for r, b, est in buckets if est * sign > 0 and (r, b) not in self.accesses.retired]
                 self.accesses.asks += 1
@@ -151,16 +167,21 @@ class ContinuousReporter(RobustReporter):
     refreshed: int = 0
 
     def advance(self, query_id: int, est: DataFrame, changes: dict[int, int] | None = None) -> dict[int, tuple[int, int | None]]:
-        """One step: ``est`` are the estimates after the step's changes. Returns key -> (sign, weight)."""
+        """One step: ``est`` are the estimates after the step's changes, of the keys to ask and of all that are inside.
+
+        Returns key -> (sign, weight). Only the buckets of keys that pass or are inside reach the driver.
+        """
         low, high = (self.layout.per_key * t for t in step_levels(self.tau_a, self.tau_b))
         for key, by in (changes or {}).items():
             if self.weight.get(key) is not None:
                 self.weight[key] += by
-        outside = est.where(~F.col("key").isin(list(self.inside))) if self.inside else est
+        est = est.persist()
+        outside = est.join(self._inside(est), "key", "left_anti") if self.inside else est
         for key, sign, _, weight in self.replay(query_id, self.candidates(outside, high), high):
             self.inside[key], self.weight[key] = sign, weight
             self.entries += 1
-        held = est.where(F.col("key").isin(list(self.inside))).collect() if self.inside else []
+        held = est.join(self._inside(est), "key", "left_semi").collect() if self.inside else []
+        est.unpersist()
         buckets: dict[int, list] = {}
         for r in held:
             buckets.setdefault(r["key"], []).append((r["row"], r["bucket"], r["est"]))
@@ -177,6 +198,17 @@ class ContinuousReporter(RobustReporter):
                 self._validate(query_id, key, buckets.get(key, []))
         return {k: (s, self.weight[k]) for k, s in self.inside.items()}
 
+    def _inside(self, est: DataFrame) -> DataFrame:
+        side = est.sparkSession.createDataFrame([(k,) for k in sorted(self.inside)], "key bigint")
+        return sized_broadcast(side, len(self.inside))
+
+    def wanted(self, candidates: DataFrame) -> DataFrame:
+        """(query_id, key) of the candidates and of the keys that are inside, who must be able to leave."""
+        if not self.inside:
+            return candidates.select("query_id", "key")
+        queries = candidates.select("query_id").distinct()
+        return candidates.select("query_id", "key").unionAll(queries.crossJoin(self._inside(candidates)).select("query_id", "key")).distinct()
+
     def _validate(self, query_id: int, key: int, buckets: list) -> None:
         """Replace a kept weight when at most a tenth, or at least nine tenths, of the buckets lie below it."""
         kept = self.weight[key]

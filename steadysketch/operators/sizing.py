@@ -43,6 +43,27 @@ def size_agreement(n: int, m: int, beta: float, slack: float) -> int:
     return ceil(3 * log(2 * 2 * m * n / beta) / slack**2)
 
 
+def slack(tau_a: float = TAU_A, tau_b: float = TAU_B, continuous: bool = False) -> float:
+    """How far an estimated agreement may be off for the reports to be right."""
+    return (tau_b - tau_a) / (25 if continuous else 10)
+
+
+def budget_share(slack_: float, form: str = "markov") -> float:
+    """Largest cost of a sequence, as a share of the access limit, that leaves enough useful buckets.
+
+    By Markov's inequality the expected share of used-up buckets must stay below half the slack; the
+    second-moment bound allows its root.
+    """
+    return slack_ / 2 if form == "markov" else sqrt(slack_ / 2)
+
+
+def privacy_parameters(limit: int, n: int, m: int, width: int, c1: float = 1.0, c2: float = 1.0) -> tuple[float, float]:
+    """(epsilon, delta) of one test for an access limit, n keys and m queries of a sketch."""
+    if m < limit:
+        raise ValueError(f"at least as many queries ({m}) as accesses of a bucket ({limit}) are needed")
+    return c1 / sqrt(limit), c2 / (n * m * width * limit)
+
+
 @dataclass(frozen=True)
 class RobustSize:
     buckets: int
@@ -55,11 +76,19 @@ class RobustSize:
 def size_robust(k: int, n: int, m: int, limit: int, beta: float = 0.01, c1: float = 1.0, c2: float = 1.0, c3: float = 1.0) -> RobustSize:
     """Theory sizes. They are far beyond any table at hand; the constants are the caller's."""
     b = width_for(k)
-    eps, delta = c1 / sqrt(limit), c2 / (n * m * b * limit)
+    eps, delta = privacy_parameters(limit, n, m, b, c1, c2)
     logs = log(max(2.0, limit * log(m * n * b * limit))) * log(m * n * limit) * log(m * n / beta)
     return RobustSize(ceil(c3 * b * sqrt(limit) * logs), b, eps, delta, limit)
 
 
+def generalization_terms(d: int, b: int, n: int, m: int, beta: float, slack_: float) -> dict[str, float]:
+    """The parameters of the generalization bound for n keys and m queries, and whether d buckets keep every term in its third."""
+    t = ceil(2 * n * (4 * m + 1) / beta)
+    xi, eta = slack_ / 6, slack_ / (6 * t * b)
+    least = 12 * b * log(t + 1) / (xi * slack_)
+    return {"repetitions": float(t), "xi": xi, "eta": eta, "least_buckets": least, "bound": generalization_bound(d, b, eta, xi, t), "allowed": slack_ / (3 * b)}
+
+
 def generalization_bound(d: int, b: int, eta: float, xi: float, t: int) -> float:
     """Largest of the three terms that bound bucket means against their expectation."""
     return max(2 * xi / b, 2 * eta * t, 12 * log(t + 1) / (xi * d))

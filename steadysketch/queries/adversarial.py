@@ -4,16 +4,18 @@ from __future__ import annotations
 
 from math import sqrt
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators import arena as R
 from ..operators import attacks as A
 from ..operators import estimators as E
 from ..operators import metrics as M
 from ..operators import sketch as S
-from ..operators.gate import AT_LEAST, Gate
-from ..operators.layouts import RowHashed
+from ..operators.gate import AT_LEAST, Gate, gate_delta
+from ..operators.layouts import IndependentBuckets, RowHashed
 from ..operators.sizing import C_A
+from ..runtime import materialise
 from ..sources import vectors as V
 from . import sqltext as T
 from .base import GATE, LEVELS, MID, PARTS, SMALL, USERS, query
@@ -143,52 +145,199 @@ def rounds_to_bnr(spark: SparkSession, sf_dir: str) -> DataFrame:
     return M.rounds_to(own, list(_TARGETS))
 
 
-def simulate(spark: SparkSession, sf_dir: str, layouts: list[RowHashed], k_out: int, m: int, tails: int, how: str = "signed", kind: str = "gaussian", seed: int = 5) -> DataFrame:
-    """Curves of the median attack for several sketches over the same tails: (seed, rows, width, round, role, bnr).
+def play_field(spark: SparkSession, sf_dir: str, contenders: list[R.Contender], m: int, count: int, kind: str = "gaussian", seed: int = 5, roles: tuple[int, ...] = (1, -1)) -> tuple[DataFrame, DataFrame]:
+    """The tails, and what they add at the special keys of every contender: one plan for all of them."""
+    tails = V.tails(spark, sf_dir, m, count, seed, kind)
+    held = R.spots(spark, contenders, FIRST, (1000 if kind == "gaussian" else 1) * sqrt(m)).where(F.col("role").isin(*roles))
+    size = len(contenders) * 3 * max(int(c.layout.per_key * 2) for c in contenders)
+    return tails, R.spot_noise(tails, held, size)
+
+
+def contenders(rows: tuple[int, ...], seeds: int, width: int, k_out: int, first_seed: int) -> list[R.Contender]:
+    """Row-hashed sketches of each number of rows, ``seeds`` of each; the number tells rows and seed."""
+    return [R.Contender(r * 100 + s, RowHashed(r, width, first_seed + 100 * r + s, 4), k_out) for r in rows for s in range(seeds)]
+
+
+def _rows_of() -> Column:
+    return F.floor(F.col("sketch") / 100).cast("int")
 
-    Role 1 is the designated key, -1 its twin, 0 the control key. The rounds of an attack are one batch.
-    """
-    held = V.tails(spark, sf_dir, m, tails, seed, kind)
-    out = None
-    for layout in layouts:
-        deviation = (1000 if kind == "gaussian" else 1) * sqrt(m / layout.width)
-        probe = A.Probe.make(layout, k_out, FIRST, max(1, int(2 * deviation)), max(2, int(40 * deviation)))
-        est = A.probe_estimates(held, probe, special_keys(probe))
-        signs = A.collect(A.median_rounds(est, probe), how)
-        curve = A.bnr_curve(est, signs, held, probe)
-        role = F.when(F.col("key") == probe.designated, 1).when(F.col("key") == probe.twin, -1).otherwise(0)
-        part = curve.select(F.lit(layout.seed).alias("seed"), F.lit(layout.rows).alias("rows"), F.lit(layout.width).alias("width"), "round", role.alias("role"), "bnr")
-        out = part if out is None else out.unionAll(part)
-    return out
+
+def median_curves(spark: SparkSession, sf_dir: str, field: list[R.Contender], m: int, count: int, how: str = "signed", kind: str = "gaussian", control: bool = False) -> DataFrame:
+    """(sketch, role, round, bnr) of the median attack on every contender."""
+    tails, noise = play_field(spark, sf_dir, field, m, count, kind, roles=(1, -1, 0) if control else (1, -1))
+    noise = materialise(noise, "noise")
+    return R.curves(noise, R.median_signs(noise, how), tails)
+
+
+def _reached(curves: DataFrame, targets: list[float]) -> DataFrame:
+    """(rows, seed, target, rounds): rounds after which the mean of the two special keys reaches each target."""
+    both = curves.groupBy("sketch", "round").agg(F.avg(F.col("role") * F.col("bnr")).alias("bnr"))
+    return M.rounds_to(both.withColumnRenamed("sketch", "seed"), targets).withColumn("rows", F.floor(F.col("seed") / 100).cast("int"))
 
 
 @query()
 def bnr_band(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean, least and most of the ratio over initializations, by round and role (a point every 25 rounds)."""
-    curves = simulate(spark, sf_dir, [RowHashed(25, 10, s, 4) for s in range(31, 35)], 3, M_KEYS, TAILS)
-    return M.band(curves.where("round % 25 = 0"), ["round", "role"], "bnr")
+    """Mean, least and most of the ratio over ten initializations after every round, for both special keys and a control key."""
+    curves = median_curves(spark, sf_dir, contenders((25,), 10, 10, 3, 3100), M_KEYS, TAILS, control=True)
+    return M.band(curves, ["round", "role"], "bnr")
+
+
+@query()
+def bnr_band_signs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with tails of +1 and -1, whose keys are many to a bucket, so that ties are rare."""
+    curves = median_curves(spark, sf_dir, contenders((25,), 10, 10, 3, 3200), 600, TAILS, kind="sign", control=True)
+    return M.band(curves, ["round", "role"], "bnr")
+
+
+@query()
+def missed_band(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The form that collects only the tails on which the designated key is missed, over ten initializations."""
+    curves = median_curves(spark, sf_dir, contenders((25,), 10, 10, 3, 3300), M_KEYS, 2 * TAILS, how="missed")
+    return M.band(curves, ["round", "role"], "bnr")
+
+
+def _rounds_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    one = _reached(median_curves(spark, sf_dir, contenders((9, 17, 25, 49), 20, 10, 3, 4000), M_KEYS, 700), [1.0])
+    four = _reached(median_curves(spark, sf_dir, contenders((9, 17), 5, 10, 3, 5000), M_KEYS, 2_500), [4.0])
+    return materialise(one.unionAll(four), "reached")
+
+
+@query()
+def rounds_reached(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rounds to a ratio of 1 (20 runs a size) and 4 (5 runs) by rows of the sketch: mean, least, most, runs that came there, factor."""
+    reached = _rounds_fit(spark, sf_dir)
+    factor = F.avg(F.col("rounds") / (F.col("target") * F.col("target") * F.col("rows")))
+    return reached.groupBy("target", "rows").agg(F.avg("rounds").alias("mean"), F.min("rounds").alias("least"), F.max("rounds").alias("most"), F.count("*").alias("runs"), factor.alias("factor"))
 
 
 @query()
 def rounds_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Factor and slope of rounds against sketch rows: r is about 5 bnr^2 times the rows, linear in them."""
-    curves = simulate(spark, sf_dir, [RowHashed(rows, 10, 40 + 10 * rows + s, 4) for rows in (9, 17, 25, 49) for s in range(3)], 3, M_KEYS, TAILS)
-    special = curves.where("role <> 0").groupBy("rows", "seed", "round").agg(F.avg(F.col("role") * F.col("bnr")).alias("bnr"))
-    return M.fit_growth(special)
+    """Factor and log-log slope of the measured rounds against rows, by target ratio: about 5 and 1 are published."""
+    return M.fit_rounds(_rounds_fit(spark, sf_dir))
 
 
 @query()
 def width_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The ratio after a fixed number of rounds for several widths and numbers of very heavy keys."""
+    """Rounds to a ratio of 1 for widths 30 to 300 at 100 rows, a third of the width very heavy keys; two runs a width."""
+    out = None
+    for width in (30, 100, 300):
+        field = [R.Contender(s, RowHashed(100, width, 6000 + width + s, 4), width // 3) for s in range(2)]
+        part = _reached(median_curves(spark, sf_dir, field, 5 * width, 900), [1.0])
+        part = part.agg(F.lit(width).alias("width"), F.lit(width // 3).alias("heavy"), F.avg("rounds").alias("mean"), F.count("*").alias("runs"), (F.avg("rounds") / 100).alias("factor"))
+        out = part if out is None else out.unionAll(part)
+    return out
+
+
+@query()
+def heavy_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rounds to a ratio of 1 for 2, 5 and 10 places in the report at width 30 and 25 rows; five runs each."""
+    field = [R.Contender(100 * k + s, RowHashed(25, 30, 7000 + 10 * k + s, 4), k) for k in (2, 5, 10) for s in range(5)]
+    reached = _reached(median_curves(spark, sf_dir, field, 150, 600), [1.0])
+    return reached.groupBy(F.col("rows").alias("heavy")).agg(F.avg("rounds").alias("mean"), F.min("rounds").alias("least"), F.max("rounds").alias("most"), F.count("*").alias("runs"), (F.avg("rounds") / 25).alias("factor"))
+
+
+# -- the game -------------------------------------------------------------------------------------
+GAME_ROWS, GAME_SEEDS, GAME_WIDTH = (17, 33, 65), 5, 16
+#: The designated key's weight in deviations: reported about half the time, and heavy by its true agreement.
+BORDERLINE, HEAVY = 1.31, 2.6
+
+
+def _game_gate(rows: int, noise: bool, limited: bool) -> Gate:
+    limit = max(8, rows * rows // 8)
+    return Gate(1 / sqrt(limit), 1e-9, limit if limited else None, 808, "scaled" if noise else "none", 0.01 * rows / (10 * gate_delta(1 / sqrt(limit), 1e-9)))
+
+
+def game_rules(rows: int) -> list[R.Rule]:
+    """The plain rule, the gate whole, its parts alone, and the gate under repeated asks."""
+    return [
+        R.Rule("plain", None), R.Rule("gate", _game_gate(rows, True, True)), R.Rule("noise only", _game_gate(rows, True, False)), R.Rule("limit only", _game_gate(rows, False, True)),
+        R.Rule("gate, repeated", _game_gate(rows, True, True), 5), R.Rule("noise only, repeated", _game_gate(rows, True, False), 5),
+    ]
+
+
+def games(spark: SparkSession, sf_dir: str, count: int = 500) -> DataFrame:
+    """The adaptive game on independent buckets: every size and seed against every rule, to the first wrong report."""
     out = None
-    for width, k_out in ((10, 3), (10, 2), (30, 2), (30, 5)):
-        curves = simulate(spark, sf_dir, [RowHashed(25, width, 60 + width + k_out, 4)], k_out, 5 * width + 10, 150)
-        last = curves.groupBy("role").agg(F.max_by("bnr", "round").alias("bnr"), F.max("round").alias("rounds"))
-        part = last.select(F.lit(width).alias("width"), F.lit(k_out).alias("heavy"), "role", "bnr", "rounds")
+    for rows in GAME_ROWS:
+        field = [R.Contender(rows * 100 + s, IndependentBuckets(rows * GAME_WIDTH, GAME_WIDTH, 8000 + 10 * rows + s), 1, BORDERLINE) for s in range(GAME_SEEDS)]
+        tails, noise = play_field(spark, sf_dir, field, 5 * GAME_WIDTH, count, roles=(1,))
+        part = R.play_rules(noise, tails, game_rules(rows), MID, HEAVY, 1 / 3)
         out = part if out is None else out.unionAll(part)
     return out
 
 
+@query()
+def survival_by_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries to the first wrong report, by rule and expected buckets of a key; runs that were wrong, exhausted, or neither."""
+    played = games(spark, sf_dir).withColumn("rows", _rows_of())
+    wrong, exhausted = F.col("wrong_at").isNotNull(), F.col("wrong_at").isNull() & F.col("exhausted").isNotNull()
+    count = lambda c: F.sum(F.when(c, 1).otherwise(0))
+    return played.groupBy("rule", "rows").agg(F.avg("queries").alias("queries"), F.avg("collected").alias("collected"), F.avg("bnr").alias("bnr"), count(wrong).alias("wrong"), count(exhausted).alias("exhausted"), count(~wrong & ~exhausted).alias("survived"))
+
+
+@query()
+def minimal_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The fewest buckets a key needs, of those tried, to answer a number of attacking queries rightly on average, by rule."""
+    played = games(spark, sf_dir).withColumn("rows", _rows_of()).groupBy("rule", "rows").agg(F.avg("queries").alias("queries"))
+    wanted = F.explode(F.array(*map(F.lit, (25, 50, 100, 200, 400)))).alias("wanted")
+    return played.select("rule", "rows", "queries", wanted).groupBy("rule", "wanted").agg(F.min(F.when(F.col("queries") >= F.col("wanted"), F.col("rows"))).alias("rows"))
+
+
+@query()
+def margin_defeats_attack(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The attack on the plain rule with the designated key at the border, far above it and far below: tails collected and final ratio."""
+    weights = {0: 0.2, 1: BORDERLINE, 2: 6.0}
+    field = [R.Contender(100 * k + s, RowHashed(33, GAME_WIDTH, 8600 + s, 4), 1, w) for k, w in weights.items() for s in range(5)]
+    tails, noise = play_field(spark, sf_dir, field, 5 * GAME_WIDTH, 300, roles=(1,))
+    noise = materialise(noise, "noise")
+    signs = R.agreement_signs(noise, MID)
+    rates = signs.groupBy("sketch").agg(F.avg(F.abs("sign")).alias("rate"))
+    last = R.curves(noise, signs, tails).groupBy("sketch").agg(F.max_by("bnr", "round").alias("bnr"))
+    named = F.element_at(F.create_map(*[F.lit(x) for k, w in weights.items() for x in (k, w)]), F.floor(F.col("sketch") / 100).cast("int"))
+    return rates.join(last, "sketch", "left").groupBy(named.alias("weight")).agg(F.avg("rate").alias("rate"), F.avg(F.coalesce("bnr", F.lit(0.0))).alias("bnr"))
+
+
+@query()
+def streaming_attack(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The attack through a continuous report: tails and their negations as the states of one stream; what counts is the flip number."""
+    field = contenders((33,), 5, GAME_WIDTH, 1, 8700)
+    tails, noise = play_field(spark, sf_dir, [R.Contender(c.sketch, c.layout, 1, BORDERLINE) for c in field], 5 * GAME_WIDTH, 300, roles=(1,))
+    side = F.explode(F.array(F.lit(0), F.lit(1))).alias("side")
+    share = lambda sign: F.avg(F.when(F.col("border") + sign * F.col("noise") > 0, 1.0).otherwise(0.0))
+    both = noise.groupBy("sketch", "tail_id").agg(share(1).alias("up"), share(-1).alias("down")).select("*", side)
+    states = both.select((2 * F.col("tail_id") + F.col("side")).alias("query_id"), F.col("sketch").cast("bigint").alias("key"), F.when(F.col("side") == 0, F.col("up")).otherwise(F.col("down")).alias("p_plus"), F.lit(0.0).alias("p_minus"))
+    states = materialise(states, "states")
+    changes = M.churn(E.hysteresis_report(states, *LEVELS))
+    steps = states.groupBy("key").agg(F.count("*").alias("states"))
+    return steps.join(M.flips(states, *LEVELS), "key", "left").join(changes, "key", "left").select(F.col("key").alias("sketch"), "states", (F.col("states") * 5 * GAME_WIDTH).alias("updates"), "flips", "changes")
+
+
+def _needed(spark: SparkSession, sf_dir: str) -> list[float]:
+    """For each tail the weight from which the designated key of one sketch is reported beside it."""
+    field = [R.Contender(0, RowHashed(33, GAME_WIDTH, 8800, 4), 1, BORDERLINE)]
+    _, noise = play_field(spark, sf_dir, field, 5 * GAME_WIDTH, 300, roles=(1,))
+    ordered = F.sort_array(F.collect_list(-F.col("noise")))
+    return [float(r[0]) for r in noise.groupBy("tail_id").agg(F.element_at(ordered, int(MID * 33) + 1).alias("w")).orderBy("tail_id").select("w").collect()]
+
+
+@query()
+def borderline_weight(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The weight at which the key is reported about half the time, by bisection, and the rates around it."""
+    needed = _needed(spark, sf_dir)
+    rate = lambda w: sum(w > n for n in needed) / len(needed)
+    deviation = 1000 * sqrt(5.0)
+    found = A.calibrate_weight(rate, 0, int(6 * deviation))
+    return spark.createDataFrame([(name, int(w), w / deviation, rate(w)) for name, w in (("half of it", found / 2), ("found", found), ("twice", 2 * found))], "weight_is string, weight bigint, deviations double, rate double")
+
+
+@query()
+def attack_unknown(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The search for the border without the parameters of sketch and rule: weights tried, reports, queries so far."""
+    needed = _needed(spark, sf_dir)
+    steps = A.search_border(lambda w, j: w > needed[j % len(needed)])
+    return spark.createDataFrame([(i, w, hits, 9 * (i + 1)) for i, (w, hits) in enumerate(steps)], "step int, weight bigint, reports int, queries int")
+
+
 # -- final queries --------------------------------------------------------------------------------
 _FINAL = [
     *_rounds_sql(PROBE), ("signs", _SIGNED), ("tail", "SELECT t.key, s.sign * t.value AS value FROM tails t JOIN signs s ON t.tail_id = s.tail_id WHERE s.sign <> 0"),

@@ -45,15 +45,15 @@ def report_as_of(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(
     T.with_(
-        *HOURLY, ("said", _INSIDE), ("r", "SELECT query_id, key FROM said WHERE inside"), ("o", "SELECT o_orderkey AS order_key, o_custkey AS key, o_orderkey % 720 AS hour FROM orders WHERE o_custkey < 150"),
+        *HOURLY, ("said", _INSIDE), ("r", "SELECT query_id, key FROM said WHERE inside"), ("o", "SELECT o_orderkey AS order_key, o_custkey AS key, o_orderkey % 720 AS hour FROM orders WHERE o_custkey IN (SELECT key FROM vec)"),
         then="SELECT order_key, key, hour, (SELECT max(r.query_id) FROM r WHERE r.key = o.key AND r.query_id <= o.hour) AS reported_at FROM o",
     )
 )
 def report_asof_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     """For each order of a user, the last hour up to the order's in which the user was reported."""
-    rows = hourly_agreement(spark, sf_dir)[1]
+    vec, rows = hourly_agreement(spark, sf_dir)
     reported = rows.where(F.greatest("p_plus", "p_minus") >= MID).select("key", F.col("query_id").alias("hour"), F.lit(None).cast("bigint").alias("order_key"), F.col("query_id").alias("at"))
-    orders = V.read_table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"], "o_custkey < 150")
+    orders = V.read_table(spark, sf_dir, "orders", ["o_orderkey", "o_custkey"]).join(vec.select(F.col("key").alias("o_custkey")).distinct(), "o_custkey", "left_semi")
     asked = orders.select(F.col("o_custkey").alias("key"), (F.col("o_orderkey") % 720).alias("hour"), F.col("o_orderkey").alias("order_key"), F.lit(None).cast("bigint").alias("at"))
     # One sort by key and time instead of a range join: reports come before orders of the same hour.
     past = Window.partitionBy("key").orderBy("hour", F.col("order_key").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
@@ -148,11 +148,7 @@ def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(T.with_(("vec", T.vector("class_sums")), then=f"SELECT query_id, key, value FROM ({T.heavy('vec', 10)})"))
 def sql_heavy_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The table function over each class's vector."""
+    """The table function over all classes, one partition for each."""
     register(spark, USERS)
     V.class_sums(spark, sf_dir).createOrReplaceTempView("steadysketch_classes")
-    out = None
-    for label in [r[0] for r in spark.sql("SELECT DISTINCT query_id FROM steadysketch_classes ORDER BY 1 LIMIT 100").collect()]:
-        part = spark.sql(f"SELECT {label}L AS query_id, key, value FROM l2_heavy(TABLE(SELECT key, value FROM steadysketch_classes WHERE query_id = {label}) WITH SINGLE PARTITION, 10)")
-        out = part if out is None else out.unionAll(part)
-    return out
+    return spark.sql("SELECT * FROM l2_heavy(TABLE(steadysketch_classes) PARTITION BY (query_id), 10)")

@@ -34,6 +34,9 @@ USERS = RowHashed(33, 64, seed=14)
 SMALL = RowHashed(5, 32, seed=15)
 COMPONENTS = RowHashed(21, 64, seed=16)
 BUCKETS = IndependentBuckets(4_000, 16, seed=17)
+#: Enough buckets a key for counts over the expected number of them to resolve the gap of the thresholds.
+INDEPENDENT = IndependentBuckets(16_000, 16, seed=18)
+SKIPPING = IndependentBuckets(16_000, 16, seed=18, mode="skip")
 MID = mid()
 COMPACT = mid(TAU_A, TAU_B_COMPACT)
 LEVELS = (TAU_A, TAU_B)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import sql_key
@@ -278,18 +278,27 @@ def no_heavy_empty_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return counts[0].crossJoin(counts[1]).crossJoin(counts[2])
 
 
-def hourly_agreement(spark: SparkSession, sf_dir: str, hours: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """The hourly vectors, and the agreement of every user in every hour."""
+def hourly_agreement(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """The hourly vectors, and the agreement of every user in the hours that have the user.
+
+    The candidates of an hour are its own keys. The hour after one that had a user follows with agreement
+    0 where it has not, so that a user who is gone leaves every report; no pair of hour and user is made
+    besides.
+    """
     vec = V.hourly_users(spark, sf_dir)
-    vec = vec if hours is None else vec.where(F.col("query_id") < hours)
-    users, steps = vec.select("key").distinct(), vec.select("query_id").distinct()
-    est = S.estimates(steps.crossJoin(F.broadcast(users)), S.build(vec, USERS, sum_keys=False), USERS)
-    return vec, E.agreement(E.votes(est), USERS.per_key)
+    est = S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS)
+    said = E.agreement(E.votes(est), USERS.per_key)
+    end = vec.agg(F.max("query_id").alias("end"))
+    after = F.lead("query_id").over(Window.partitionBy("key").orderBy("query_id"))
+    gone = keys(vec).withColumn("after", after).crossJoin(F.broadcast(end)).where("after > query_id + 1 or (after is null and query_id < end)")
+    zero = {c: F.lit(0).cast(t) for c, t in said.dtypes if c not in ("query_id", "key")}
+    return vec, said.unionByName(gone.select((F.col("query_id") + 1).alias("query_id"), "key", *[v.alias(c) for c, v in zero.items()]))
 
 
 HOURLY = [
-    ("vec", T.vector("hourly_users")), ("pairs", "SELECT q.query_id, k.key FROM (SELECT DISTINCT query_id FROM vec) q, (SELECT DISTINCT key FROM vec) k"),
-    ("cells", T.cells("vec", USERS)), ("est", T.estimates("pairs", "cells", USERS)), ("votes", T.votes("est")), ("agreed", T.agreement("votes", 33)),
+    ("vec", T.vector("hourly_users")), ("cells", T.cells("vec", USERS)), ("est", T.estimates("vec", "cells", USERS)), ("votes", T.votes("est")), ("present", T.agreement("votes", 33)),
+    ("steps", "SELECT query_id, key, lead(query_id) OVER (PARTITION BY key ORDER BY query_id) AS after, (SELECT max(query_id) FROM vec) AS last FROM vec"),
+    ("agreed", "SELECT query_id, key, pos, neg, p_plus, p_minus FROM present UNION ALL SELECT query_id + 1, key, 0, 0, 0, 0 FROM steps WHERE after > query_id + 1 OR (after IS NULL AND query_id < last)"),
 ]
 _IN, _OUT = LEVELS[1] - (LEVELS[1] - LEVELS[0]) / 5, LEVELS[0] + (LEVELS[1] - LEVELS[0]) / 5
 

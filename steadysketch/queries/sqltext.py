@@ -10,7 +10,8 @@ from ..sources.vectors import SQL as VECTOR_SQL
 
 
 def with_(*steps: tuple[str, str], then: str) -> str:
-    return "WITH " + ", ".join(f"{name} AS ({text})" for name, text in steps) + " " + then
+    """Steps are computed once each, however often they are read."""
+    return "WITH " + ", ".join(f"{name} AS MATERIALIZED ({text})" for name, text in steps) + " " + then
 
 
 def vector(name: str) -> str:

@@ -36,14 +36,25 @@ def write_report(report: DataFrame, path: str, day: str) -> None:
     report.withColumn("day", F.lit(day)).write.mode("append").partitionBy("day").parquet(path)
 
 
-def once_per_batch(write: Callable[[DataFrame, int], None]) -> Callable[[DataFrame, int], None]:
-    """A ``foreachBatch`` function that skips batch ids it has seen: replays after a failure write nothing twice."""
-    done: set[int] = set()
+def _marked(spark: SparkSession, path: str, mark: str) -> list[int]:
+    """Batch ids whose folder under ``path`` holds the mark, on whatever file system it is."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+    found = files.globStatus(spark._jvm.org.apache.hadoop.fs.Path(f"{path}/batch=*/{mark}"))
+    return sorted(int(f.getPath().getParent().getName().split("=")[1]) for f in found or [])
+
+
+def last_batch(spark: SparkSession, path: str) -> int:
+    """The newest batch that was written whole under ``path``, or -1."""
+    return max(_marked(spark, path, "_SUCCESS"), default=-1)
+
+
+def once_per_batch(spark: SparkSession, path: str, prepare: Callable[[DataFrame, int], DataFrame] | None = None) -> Callable[[DataFrame, int], None]:
+    """A ``foreachBatch`` function that writes each batch id once, also over restarts: batches that are whole are left alone."""
 
     def on_batch(df: DataFrame, batch_id: int) -> None:
-        if batch_id not in done:
-            write(df, batch_id)
-            done.add(batch_id)
+        if batch_id not in _marked(spark, path, "_SUCCESS"):
+            (prepare(df, batch_id) if prepare else df).write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
 
     return on_batch
 

@@ -24,7 +24,12 @@ def read_table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] |
 
 def vector_from(df: DataFrame, key: Column, value: Column, query: Column | None = None) -> DataFrame:
     """Sums of ``value`` by key within each query; nulls of either are dropped, as are zero sums."""
-    rows = df.select((F.lit(0) if query is None else query).cast("bigint").alias("query_id"), key.cast("bigint").alias("key"), value.alias("value"))
+    if query is None:
+        # Without a constant among the grouping keys the rows stay partitioned by key, and what is grouped by key later needs no shuffle.
+        rows = df.select(key.cast("bigint").alias("key"), value.alias("value")).where("key is not null and value is not null")
+        summed = rows.groupBy("key").agg(F.sum("value").alias("value")).where("value <> 0")
+        return summed.select(F.lit(0).cast("bigint").alias("query_id"), "key", "value")
+    rows = df.select(query.cast("bigint").alias("query_id"), key.cast("bigint").alias("key"), value.alias("value"))
     rows = rows.where("key is not null and value is not null and query_id is not null")
     return rows.groupBy("query_id", "key").agg(F.sum("value").alias("value")).where("value <> 0")
 
@@ -74,11 +79,14 @@ def part_quantities(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_from(read_table(spark, sf_dir, "lineitem", ["l_partkey", "l_quantity"]), F.col("l_partkey"), F.col("l_quantity").cast("bigint"))
 
 
+def skewed_key(part: Column) -> Column:
+    m = part % 1000
+    return F.floor((m * m * m * m) / F.lit(500_000_000)).cast("bigint")
+
+
 def skewed_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Part quantities with keys drawn together by the fourth power, in integers: a controlled skew."""
-    m = F.col("l_partkey") % 1000
-    key = F.floor((m * m * m * m) / F.lit(500_000_000)).cast("bigint")
-    return vector_from(read_table(spark, sf_dir, "lineitem", ["l_partkey", "l_quantity"]), key, F.col("l_quantity").cast("bigint"))
+    return vector_from(read_table(spark, sf_dir, "lineitem", ["l_partkey", "l_quantity"]), skewed_key(F.col("l_partkey")), F.col("l_quantity").cast("bigint"))
 
 
 def embedding_rows(spark: SparkSession, sf_dir: str) -> DataFrame:

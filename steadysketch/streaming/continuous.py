@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators.layouts import Layout
 from ..operators.sketch import CELL, build, estimates, merge
+from ..sources.io import last_batch
 
 
 def stream_updates(spark: SparkSession, path: str, schema, key: Column, value: Column, ts: str = "ts", files_per_trigger: int = 1) -> DataFrame:
@@ -31,11 +32,16 @@ def session_vectors(updates: DataFrame, gap: str) -> DataFrame:
 
 
 class RunningSketch:
-    """Cells kept by ``foreachBatch``: a batch adds its delta, and a repeated batch id changes nothing."""
+    """Cells kept by ``foreachBatch``: a batch adds its delta, and a repeated batch id changes nothing.
+
+    The last committed batch is read from the folder at the start, so a restarted job goes on where the one
+    before it stopped. A batch's folder counts once the writer's own success mark is in it; what a lost
+    driver left half written is overwritten when the batch comes again.
+    """
 
     def __init__(self, spark: SparkSession, path: str, layout: Layout):
         self.spark, self.path, self.layout = spark, path, layout
-        self.done = -1
+        self.done = last_batch(spark, path)
 
     def _at(self, batch_id: int) -> str:
         return f"{self.path}/batch={batch_id}"
