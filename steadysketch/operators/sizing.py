@@ -91,7 +91,7 @@ def generalization_terms(d: int, b: int, n: int, m: int, beta: float, slack_: fl
 
 def generalization_bound(d: int, b: int, eta: float, xi: float, t: int) -> float:
     """Largest of the three terms that bound bucket means against their expectation."""
-    return max(2 * xi / b, 2 * eta * t, 12 * log(t + 1) / (xi * d))
+    return max(2 * xi / b, 2 * eta * t, 4 * log(t + 1) / (xi * d))
 
 
 def size_baselines(m: int, k: int) -> dict[str, float]:

@@ -478,7 +478,12 @@ def linf_l2_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     return M.linf_l2_error(med, vec, E.tail_norm2(vec, 10, summed=True), 10).withColumn("alpha", F.round("alpha", 6))
 
 
-@query()
+@query(
+    T.with_(
+        *agreed_sql(T.vector("skewed_parts"), PARTS, 129)[:3], ("med", T.medians("est")), ("top", T.top("med", 12)), ("t", T.tail2("vec", 4)),
+        then="SELECT p.query_id, count(*) AS \"values\", CAST(count(*) FILTER ((p.v_hat - coalesce(v.value, 0)) * (p.v_hat - coalesce(v.value, 0)) * 4 <= t.tail2) AS BIGINT) AS within FROM top p LEFT JOIN vec v ON p.query_id = v.query_id AND p.key = v.key JOIN t ON p.query_id = t.query_id GROUP BY ALL",
+    )
+)
 def value_correctness(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.skewed_parts(spark, sf_dir)
     return M.value_correct(E.median_report(estimated(vec, PARTS), 12), vec, E.tail_norm2(vec, 4, summed=True, queries=1), 1.0, 4)
@@ -515,31 +520,57 @@ def pairs_with_margin(spark: SparkSession, sf_dir: str) -> DataFrame:
     return far.groupBy(F.when(F.greatest("p_plus", "p_minus") <= 0.7, "low").otherwise("high").alias("side")).agg(F.count("*").alias("pairs"))
 
 
-@query()
+_OBLIVIOUS = {rows: RowHashed(rows, 64, 90 + rows) for rows in (17, 65, 129)}
+
+
+@query(
+    T.with_(
+        ("vec", T.vector("skewed_parts")), ("h", T.heavy("vec", 4)),
+        *[step for rows, layout in _OBLIVIOUS.items() for step in (
+            (f"cells{rows}", T.cells("vec", layout)), (f"est{rows}", T.estimates("vec", f"cells{rows}", layout)), (f"votes{rows}", T.votes(f"est{rows}")), (f"agreed{rows}", T.agreement(f"votes{rows}", rows)),
+            (f"med{rows}", T.medians(f"est{rows}")), (f"median{rows}", f"SELECT query_id, key FROM ({T.top(f'med{rows}', 8)})"), (f"agreement{rows}", f"SELECT query_id, key FROM ({T.threshold(f'agreed{rows}', MID)})"),
+        )],
+        then=" UNION ALL ".join(
+            f"SELECT {rows} AS rows, '{name}' AS report, r.n AS reported, h.n AS heavy, CASE WHEN h.n > 0 THEN f.n / h.n ELSE 1.0 END AS recall, CASE WHEN r.n > 0 THEN f.n / r.n ELSE 1.0 END AS precision FROM (SELECT count(*) AS n FROM {name}{rows}) r, (SELECT count(*) AS n FROM h) h, (SELECT count(*) AS n FROM {name}{rows} x JOIN h ON x.key = h.key) f"
+            for rows in _OBLIVIOUS for name in ("median", "agreement")
+        ),
+    )
+)
 def oblivious_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall and size of the median and the sign-agreement report by sketch rows, inputs fixed in advance."""
     vec = V.skewed_parts(spark, sf_dir)
     heavy = E.exact_heavy(vec, 4, summed=True, queries=1)
     out = None
-    for rows in (17, 65, 129):
-        est = estimated(vec, RowHashed(rows, 64, 90 + rows))
+    for rows, layout in _OBLIVIOUS.items():
+        est = estimated(vec, layout)
         for name, report in (("median", E.median_report(est, 8)), ("agreement", E.threshold_report(E.agreement(E.votes(est), rows), MID))):
             part = M.report_quality(report.select("query_id", "key"), heavy, vec).select(F.lit(rows).alias("rows"), F.lit(name).alias("report"), "reported", "heavy", "recall", "precision")
             out = part if out is None else out.unionAll(part)
     return out
 
 
-@query()
+_POWER = RowHashed(65, 10, 95, 4)
+_DEVIATIONS = (0.0, 0.5, 1.0, 2.0, 3.0, 5.0)
+_PLANTED = [(c, int(c * 1000 * sqrt(M_KEYS / _POWER.width))) for c in _DEVIATIONS]
+
+
+@query(
+    T.with_(
+        ("tails", V.sql_tails(M_KEYS, TAILS)), ("w", "SELECT * FROM (VALUES " + ", ".join(f"({c}::DOUBLE, {w}::BIGINT)" for c, w in _PLANTED) + ") AS t(deviations, weight)"),
+        ("tp", _POWER.sql("tails")), ("cells", "SELECT tail_id, row, bucket, CAST(sum(sign * value) AS BIGINT) AS c FROM tp GROUP BY ALL"),
+        ("one", f"SELECT CAST({FIRST} AS BIGINT) AS key"), ("own", _POWER.sql("one")),
+        ("est", "SELECT w.deviations, q.tail_id, o.row, w.weight + o.sign * coalesce(c.c, 0) AS est FROM w, (SELECT DISTINCT tail_id FROM tails) q, own o LEFT JOIN cells c ON c.tail_id = q.tail_id AND c.row = o.row AND c.bucket = o.bucket"),
+        ("said", f"SELECT deviations, tail_id, count(*) FILTER (est > 0) / 65.0::DOUBLE >= {MID!r} OR count(*) FILTER (est < 0) / 65.0::DOUBLE >= {MID!r} AS reported FROM est GROUP BY ALL"),
+        then="SELECT deviations, count(*) AS tails, CAST(count(*) FILTER (reported) AS BIGINT) AS reported FROM said GROUP BY ALL",
+    )
+)
 def planted_power(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """How often a planted key is reported, by its weight in deviations of the tail."""
-    layout = RowHashed(65, 10, 95, 4)
-    tails = V.tails(spark, sf_dir, M_KEYS, 40).withColumnRenamed("tail_id", "query_id")
-    deviation = 1000 * sqrt(M_KEYS / layout.width)
-    out = None
-    for c in (0.0, 0.5, 1.0, 2.0, 3.0, 5.0):
-        vec = V.plant(tails, FIRST, int(c * deviation)).where("value <> 0")
-        asked = tails.select("query_id").distinct().withColumn("key", F.lit(FIRST).cast("bigint"))
-        report = E.threshold_report(E.agreement(E.votes(S.estimates(asked, S.build(vec, layout, sum_keys=False), layout)), 65), MID)
-        part = report.agg(F.lit(c).alias("deviations"), F.count("*").alias("reported"))
-        out = part if out is None else out.unionAll(part)
-    return out
+    """How often a planted key is reported, by its weight in deviations of the tail: one sketch of each tail, the key added by linearity."""
+    tails = _tails(spark, sf_dir).withColumnRenamed("tail_id", "query_id")
+    asked = tails.select("query_id").distinct().withColumn("key", F.lit(FIRST).cast("bigint"))
+    est = S.estimates(asked, S.build(tails, _POWER, sum_keys=False), _POWER, TAILS)
+    weights = F.explode(F.array(*[F.struct(F.lit(c).alias("deviations"), F.lit(w).cast("bigint").alias("weight")) for c, w in _PLANTED])).alias("w")
+    planted = est.select("query_id", weights, "est").select("query_id", "w.deviations", (F.col("est") + F.col("w.weight")).alias("est"))
+    share = lambda cond: F.avg(F.when(cond, 1.0).otherwise(0.0)) >= MID
+    said = planted.groupBy("deviations", "query_id").agg((share(F.col("est") > 0) | share(F.col("est") < 0)).alias("reported"))
+    return said.groupBy("deviations").agg(F.count("*").alias("tails"), F.sum(F.when(F.col("reported"), 1).otherwise(0)).alias("reported"))

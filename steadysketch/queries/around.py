@@ -74,7 +74,23 @@ def report_changes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return moves.select("query_id", "key", F.when(F.col("inside"), "enters").otherwise("leaves").alias("change"))
 
 
-@query()
+_GAP = TAU_B - TAU_A
+_P = "greatest(p_plus, p_minus)"
+
+
+@query(
+    T.with_(
+        *HOURLY,
+        ("said", f"SELECT query_id, key, CASE WHEN {_P} >= {TAU_B - _GAP / 5!r} THEN 1 WHEN {_P} < {TAU_A + _GAP / 5!r} THEN 0 END AS signal FROM agreed"),
+        ("inside", "SELECT query_id, key FROM (SELECT *, last_value(signal IGNORE NULLS) OVER (PARTITION BY key ORDER BY query_id ROWS UNBOUNDED PRECEDING) AS state FROM said) WHERE state = 1"),
+        ("ends", "SELECT *, lag(query_id) OVER w AS before, lead(query_id) OVER w AS after, (SELECT max(query_id) FROM inside) AS last FROM inside WINDOW w AS (PARTITION BY key ORDER BY query_id)"),
+        ("moves", "SELECT key, CAST(count(*) FILTER (before IS NULL OR before < query_id - 1) + count(*) FILTER ((after IS NULL OR after > query_id + 1) AND query_id < last) AS BIGINT) AS changes FROM ends GROUP BY key"),
+        ("levels", f"SELECT query_id, key, CASE WHEN {_P} <= {TAU_A + 2 * _GAP / 5!r} THEN 0 WHEN {_P} >= {TAU_B - 2 * _GAP / 5!r} THEN 1 END AS signal FROM agreed"),
+        ("alt", "SELECT key, signal, coalesce(lag(signal) OVER (PARTITION BY key ORDER BY query_id), 0) AS before FROM levels WHERE signal IS NOT NULL"),
+        ("turns", "SELECT key, CAST(count(*) FILTER (signal <> before) AS BIGINT) AS flips FROM alt GROUP BY key"),
+        then="SELECT m.key, m.changes, t.flips, m.changes <= t.flips AS holds FROM moves m LEFT JOIN turns t ON m.key = t.key",
+    )
+)
 def churn_against_flips(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Entries and exits of the continuous report beside the flips of the input: the report never changes oftener."""
     rows = hourly_agreement(spark, sf_dir)[1].persist()
@@ -120,7 +136,7 @@ def session_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
     return SMALL.participation(sums).groupBy("row", "bucket").agg(F.sum(F.col("sign") * F.col("value")).alias("c"), F.count("*").alias("sessions"))
 
 
-@query()
+@query(T.with_(("vec", T.vector("user_values")), then=f"SELECT row, bucket, c AS stream, c AS batch, true AS equal FROM ({T.cells('vec', USERS)})"))
 def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The sketch a stream of files leaves behind, cell by cell beside that of one batch."""
     folder = scratch_path(spark, "stream")

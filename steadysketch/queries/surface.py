@@ -121,10 +121,13 @@ def formats_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-@query()
+_ROWCOEF = ", ".join(f"({row}, '{name}', [{', '.join(f'{c[row]}::BIGINT' for c in coefficients(SMALL.seed, k, SMALL.rows, SMALL.degree))}])" for k, name in enumerate(("bucket", "sign")) for row in range(SMALL.rows))
+
+
+@query(f"SELECT row, role, i - 1 AS power, a[i] AS coefficient FROM (VALUES {_ROWCOEF}) AS t(row, role, a), (SELECT unnest(range(1, {SMALL.degree + 2})) AS i)")
 def row_coefficients(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The hash coefficients of a layout as a table."""
-    return rowcoef(spark, SMALL.seed, SMALL.rows, ["bucket", "sign"], SMALL.degree)
+    return rowcoef(spark, SMALL.seed, SMALL.rows, ["bucket", "sign"], SMALL.degree).select("row", "role", F.posexplode("a").alias("power", "coefficient"))
 
 
 # -- functions ------------------------------------------------------------------------------------

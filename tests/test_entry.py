@@ -6,7 +6,7 @@ from steadysketch.catalog import ORACLE_SQL, QUERIES
 
 DATA = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-CHEAP = ["exact_heavy_skewed_parts", "row_hash_cells_parts", "threshold_report_independent", "robust_threshold_parts", "candidate_keys", "attack_median_rounds", "budget_flips", "report_asof_orders", "session_cells", "gate_noise_sample"]
+CHEAP = ["exact_heavy_skewed_parts", "row_hash_cells_parts", "threshold_report_independent", "robust_threshold_parts", "candidate_keys", "attack_median_rounds", "budget_flips", "report_asof_orders", "session_cells", "gate_noise_sample", "hinted_joins", "report_sets", "pivoted_cells", "arrow_medians", "fresh_copy_report", "private_ensemble_report", "churn_against_flips", "sql_heavy_classes"]
 
 
 @pytest.fixture(scope="module")
@@ -22,7 +22,8 @@ def test_every_oracle_belongs_to_a_query():
 
 
 def test_entry_gives_rows(spark):
-    assert __spark_entry__.entry(spark).count() >= 0
+    found = __spark_entry__.entry(spark)
+    assert found.columns == ["query_id", "key", "sign", "count", "noise_mode"] and found.count() > 0
 
 
 @pytest.mark.parametrize("name", CHEAP)

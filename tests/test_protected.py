@@ -1,4 +1,8 @@
+import math
+import warnings
+
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from steadysketch.catalog import QUERIES
@@ -7,8 +11,9 @@ from steadysketch.operators import estimators as E
 from steadysketch.operators import sketch as S
 from steadysketch.operators.candidates import CandidateSketch
 from steadysketch.operators.gate import AT_LEAST, AT_MOST, Accesses, Gate, survival
-from steadysketch.operators.layouts import RowHashed
-from steadysketch.operators.robust import ContinuousReporter, RobustReporter, serial_report
+from steadysketch.operators import sizing as Z
+from steadysketch.operators.layouts import IndependentBuckets, RowHashed, RowHashedCopies
+from steadysketch.operators.robust import BudgetExhausted, ContinuousReporter, RobustReporter, UnprovenLayout, serial_report
 from steadysketch.operators.weights import private_median, scan, scan_naive
 from steadysketch.sources import vectors as V
 
@@ -46,8 +51,9 @@ def test_noise_is_the_same_in_columns_and_in_python(spark):
     for r in rows:
         assert abs(r.a - OPEN.noise_value(1, AT_LEAST, 3, r.id)) < 1e-9
         assert abs(r.b - OPEN.noise_value(1, AT_MOST, 3, r.id)) < 1e-9
-        assert r.a <= r.b or abs(r.a - r.b) < 1e-9 or True
-    assert max(OPEN.noise_value(0, AT_LEAST, 0, k) for k in range(200)) < np.inf
+        assert r.a <= r.b + 1e-9
+    # The second part of the noise is capped above for one direction and below for the other.
+    assert max(r.a - r.b for r in rows) <= 2 * OPEN.cap + 1e-9
 
 
 def test_charges_retire_at_exactly_the_limit():
@@ -135,10 +141,85 @@ def test_candidates_hold_the_heavy_keys(spark):
 def test_ensemble_of_one_equals_its_inner_report(spark):
     vec = skewed(spark)
     keys = vec.select("query_id", "key")
-    layout = RowHashed(25, 16, 500)
-    voted = {r.key for r in B.ensemble_votes(vec, keys, 1, 25, 16, 0.9).collect()}
-    inner = E.threshold_report(E.agreement(E.votes(S.estimates(keys, S.build(vec, layout), layout, 1)), 25), 0.9)
-    assert voted == {r.key for r in inner.collect()}
+    layout = RowHashedCopies(25, 16, 5)
+    voted = {r.key: r.copies_for for r in B.ensemble_votes(vec, keys, 1, layout, 0.9).collect()}
+    copy = lambda df: df.withColumn("copy", F.lit(0).cast("bigint"))
+    cells = layout.participation(copy(vec)).groupBy("row", "bucket").agg(F.sum(F.col("sign") * F.col("value")).alias("c"))
+    est = layout.participation(copy(keys)).join(cells, ["row", "bucket"]).groupBy("key").agg(F.avg((F.col("sign") * F.col("c") > 0).cast("int")).alias("p"), F.avg((F.col("sign") * F.col("c") < 0).cast("int")).alias("q"))
+    assert voted == {r.key: 1 for r in est.where("p >= 0.9 or q >= 0.9").collect()} and voted
+
+
+def test_copies_of_an_ensemble_differ(spark):
+    layout = RowHashedCopies(5, 16, 5)
+    rows = layout.participation(spark.createDataFrame([(k, c) for k in range(40) for c in range(2)], "key bigint, copy bigint")).collect()
+    spots = {c: [(r.key, r.row, r.bucket, r.sign) for r in rows if r["copy"] == c] for c in range(2)}
+    assert sorted(spots[0]) != sorted(spots[1]) and len(spots[0]) == 200 and B.ensemble_size(16, 5) == 9
+
+
+def test_gate_follows_from_its_limit():
+    gate = Gate.for_reports(64, 1000, 500, 16)
+    assert gate.eps == 1 / 8 and gate.delta == 1 / (1000 * 500 * 16 * 64) and gate.limit == 64
+    assert Gate.for_reports(64, 1000, 500, 16, weights=True).limit == 128
+    with pytest.raises(ValueError):
+        Gate.for_reports(64, 1000, 63, 16)
+    assert gate.pass_probability(1e7, 10.0) == 1 and gate.pass_probability(0, 1e7) == 0
+
+
+def test_unproven_layouts_warn_and_worn_ones_stop(spark):
+    with pytest.warns(UnprovenLayout):
+        reporter = RobustReporter(LAYOUT, Gate(0.1, 1e-6, 1, 7, "scaled", 1e-4), most_retired=0.2)
+    with warnings.catch_warnings():
+        warnings.simplefilter("error")
+        RobustReporter(IndependentBuckets(64, 4), OPEN)
+    buckets = [(0, row, row % 4, 5) for row in range(33)]
+    held = {(r, b) for _, r, b, _ in buckets}
+    reporter.replay(0, [(1, [(r, b, e) for _, r, b, e in buckets])], 20.0)
+    assert reporter.accesses.retired == held
+    with pytest.raises(BudgetExhausted):
+        reporter.replay(1, [(1, [(r, b, e) for _, r, b, e in buckets])], 20.0)
+
+
+def test_report_on_independent_buckets_equals_the_serial_rule(spark):
+    layout, gate = IndependentBuckets(640, 8, seed=3), Gate(0.1, 1e-6, 2, 7, "scaled", 1e-4)
+    vec = skewed(spark)
+    est = S.estimates(vec.select("query_id", "key"), S.build(vec, layout), layout, 1)
+    mine, reference = RobustReporter(layout, gate, tau_a=0.6, tau_b=0.9), RobustReporter(layout, gate, tau_a=0.6, tau_b=0.9)
+    assert mine.step(0, est) == serial_report(0, grouped(est), reference) and mine.accesses.passes
+    assert mine.accesses.retired == reference.accesses.retired
+
+
+def test_sizes_by_their_formulas():
+    assert Z.slack() == (Z.TAU_B - Z.TAU_A) / 10 and Z.slack(continuous=True) == (Z.TAU_B - Z.TAU_A) / 25
+    assert Z.budget_share(0.02) == 0.01 and abs(Z.budget_share(0.02, "second moment") - 0.1) < 1e-12
+    assert Z.width_for(4) == 64 and Z.suspect_cap(4) == 192
+    assert Z.size_agreement(1000, 100, 0.01, 0.1) == math.ceil(300 * math.log(4e5 / 0.01))
+    rows, width = Z.size_median(4, 0.5, 0.01, 1000)
+    assert rows % 2 == 1 and rows >= 4 * math.log(1e5) and width == 64
+    terms = Z.generalization_terms(10**9, 64, 100, 100, 0.01, 0.011)
+    least = Z.generalization_terms(math.ceil(terms["least_buckets"]), 64, 100, 100, 0.01, 0.011)
+    assert least["bound"] <= least["allowed"] + 1e-12 and Z.generalization_terms(1000, 64, 100, 100, 0.01, 0.011)["bound"] > least["allowed"]
+
+
+def test_true_agreement_by_all_ways(spark):
+    vec = spark.createDataFrame([(0, k, 1 + k % 3) for k in range(60)] + [(0, 99, 40)], "query_id bigint, key bigint, value bigint")
+    keys = vec.select("query_id", "key")
+    exact = {r.key: r.p_plus for r in E.true_agreement(vec, keys, 8, 200).collect()}
+    normal = {r.key: r.p_plus for r in E.normal_agreement(vec, 8, 1).collect()}
+    layout = IndependentBuckets(40_000, 8, seed=5)
+    counted = E.votes(S.estimates(keys, S.build(vec, layout), layout, 1))
+    sampled = {r.key: r.p_plus for r in E.sampled_agreement(counted, layout.per_key).collect()}
+    sure = 0.5 * (1 + math.erf(40 / math.sqrt(sum((1 + k % 3) ** 2 for k in range(60)) / 8) / math.sqrt(2)))
+    assert abs(normal[99] - sure) < 1e-6 and exact[99] > 0.99
+    assert all(abs(exact[k] - sampled[k]) < 0.03 for k in exact)
+    truth = E.true_agreement(vec, keys, 8, 200)
+    assert [r.key for r in E.heavy_set(truth, 0.96).collect()] == [99] and {r.key for r in E.suspect_set(truth, 0.5).collect()} >= {99}
+
+
+def test_fast_hash_has_fair_buckets_and_signs(spark):
+    layout = RowHashed(9, 16, 3, family="fast")
+    rows = layout.participation(spark.range(2000).withColumnRenamed("id", "key")).collect()
+    assert abs(sum(r.sign for r in rows)) < 600 and {r.bucket for r in rows} == set(range(16)) and {r.sign for r in rows} == {-1, 1}
+    assert layout.fingerprint != RowHashed(9, 16, 3).fingerprint
 
 
 def test_frequent_counters_bound_the_counts(spark):

@@ -48,7 +48,7 @@ def test_a_single_key_is_recovered_and_cancelled_keys_leave_nothing(spark):
     vec = vector(spark, [(0, 17, 5), (0, 17, 6), (0, 4, 3), (0, 4, -3)])
     est = S.estimates(vector(spark, [(0, 17, 1), (0, 4, 1)]), S.build(vec, LAYOUT), LAYOUT, 1)
     med = {r.key: r.v_hat for r in E.median_estimate(est).collect()}
-    assert med == {17: 11.0, 4: 0.0} or med[17] == 11.0
+    assert med[17] == 11.0 and med.get(4) in (0.0, 11.0, -11.0)
     assert S.build(vec.where("false"), LAYOUT).count() == 0
 
 
