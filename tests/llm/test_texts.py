@@ -90,6 +90,24 @@ def test_counts_equal_the_library(spark):
     assert token_counts.count_tokens(documents(spark).where("false"), path).count() == 0
 
 
+def test_long_unbroken_runs_equal_the_library():
+    import sentencepiece
+
+    path = tokens.path("piece_bpe_32k.model")
+    library, machine = sentencepiece.SentencePieceProcessor(model_file=path), token_counts.Transducer(token_counts.read_model(path))
+    rng = random.Random(12)
+    for text in ("".join(rng.choice("abcdefghij") for _ in range(20_000)), "therein" * 3_000, "a" * 20_001, " " * 9_000, "ab\n" * 5_000):
+        assert len(text) > 2 * token_counts.CHUNK and machine.count(text) == len(library.encode(text))
+
+
+def test_a_restart_between_chunks_changes_nothing(monkeypatch):
+    machine = token_counts.Transducer(token_counts.read_model(tokens.path("piece_bpe_32k.model")))
+    texts = random_texts(10, 5) + ["thereinafter" * 60]
+    want = [machine.counts_by_chunk(t, 16) if t else [] for t in texts]
+    monkeypatch.setattr(token_counts, "COMPILED", 5)
+    assert [machine.counts_by_chunk(t, 16) if t else [] for t in texts] == want
+
+
 def test_chunk_maps_compose_to_whole_counts():
     machine = token_counts.Transducer(token_counts.read_model(tokens.path("piece_bpe_32k.model")))
     for text in random_texts(60, 3) + ["a" * 500, "ab cd\n" * 100]:
@@ -116,17 +134,32 @@ def test_language_on_held_out_documents(spark):
     assert right / total > 0.97
 
 
+def slow_list(text, places):
+    """A text's most frequent n-grams as tuples of code points, blanks as 0: most frequent first, then shorter, then by code."""
+    codes = [0]
+    for c in text.lower():
+        codes.append(ord(c) if c.isalpha() else 0)
+    codes = [c for c, before in zip([*codes, 0], [None, *codes]) if c or before != 0]
+    counts = {}
+    for i, c in enumerate(codes):
+        found = [(c,)] * (c > 0) + [tuple(codes[i : i + 2])] * (i + 1 < len(codes))
+        found += [tuple(codes[i : i + 3])] * (i + 2 < len(codes) and codes[i + 1] > 0)
+        for gram in found:
+            counts[gram] = counts.get(gram, 0) + 1
+    return sorted(counts, key=lambda g: (-counts[g], len(g), g))[:places] if len(codes) > 2 else []
+
+
 def test_language_distance_equals_brute_force():
-    profiles = [("a", np.array([5, 9, 7], np.int64)), ("b", np.array([9, 5], np.int64))]
-    matcher = langid.Matcher(profiles, 3)
-    own = langid.ranked("ab ab", 3)
-    for k, (_, grams) in enumerate(profiles):
-        places = {int(g): i for i, g in enumerate(grams)}
-        want = sum(abs(places[int(g)] - i) if int(g) in places else 3 for i, g in enumerate(own))
-        at = np.searchsorted(matcher.grams[:-1], own)
-        at = np.where(matcher.grams[at] == own, at, matcher.known)
-        place = matcher.place[at]
-        assert np.where(place < 0, 3, np.abs(place - np.arange(len(own))[:, None])).sum(axis=0)[k] == want
+    rng = random.Random(8)
+    text = lambda letters: "".join(rng.choice(letters) for _ in range(400))
+    learned = {"a": text("abc ,."), "b": text("bcd  é"), "c": text("xyz1 ")}
+    matcher = langid.Matcher([(name, langid.ranked(t, 40)) for name, t in learned.items()], 40)
+    profiles = {name: {g: i for i, g in enumerate(slow_list(t, 40))} for name, t in learned.items()}
+    for asked in [text("abcd é") for _ in range(20)] + [text("xyzab ,") for _ in range(20)] + ["a", "Éa b", " x "]:
+        own = slow_list(asked, 40)
+        apart = {name: sum(abs(places[g] - i) if g in places else 40 for i, g in enumerate(own)) for name, places in profiles.items()}
+        best = min(apart, key=lambda name: (apart[name], name))
+        assert matcher.match(asked) == (best, max(0.0, 1 - apart[best] / (40 * len(own))))
 
 
 def test_too_many_languages_are_refused(spark, monkeypatch):
