@@ -35,6 +35,9 @@ BOOKS, ENTRIES, BEAM = 16, 256, 4
 SAMPLE = 12_000
 #: Rows of a batch, exact measurements per query in the whole table, distinct query vectors of a block.
 BATCH, RERANK, BLOCK = 4_096, 1_024, 2_048
+#: Rows of the index that a task goes through, so that what it hands on is a small share of them, and the fewest
+#: queries for which it does so where there are more cores than such tasks.
+ROWS, SHARE = 1_000_000, 256
 
 
 @dataclass
@@ -170,42 +173,57 @@ def build_index(rows: DataFrame, k: int = 10, sample: int = SAMPLE) -> tuple[Dat
 def by_codes(index: DataFrame, queries: DataFrame, quantiser: Quantiser, rerank: int) -> DataFrame:
     """(query, vec_id, near): for each query vector (vec_id, embedding) the ``rerank`` nearest index rows by their codes.
 
-    ``queries`` are at most a block; they and the codebooks are all that is broadcast.
+    ``queries`` are at most a block; they and the codebooks are all that is broadcast. A task goes through
+    many rows for all queries, or, where that leaves cores idle, for a share of the queries.
     """
+    sc = index.sparkSession.sparkContext
     table = queries.select("vec_id", "embedding").toArrow()
-    shared = index.sparkSession.sparkContext.broadcast((table.column("vec_id").to_numpy(), _matrix(table.column("embedding").combine_chunks()), quantiser))
+    shared = sc.broadcast((table.column("vec_id").to_numpy(), _matrix(table.column("embedding").combine_chunks()), quantiser))
+    parts = max(1, -(-index.count() // ROWS))
+    shares = max(1, min(-(-table.num_rows // SHARE), sc.defaultParallelism // parts))
+    dealt = index.select("vec_id", "codes", "norm", F.pmod(F.xxhash64("vec_id"), F.lit(parts)).alias("part"), F.explode(F.sequence(F.lit(0), F.lit(shares - 1))).alias("share"))
+    dealt = dealt.repartition(parts * shares, "share", "part").select("share", "vec_id", "codes", "norm")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names, q, coder = shared.value
-        if not len(q):
-            return
-        products = np.einsum("qd,mkd->qmk", q, coder.books.astype(np.float64)).astype(np.float32)
-        near, ids = np.empty((len(q), 0), np.float32), np.empty((len(q), 0), np.int64)
+        names, vectors_, coder = shared.value
+        held: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            codes = np.frombuffer(b"".join(batch.column("codes").to_pylist()), np.uint8).reshape(batch.num_rows, -1)
-            norm, own = batch.column("norm").to_numpy().astype(np.float32), batch.column("vec_id").to_numpy()
-            room = min(rerank, near.shape[1] + len(own))
-            next_near, next_ids = np.empty((len(q), room), np.float32), np.empty((len(q), room), np.int64)
-            for a in range(0, len(q), 64):
-                part = slice(a, min(a + 64, len(q)))
-                here = np.broadcast_to(norm, (part.stop - a, len(own))).copy()
-                for m in range(codes.shape[1]):
-                    here -= 2 * products[part, m][:, codes[:, m]]
-                here = np.concatenate((near[part], here), axis=1)
-                names_here = np.concatenate((ids[part], np.broadcast_to(own, (part.stop - a, len(own)))), axis=1)
-                chosen = _smallest(here, names_here, room)
-                next_near[part], next_ids[part] = np.take_along_axis(here, chosen, 1), np.take_along_axis(names_here, chosen, 1)
-            near, ids = next_near, next_ids
-        for i in range(len(q)):
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(ids.shape[1], names[i])), pa.array(ids[i]), pa.array(near[i])], ["query", "vec_id", "near"])
-
-    found = map_batches(index.select("vec_id", "codes", "norm"), run, "query long, vec_id long, near float", rows=BATCH)
+            of = batch.column("share").to_numpy()
+            all_codes = np.frombuffer(b"".join(batch.column("codes").to_pylist()), np.uint8).reshape(batch.num_rows, -1) if batch.num_rows else None
+            for share in np.unique(of).tolist():
+                here = of == share
+                codes, norm, own = all_codes[here], batch.column("norm").to_numpy()[here].astype(np.float32), batch.column("vec_id").to_numpy()[here]
+                if share not in held:
+                    q = vectors_[share::shares]
+                    products = np.einsum("qd,mkd->qmk", q, coder.books.astype(np.float64)).astype(np.float32) if len(q) else np.empty((0, 1, 1), np.float32)
+                    held[share] = products, np.empty((len(q), 0), np.float32), np.empty((len(q), 0), np.int64)
+                products, near, ids = held[share]
+                held[share] = products, *_nearer(products, codes, norm, own, near, ids, rerank)
+        for share, (_, near, ids) in held.items():
+            for name, values, found in zip(names[share::shares], near, ids):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), name)), pa.array(found), pa.array(values)], ["query", "vec_id", "near"])
+
+    found = map_batches(dealt, run, "query long, vec_id long, near float", rows=BATCH)
     place = F.row_number().over(Window.partitionBy("query").orderBy("near", "vec_id"))
     return found.withColumn("place", place).where(F.col("place") <= rerank).drop("place")
 
 
+def _nearer(products: np.ndarray, codes: np.ndarray, norm: np.ndarray, own: np.ndarray, near: np.ndarray, ids: np.ndarray, rerank: int) -> tuple[np.ndarray, np.ndarray]:
+    """The ``rerank`` nearest of those held, (near, ids) by query, and of the rows of a batch."""
+    room = min(rerank, near.shape[1] + len(own))
+    next_near, next_ids = np.empty((len(products), room), np.float32), np.empty((len(products), room), np.int64)
+    for a in range(0, len(products), 64):
+        part = slice(a, min(a + 64, len(products)))
+        here = np.broadcast_to(norm, (part.stop - a, len(own))).copy()
+        for m in range(codes.shape[1]):
+            here -= 2 * products[part, m][:, codes[:, m]]
+        here = np.concatenate((near[part], here), axis=1)
+        names = np.concatenate((ids[part], np.broadcast_to(own, (part.stop - a, len(own)))), axis=1)
+        chosen = _smallest(here, names, room)
+        next_near[part], next_ids[part] = np.take_along_axis(here, chosen, 1), np.take_along_axis(names, chosen, 1)
+    return next_near, next_ids
+
+
 def _smallest(values: np.ndarray, names: np.ndarray, room: int) -> np.ndarray:
     """Positions of the ``room`` smallest values of each row; where several equal the largest of them, of the smallest names."""
     if room == values.shape[1]:
