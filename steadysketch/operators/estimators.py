@@ -7,7 +7,7 @@ from math import ceil
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..plans.physical import sized_broadcast
+from ..plans.physical import sized_broadcast, unbroadcast
 
 PER_KEY = ["query_id", "key"]
 
@@ -97,7 +97,7 @@ def exact_heavy(vec: DataFrame, k: int, norm: str = "tail", summed: bool = False
     summed_rows = _sums(vec, summed)
     square = F.col("value") * F.col("value")
     norms = tail_norm2(summed_rows, k if norm == "tail" else 0, True, queries).withColumnRenamed("tail2", "norm2")
-    joined = summed_rows.join(sized_broadcast(norms, queries), "query_id")
+    joined = summed_rows.join(sized_broadcast(norms, queries) if queries else unbroadcast(norms), "query_id")
     return joined.where(square * k > F.col("norm2")).select(*PER_KEY, "value", "norm2")
 
 
@@ -112,7 +112,7 @@ def tail_norm2(vec: DataFrame, k: int, summed: bool = False, queries: int | None
     order = Window.partitionBy("query_id").orderBy(F.abs("value").desc(), "key")
     square = F.col("value") * F.col("value")
     top = rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).groupBy("query_id").agg(F.sum(square).alias("top2"))
-    whole = rows.groupBy("query_id").agg(F.sum(square).alias("all2")).join(sized_broadcast(top, queries), "query_id", "left")
+    whole = rows.groupBy("query_id").agg(F.sum(square).alias("all2")).join(sized_broadcast(top, queries) if queries else unbroadcast(top), "query_id", "left")
     return whole.select("query_id", (F.col("all2") - F.coalesce("top2", F.lit(0))).alias("tail2"))
 
 

@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..plans.physical import sized_broadcast
+from ..plans.physical import sized_broadcast, unbroadcast
 from .layouts import Layout, RowHashed
 
 CELL = ["query_id", "row", "bucket"]
@@ -53,11 +53,23 @@ def estimates(keys: DataFrame, cells: DataFrame, layout: Layout, queries: int |
     otherwise they are joined on the cell.
     """
     spread = layout.participation(keys.select("query_id", "key"))
-    side = sized_broadcast(cells.select(*CELL, "c"), layout.size * queries if queries else None)
+    held = cells.select(*CELL, "c")
+    side = sized_broadcast(held, layout.size * queries) if queries else unbroadcast(held)
     joined = spread.join(side, CELL, "left")
     return joined.select("query_id", "key", "row", "bucket", (F.col("sign") * F.coalesce("c", F.lit(0))).alias("est"))
 
 
+def own_estimates(vec: DataFrame, layout: Layout) -> DataFrame:
+    """The estimates of a vector's own keys, for very many queries: cells are summed where their keys are, without a join.
+
+    Same rows as ``estimates(vec, build(vec, layout), layout)``; ``vec`` has a row for each key. Where its rows lie by
+    query (``by_query``) nothing is shuffled.
+    """
+    spread = layout.participation(vec.select("query_id", "key", "value")).select(*CELL, "key", "sign", (F.col("sign") * F.col("value")).alias("signed"))
+    summed = spread.withColumn("c", F.sum("signed").over(Window.partitionBy(*CELL)))
+    return summed.select("query_id", "key", "row", "bucket", (F.col("sign") * F.col("c")).alias("est"))
+
+
 def inner_product(a: DataFrame, b: DataFrame) -> DataFrame:
     """Median over the rows of the products of two row-hashed sketches: (query_id, product)."""
     joined = a.join(b.withColumnRenamed("c", "other"), CELL)

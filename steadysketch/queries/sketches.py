@@ -325,5 +325,5 @@ def agreement_truth_tags(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(T.with_(*agreed_sql(T.vector("embedding_rows"), COMPONENTS, 21), then=_REPORTED.format(T.threshold("agreed", COMPACT))))
 def batch_report_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.embedding_rows(spark, sf_dir)
-    est = S.estimates(keys(vec), S.build(vec, COMPONENTS, sum_keys=False), COMPONENTS)
+    est = S.own_estimates(vec, COMPONENTS)
     return _reported(E.threshold_report(E.agreement(E.votes(est), COMPONENTS.per_key), COMPACT))
