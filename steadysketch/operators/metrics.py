@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.physical import unbroadcast
 from .sizing import TAU_A, TAU_B
 
 
@@ -38,9 +39,9 @@ def value_correct(report: DataFrame, vec: DataFrame, tail2: DataFrame, alpha: fl
 
 def linf_l2_error(estimates: DataFrame, vec: DataFrame, tail2: DataFrame, k: int) -> DataFrame:
     """Per query the largest squared error of all keys, and that error as a multiple of tail^2 / k."""
-    joined = estimates.join(vec.select("query_id", "key", "value"), ["query_id", "key"], "left")
+    joined = estimates.join(unbroadcast(vec.select("query_id", "key", "value")), ["query_id", "key"], "left")
     worst = joined.groupBy("query_id").agg(F.max(F.pow(F.col("v_hat") - F.coalesce("value", F.lit(0)), 2)).alias("worst2"))
-    return worst.join(tail2, "query_id").select("query_id", "worst2", (F.col("worst2") * k / F.col("tail2")).alias("alpha"))
+    return worst.join(unbroadcast(tail2), "query_id").select("query_id", "worst2", (F.col("worst2") * k / F.col("tail2")).alias("alpha"))
 
 
 def agreement_error(agreed: DataFrame, truth: DataFrame) -> DataFrame:

@@ -474,7 +474,7 @@ def report_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def linf_l2_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.embedding_rows(spark, sf_dir)
-    med = E.median_estimate(S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS))
+    med = E.median_estimate(S.own_estimates(vec, USERS))
     return M.linf_l2_error(med, vec, E.tail_norm2(vec, 10, summed=True), 10).withColumn("alpha", F.round("alpha", 6))
 
 
