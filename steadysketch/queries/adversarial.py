@@ -515,7 +515,7 @@ def generalization_gaps(spark: SparkSession, sf_dir: str) -> DataFrame:
 def pairs_with_margin(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Inputs that keep away from the boundary, which defeats the attacks."""
     vec = V.embedding_rows(spark, sf_dir)
-    est = S.estimates(keys(vec), S.build(vec, USERS, sum_keys=False), USERS)
+    est = S.own_estimates(vec, USERS)
     far = A.with_margin(E.agreement(E.votes(est), USERS.per_key), 0.7, 0.99)
     return far.groupBy(F.when(F.greatest("p_plus", "p_minus") <= 0.7, "low").otherwise("high").alias("side")).agg(F.count("*").alias("pairs"))
 
