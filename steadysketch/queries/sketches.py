@@ -214,7 +214,7 @@ def median_independent(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(T.with_(*_median_sql("embedding_rows", COMPONENTS), then="SELECT * FROM med"))
 def reconstruct_embedding(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = V.embedding_rows(spark, sf_dir)
-    return E.median_estimate(S.estimates(keys(vec), S.build(vec, COMPONENTS, sum_keys=False), COMPONENTS))
+    return E.median_estimate(S.own_estimates(vec, COMPONENTS))
 
 
 # -- sign agreement -------------------------------------------------------------------------------
