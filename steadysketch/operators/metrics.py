@@ -12,10 +12,10 @@ from .sizing import TAU_A, TAU_B
 # -- reports --------------------------------------------------------------------------------------
 def report_quality(report: DataFrame, heavy: DataFrame, queries: DataFrame) -> DataFrame:
     """Per query: reported, heavy and found keys, recall and precision (1 where there is nothing to find or to report)."""
-    found = report.select("query_id", "key").join(heavy.select("query_id", "key"), ["query_id", "key"], "left_semi").groupBy("query_id").agg(F.count("*").alias("found"))
+    found = report.select("query_id", "key").join(unbroadcast(heavy.select("query_id", "key")), ["query_id", "key"], "left_semi").groupBy("query_id").agg(F.count("*").alias("found"))
     sizes = report.groupBy("query_id").agg(F.count("*").alias("reported"))
     truth = heavy.groupBy("query_id").agg(F.count("*").alias("heavy"))
-    out = queries.select("query_id").distinct().join(sizes, "query_id", "left").join(truth, "query_id", "left").join(found, "query_id", "left").fillna(0)
+    out = queries.select("query_id").distinct().join(unbroadcast(sizes), "query_id", "left").join(unbroadcast(truth), "query_id", "left").join(unbroadcast(found), "query_id", "left").fillna(0)
     share = lambda a, b: F.when(F.col(b) > 0, F.col(a) / F.col(b)).otherwise(1.0)
     return out.withColumns({"recall": share("found", "heavy"), "precision": share("found", "reported")})
 
