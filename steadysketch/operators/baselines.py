@@ -72,7 +72,8 @@ def l1_frequent(items: DataFrame, column: str, k: int) -> DataFrame:
             if len(held) > k:
                 cut = sorted(held.values(), reverse=True)[k]
                 held = {i: n - cut for i, n in held.items() if n > cut}
-        yield pd.DataFrame({"item": list(held), "low": list(held.values())})
+        if held:  # the columns of a frame without rows have no type that Arrow could take over
+            yield pd.DataFrame({"item": list(held), "low": list(held.values())})
 
     kind = items.schema[column].dataType.simpleString()
     local = items.select(column).mapInPandas(counters, f"item {kind}, low bigint")
