@@ -29,12 +29,14 @@ def texts(docs: DataFrame, *more: str) -> DataFrame:
 def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str, rows: int = 1000) -> DataFrame:
     """mapInArrow with small batches, with this package sent to the workers.
 
-    Workers outlive their tasks, so a task hands back what it no longer needs when it ends.
+    Workers outlive their tasks, so a task hands back what it no longer needs when it ends. It does so when it begins
+    too: what the last task still held as it ended (its last group's rows, above all) is free only by then.
     """
     ship(df.sparkSession)
     bounded_batches(df.sparkSession, rows)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        give_back()
         gc.disable()  # the operators make millions of small objects and hardly any cycles
         try:
             yield from fn(batches)

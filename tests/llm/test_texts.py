@@ -206,3 +206,24 @@ def test_licences_whole_edited_and_odd(spark):
     assert licences.scan(documents(spark).where("false")).count() == 0
     repeated = spark.createDataFrame([(None, licences.TEMPLATES["mit-line"]), (None, licences.TEMPLATES["mit-line"])], "doc_id long, text string")
     assert [(r.doc_id, r.template_id) for r in licences.scan(repeated).collect()] == [(None, "mit-line")]
+
+
+def test_a_task_begins_by_handing_back_memory(spark, monkeypatch):
+    """The pipeline's near-duplicate stage ran beside what the quality stage's workers still held."""
+    from steadysketch.llm import common
+
+    seen = []
+
+    class Frame:
+        sparkSession = spark
+
+        def mapInArrow(self, run, schema):
+            return run
+
+    def batches():
+        seen.append("read")
+        yield 1
+
+    monkeypatch.setattr(common, "give_back", lambda: seen.append("back"))
+    assert list(common.map_batches(Frame(), iter, "x int")(batches())) == [1]
+    assert seen == ["back", "read", "back"]
