@@ -32,12 +32,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..runtime import bounded_batches, discard, materialise, ship
-from .common import give_back, map_batches
+from .common import begin, give_back, give_back_later, map_batches
 
 ORDER = 5
 BEGIN = 255
-#: Bytes of text folded at a time, of the documents of a group, and of a piece of a text.
-FOLD, GROUP, PIECE = 4_000_000, 32_000_000, 1 << 20
+#: Distinct n-grams of pieces folded at a time, bytes of text of the documents of a group, and of a piece of a text.
+FOLD, GROUP, PIECE = 1_000_000, 32_000_000, 1 << 20
 #: Level at which the documents of a group are compressed on their way.
 LEVEL = 6
 #: Orders whose tables are bounded by the 256 tokens (256 + 256^2 n-grams) and so may be broadcast.
@@ -50,11 +50,12 @@ MULTIPLIER = 0x9E3779B97F4A7C15
 # -- n-grams of texts -----------------------------------------------------------------------------
 def packed(raw: bytes, order: int) -> np.ndarray:
     """For each byte of a text the n-gram of ``order`` tokens that ends with it."""
-    tokens = np.frombuffer(b"\xff" * (order - 1) + raw, np.uint8).astype(np.int64)
+    tokens = np.frombuffer(b"\xff" * (order - 1) + raw, np.uint8)
     n = len(raw)
-    out = tokens[:n].copy()
+    out = tokens[:n].astype(np.int64)
     for i in range(1, order):
-        out = out << 8 | tokens[i : i + n]
+        out <<= 8
+        out |= tokens[i : i + n]
     return out
 
 
@@ -91,24 +92,22 @@ def counts(docs: DataFrame, order: int = ORDER, text: str = "text") -> DataFrame
     """(gram, n) over all the whole texts; null and empty texts have none."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
-        grams, n = np.empty(0, np.int64), np.empty(0, np.int64)
+        held, size = [(np.empty(0, np.int64), np.empty(0, np.int64))], 0
 
         def fold() -> None:
-            nonlocal grams, n, size
-            more, m = distinct(np.concatenate(held))
-            grams, n = distinct(np.concatenate((grams, more)), np.concatenate((n, m)))
-            held.clear()
+            nonlocal size
+            grams, n = map(np.concatenate, zip(*held))
+            held[:] = [distinct(grams, n)]
             size = 0
 
         for batch in batches:
             for part, _ in pieces([value.encode("utf-8", "surrogatepass") for value in batch.column("text").to_pylist() if value], order):
-                held.append(part)
-                size += len(part)
+                held.append(distinct(part))
+                size += len(held[-1][0])
                 if size > FOLD:
                     fold()
-        if held:
-            fold()
+        fold()
+        grams, n = held[0]
         for at in range(0, len(grams), 100_000):
             yield pa.RecordBatch.from_arrays([pa.array(grams[at : at + 100_000]), pa.array(n[at : at + 100_000])], ["gram", "n"])
 
@@ -229,16 +228,15 @@ class Places:
         return out
 
 
-def groups(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[int, list[pa.RecordBatch], list[bytes]]]:
-    """Consecutive documents whose texts have ``size`` bytes together: a name that their texts give, rows and texts.
+def groups(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[pa.RecordBatch, list[bytes], int | None]]:
+    """Slices of consecutive documents with their texts; the slice that ends a group has the name that the group's texts give.
 
-    Where batches end makes no difference.
+    The texts of a group have ``size`` bytes together. Where batches end makes no difference to it, and nothing of a
+    group is held here but the slice at hand.
     """
-    rows: list[pa.RecordBatch] = []
-    raws: list[bytes] = []
-    held, name = 0, xxhash.xxh3_64()
+    held, name, last = 0, xxhash.xxh3_64(), None
     for batch in batches:
-        first = 0
+        first, raws = 0, []
         for at, text in enumerate(batch.column("text").to_pylist()):
             raw = text.encode("utf-8", "surrogatepass") if text else b""
             raws.append(raw)
@@ -246,38 +244,52 @@ def groups(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[int,
             name.update(len(raw).to_bytes(8))
             name.update(raw)
             if held >= size:
-                yield name.intdigest() >> 1, [*rows, batch.slice(first, at + 1 - first)], raws
-                rows, raws, first, held, name = [], [], at + 1, 0, xxhash.xxh3_64()
-        if first < batch.num_rows:
-            rows.append(batch.slice(first))
-    if raws:
-        yield name.intdigest() >> 1, rows, raws
+                yield batch.slice(first, at + 1 - first), raws, name.intdigest() >> 1
+                raws, first, held, name, last = [], at + 1, 0, xxhash.xxh3_64(), None
+        if raws:
+            last = batch.slice(0, 0)
+            yield batch.slice(first), raws, None
+    if last is not None:
+        yield last, [], name.intdigest() >> 1
 
 
 def asked(docs: DataFrame, order: int, size: int = GROUP) -> DataFrame:
     """(grp, gram): the distinct n-grams of each group of documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for name, _, raws in groups(batches, size):
-            found = [np.unique(part) for part, _ in pieces(raws, order)]
-            grams = np.unique(np.concatenate(found)) if found else np.empty(0, np.int64)
-            for at in range(0, len(grams), 100_000):
-                part = pa.array(grams[at : at + 100_000])
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), name)), part], ["grp", "gram"])
+        found, more = [np.empty(0, np.int64)], 0
+        for _, raws, name in groups(batches, size):
+            for part, _ in pieces(raws, order):
+                found.append(distinct(part)[0])
+                more += len(found[-1])
+                if more > FOLD:
+                    found, more = [distinct(np.concatenate(found))[0]], 0
+            if name is not None:
+                grams = distinct(np.concatenate(found))[0]
+                found, more = [np.empty(0, np.int64)], 0
+                for at in range(0, len(grams), 100_000):
+                    part = pa.array(grams[at : at + 100_000])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), name)), part], ["grp", "gram"])
 
     return map_batches(docs, run, "grp long, gram long", rows=500)
 
 
 def bundled(docs: DataFrame, keep: list[str], size: int = GROUP) -> DataFrame:
-    """(grp, rows): the documents of each group, compressed."""
+    """(grp, rows): the documents of each group, compressed, in a row for each slice, so that no row is as large as a group."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for name, rows, _ in groups(batches, size):
-            sink = pa.BufferOutputStream()
-            whole = pa.Table.from_batches(rows).combine_chunks()
-            with pa.ipc.new_stream(sink, whole.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", LEVEL))) as out:
-                out.write_table(whole)
-            yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([sink.getvalue().to_pybytes()], pa.binary())], ["grp", "rows"])
+        held: list[pa.Buffer] = []
+        for rows, _, name in groups(batches, size):
+            if rows.num_rows:
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, rows.schema, options=pa.ipc.IpcWriteOptions(compression=pa.Codec("zstd", LEVEL))) as out:
+                    out.write_batch(rows)
+                held.append(sink.getvalue())
+            if name is not None:
+                for one in held:
+                    ends = pa.array([0, one.size], pa.int32()).buffers()[1]
+                    yield pa.RecordBatch.from_arrays([pa.array([name]), pa.Array.from_buffers(pa.binary(), 1, [None, ends, one])], ["grp", "rows"])
+                held.clear()
 
     return map_batches(docs, run, "grp long, rows binary", rows=500)
 
@@ -340,25 +352,30 @@ def losses(docs: DataFrame, models: dict[str, Model], keep: list[str], size: int
     by_group = asked(wanted, order, size).join(scored, "gram")
 
     def of_group(left: pa.Table, right: pa.Table) -> pa.Table:
+        begin()
         gc.disable()
+        out = list(scored_rows(left, right))
+        gc.enable()
+        give_back()
+        give_back_later()
+        # Their batches stay apart, so no one of them is as large as a group.
+        return pa.Table.from_batches(out)
+
+    def scored_rows(left: pa.Table, right: pa.Table) -> Iterator[pa.RecordBatch]:
         places = Places(np.ascontiguousarray(right.column("gram").to_numpy()))
         values = [right.column(f"loss_{m}").to_numpy().astype(np.float64) for m in names]
-        out = []
         for bundle in left.column("rows"):
-            rows = pa.ipc.open_stream(bundle.as_buffer()).read_all()
-            raws = [t.encode("utf-8", "surrogatepass") if t else b"" for t in rows.column("text").to_pylist()]
-            sums = np.zeros((len(names), len(raws)))
-            for grams, owner in pieces(raws, order):
-                at = places.of(grams)
-                if (at < 0).any():
-                    raise RuntimeError("the documents are not the same at each reading; write them to files first")
-                for total, value in zip(sums, values):
-                    total += np.bincount(owner, value[at], len(raws))
-            columns = [rows.column(c) for c in keep] + [pa.array(list(map(len, raws)), pa.int64()), *map(pa.array, sums)]
-            out.append(pa.Table.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]]))
-        gc.enable()
-        give_back()
-        return pa.concat_tables(out)
+            for rows in pa.ipc.open_stream(bundle.as_buffer()):
+                raws = [t.encode("utf-8", "surrogatepass") if t else b"" for t in rows.column("text").to_pylist()]
+                sums = np.zeros((len(names), len(raws)))
+                for grams, owner in pieces(raws, order):
+                    at = places.of(grams)
+                    if (at < 0).any():
+                        raise RuntimeError("the documents are not the same at each reading; write them to files first")
+                    for total, value in zip(sums, values):
+                        total += np.bincount(owner, value[at], len(raws))
+                columns = [rows.column(c) for c in keep] + [pa.array(list(map(len, raws)), pa.int64()), *map(pa.array, sums)]
+                yield pa.RecordBatch.from_arrays(columns, [*keep, "n_tokens", *[f"loss_{m}" for m in names]])
 
     ship(spark)
     bounded_batches(spark, 500)

@@ -227,3 +227,80 @@ def test_a_task_begins_by_handing_back_memory(spark, monkeypatch):
     monkeypatch.setattr(common, "give_back", lambda: seen.append("back"))
     assert list(common.map_batches(Frame(), iter, "x int")(batches())) == [1]
     assert seen == ["back", "read", "back"]
+
+
+class Tasks:
+    """Stands for a frame: mapInArrow gives the task's function itself."""
+
+    def __init__(self, spark):
+        self.sparkSession = spark
+
+    def mapInArrow(self, run, schema):
+        return run
+
+
+def test_tasks_on_groups_hold_no_documents(spark):
+    """Executors of the pipeline's quality stage came to more than 3000 MB; each worker held a group's rows, texts and copies."""
+    import weakref
+
+    import pyarrow as pa
+
+    from steadysketch.llm import ngram_lm
+
+    alive, most, rows = [], [], 20
+
+    def batches():
+        for at in range(40):
+            batch = pa.RecordBatch.from_arrays([pa.array(range(rows)), pa.array([f"text {at} {i} " * 50 for i in range(rows)])], ["doc_id", "text"])
+            alive.append(weakref.ref(batch))
+            yield batch
+            del batch
+            most.append(sum(ref() is not None for ref in alive))
+
+    grams = list(ngram_lm.asked(Tasks(spark), 3)(batches()))
+    assert max(most) <= 2
+    alive.clear(), most.clear()
+    bundles = list(ngram_lm.bundled(Tasks(spark), ["doc_id"])(batches()))
+    assert max(most) <= 2
+    assert {b.column("grp")[0].as_py() for b in bundles} == {g.column("grp")[0].as_py() for g in grams} and len(bundles) == 40
+    back = [pa.ipc.open_stream(b.column("rows")[0].as_buffer()).read_all() for b in bundles]
+    assert pa.concat_tables(back).equals(pa.Table.from_batches(list(batches())))
+
+
+def test_groups_do_not_depend_on_batches():
+    import pyarrow as pa
+
+    from steadysketch.llm import ngram_lm
+
+    values = ["abc", None, "", "é" * 7, "x" * 30, "abc", "yz", None]
+
+    def found(step):
+        cut = [pa.RecordBatch.from_arrays([pa.array(values[a : a + step], pa.string())], ["text"]) for a in range(0, len(values), step)]
+        out, rows = [], []
+        for part, raws, name in ngram_lm.groups(iter(cut), 12):
+            assert [(t or "").encode() for t in part.column("text").to_pylist()] == raws
+            rows += part.column("text").to_pylist()
+            if name is not None:
+                out.append((name, rows))
+                rows = []
+        assert not rows
+        return out
+
+    assert [texts for _, texts in found(1)] == [["abc", None, "", "é" * 7], ["x" * 30], ["abc", "yz", None]]
+    assert found(1) == found(3) == found(8)
+    assert list(ngram_lm.groups(iter([]), 12)) == []
+
+
+def test_tasks_drop_what_other_operators_kept(spark):
+    from steadysketch.llm import common
+
+    seen = []
+
+    def read():
+        seen.append(sorted(common.KEPT))
+        yield 1
+
+    common.KEPT["bpe"] = "an encoder"
+    list(common.map_batches(Tasks(spark), iter, "x int", keeps="bpe")(read()))
+    list(common.map_batches(Tasks(spark), iter, "x int")(read()))
+    assert seen == [["bpe"], []]
